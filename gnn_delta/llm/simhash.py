@@ -22,54 +22,73 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import vec
 from .common import forget, partitions, written
 from .components import components
-from .exact_dedup import HOT_SHARE
+from .exact_dedup import HOT_SHARE, without
 
 SEED = 42
 N_PIVOTS = 24
-PIVOTS = np.random.default_rng(SEED).integers(0, 1 << 64, N_PIVOTS, dtype=np.uint64)
+MAX_LANES = 8
+#: reference fingerprints, and the multipliers that make further 64-bit lanes of a shingle hash
+PIVOTS = np.random.default_rng(SEED).integers(0, 1 << 64, (N_PIVOTS, MAX_LANES), dtype=np.uint64)
+LANE = np.random.default_rng(SEED + 1).integers(0, 1 << 64, MAX_LANES, dtype=np.uint64) | np.uint64(1)
 RADIUS = 4
 BLOCKS = 7
 #: runs up to this length are compared by shifts over the whole partition at once
 SHORT = 12
 
 
-def fingerprint(text: bytes, width: int, digest=xxhash.xxh64_digest) -> int:
+def fingerprint(text: bytes, width: int, lanes: int = 1, digest=xxhash.xxh64_digest) -> bytes:
+    """Majority bits over the shingle hashes, 64 for each lane, big-endian."""
     words = text.lower().split()
     if not words:
-        return 0
+        return bytes(8 * lanes)
     line = b" ".join(words)
-    if len(words) <= width:
-        return int.from_bytes(digest(line, SEED), "big")
     size = np.fromiter(map(len, words), np.int64, len(words)) + 1
     ends = np.cumsum(size) - 1
-    starts = (ends - size + 1)[: len(words) - width + 1].tolist()
-    packed = b"".join([digest(line[a:b], SEED) for a, b in zip(starts, ends[width - 1 :].tolist(), strict=True)])
-    bits = np.unpackbits(np.frombuffer(packed, np.uint8).reshape(-1, 8), axis=1)
-    ones = bits.sum(axis=0, dtype=np.int64)
-    return int.from_bytes(np.packbits(2 * ones > len(bits)).tobytes(), "big")
+    last = min(width, len(words)) - 1
+    starts = (ends - size + 1)[: len(words) - last].tolist()
+    packed = b"".join([digest(line[a:b], SEED) for a, b in zip(starts, ends[last:].tolist(), strict=True)])
+    if lanes > 1:
+        first = np.frombuffer(packed, ">u8").astype(np.uint64)
+        more = [first, *(vec.mix(first * LANE[k]) for k in range(1, lanes))]
+        packed = np.stack(more, axis=1).astype(">u8").tobytes()
+    bits = np.unpackbits(np.frombuffer(packed, np.uint8).reshape(-1, 8 * lanes), axis=1)
+    return np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > len(bits)).tobytes()
 
 
-def fingerprints(docs: DataFrame, width: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, fp (64 bits as a signed long) of every row."""
+def lane_names(lanes: int) -> list[str]:
+    return [f"f{k}" for k in range(lanes)]
+
+
+def fingerprints(docs: DataFrame, width: int = 4, lanes: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """id and the lanes f0, f1, ... (64 bits each as signed longs) of every row."""
     kind = docs.schema[id_col].dataType.simpleString()
+    names = lane_names(lanes)
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in vec.slices(batches, "text"):
-            out = np.array([fingerprint((t or "").encode(), width) for t in batch.column("text").to_pylist()], dtype=np.uint64)
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(out.view(np.int64))], names=["id", "fp"])
+            packed = b"".join(fingerprint((t or "").encode(), width, lanes) for t in batch.column("text").to_pylist())
+            out = np.frombuffer(packed, ">i8").astype(np.int64).reshape(-1, lanes)
+            yield pa.RecordBatch.from_arrays([batch.column("id"), *(pa.array(out[:, k]) for k in range(lanes))], names=["id", *names])
 
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(rows, f"id {kind}, fp long")
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(rows, f"id {kind}, " + ", ".join(f"{n} long" for n in names))
 
 
 def pivot_table(fp: np.ndarray) -> np.ndarray:
     """Distances of fingerprints to the reference fingerprints, one row each."""
-    return np.bitwise_count(fp[:, None] ^ PIVOTS[None, :]).astype(np.int8)
+    table = np.zeros((len(fp), N_PIVOTS), dtype=np.int16)
+    for k in range(fp.shape[1]):
+        table += np.bitwise_count(fp[:, k, None] ^ PIVOTS[None, :, k])
+    return table
+
+
+def distance(fp: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    return np.bitwise_count(fp[left] ^ fp[right]).sum(axis=1, dtype=np.int64)
 
 
 def near(fp: np.ndarray, table: np.ndarray, left: np.ndarray, right: np.ndarray, radius: int) -> np.ndarray:
@@ -78,7 +97,7 @@ def near(fp: np.ndarray, table: np.ndarray, left: np.ndarray, right: np.ndarray,
     for part in range(0, N_PIVOTS, 8):
         apart = np.abs(table[left[alive], part : part + 8] - table[right[alive], part : part + 8]).max(axis=1, initial=0)
         alive = alive[apart <= radius]
-    return alive[np.bitwise_count(fp[left[alive]] ^ fp[right[alive]]) <= radius]
+    return alive[distance(fp, left[alive], right[alive]) <= radius]
 
 
 def connect_run(fp: np.ndarray, table: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
@@ -137,20 +156,29 @@ def signed(x: int) -> int:
     return x - (1 << 64) if x >= 1 << 63 else x
 
 
-def links(distinct: DataFrame, radius: int = RADIUS, blocks: int = BLOCKS) -> DataFrame:
-    """Pairs (a, b) of representatives of distinct fingerprints (columns fp, rep) that connect all within the radius."""
+def agreement_keys(radius: int, blocks: int) -> Column:
+    """Keys of which a pair within the radius shares at least one, for one lane: no link is missed."""
     masks = block_masks(blocks, radius)
-    keyed = distinct.select(
-        "fp", "rep",
-        F.explode(F.array(*[F.xxhash64(F.lit(i), F.col("fp").bitwiseAND(F.lit(signed(m)))) for i, m in enumerate(masks)])).alias("key"),
-    ).repartition(partitions(distinct.sparkSession), "key").sortWithinPartitions("key", "fp")
+    return F.array(*[F.xxhash64(F.lit(i), F.col("f0").bitwiseAND(F.lit(signed(m)))) for i, m in enumerate(masks)])
+
+
+def band_keys(lanes: int, bits: int) -> Column:
+    """Keys of single bands of ``bits`` bits over all lanes: a pair shares one with high probability."""
+    bands = [(k, at) for k in range(lanes) for at in range(0, 65 - bits, bits)]
+    return F.array(*[F.xxhash64(F.lit(i), F.shiftrightunsigned(F.col(f"f{k}"), at).bitwiseAND(F.lit((1 << bits) - 1))) for i, (k, at) in enumerate(bands)])
+
+
+def links(distinct: DataFrame, keys: Column, radius: int, lanes: int = 1) -> DataFrame:
+    """Pairs (a, b) of representatives (column rep) of distinct fingerprints that connect all within the radius."""
+    names = lane_names(lanes)
+    keyed = distinct.select(*names, "rep", F.explode(keys).alias("key")).repartition(partitions(distinct.sparkSession), "key").sortWithinPartitions("key")
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
 
         def close(ready: list[pa.RecordBatch]) -> pa.RecordBatch:
-            key, fp, rep = (np.concatenate([b.column(c).to_numpy() for b in ready]) for c in ("key", "fp", "rep"))
-            a, b = links_of_run(key, fp.view(np.uint64), radius)
+            key, rep, *fp = (np.concatenate([b.column(c).to_numpy() for b in ready]) for c in ("key", "rep", *names))
+            a, b = links_of_run(key, np.stack(fp, axis=1).view(np.uint64), radius)
             pairs = np.unique(np.stack([np.minimum(rep[a], rep[b]), np.maximum(rep[a], rep[b])], axis=1), axis=0)
             return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
 
@@ -169,23 +197,38 @@ def links(distinct: DataFrame, radius: int = RADIUS, blocks: int = BLOCKS) -> Da
     return keyed.mapInArrow(rows, "a long, b long").distinct()
 
 
-def cluster(prints: DataFrame, radius: int = RADIUS, blocks: int = BLOCKS) -> DataFrame:
-    """id, fp, component (smallest id reachable by links) of every row of (id, fp)."""
+def cluster(prints: DataFrame, keys: Column, radius: int, lanes: int = 1) -> DataFrame:
+    """id, lanes, component (smallest id reachable by links) of every row of ``prints``."""
+    names = lane_names(lanes)
     table = written(prints, "fingerprints")
-    distinct = written(table.groupBy("fp").agg(F.min("id").alias("rep"), F.count("*").alias("n")), "distinct")
-    labels = components(links(distinct.where("rep is not null").select("fp", "rep"), radius, blocks))
-    known = distinct.join(labels, distinct["rep"] == labels["node"], "left").select("fp", "n", F.coalesce("component", "rep").alias("component"), "rep")
-    known = written(known.where("n > 1 or component <> rep").select("fp", "n", "component"), "groups")
-    bound = max(2, int(table.count() * HOT_SHARE))
-    hot = known.where(F.col("n") >= bound).select("fp", F.col("component").alias("hot"))
-    rest = known.where(F.col("n") < bound).select("fp", F.col("component").alias("usual"))
+    distinct = written(table.groupBy(*names).agg(F.min("id").alias("rep"), F.count("*").alias("n")), "distinct")
+    labels = components(links(distinct.where("rep is not null").select(*names, "rep"), keys, radius, lanes))
+    known = distinct.join(labels, distinct["rep"] == labels["node"], "left").select(*names, "n", F.coalesce("component", "rep").alias("component"), "rep")
+    known = written(known.where("n > 1 or component <> rep").select(*names, "n", "component"), "groups")
     forget(distinct)
-    first = table.join(F.broadcast(hot), "fp", "left")
-    second = first.where("hot is null").join(rest, "fp", "left")
-    return first.where("hot is not null").select("id", "fp", F.col("hot").alias("component")).unionByName(second.select("id", "fp", F.coalesce("usual", "id").alias("component")))
+    bound = max(2, int(table.count() * HOT_SHARE))
+    hot = known.where(F.col("n") >= bound).select(*names, F.col("component").alias("hot"))
+    rest = known.where(F.col("n") < bound).select(*names, F.col("component").alias("usual"))
+    first = table.join(F.broadcast(hot), names, "left")
+    second = first.where("hot is null").join(rest, names, "left")
+    return first.where("hot is not null").select("id", *names, F.col("hot").alias("component")).unionByName(second.select("id", *names, F.coalesce("usual", "id").alias("component")))
 
 
 def near_duplicates(docs: DataFrame, width: int = 4, radius: int = RADIUS) -> DataFrame:
     """doc_id, fingerprint (16 hexadecimal digits), component_id of every row."""
-    found = cluster(fingerprints(docs, width), radius)
-    return found.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.col("component").alias("component_id"))
+    found = cluster(fingerprints(docs, width), agreement_keys(radius, BLOCKS), radius)
+    return found.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("f0"), 16, "0")).alias("fingerprint"), F.col("component").alias("component_id"))
+
+
+#: near-dedup by estimated similarity: 256 bits of five-word shingles; texts of shingle similarity 0.8
+#: differ in about 39 of them (angle of the cosine 2*0.8/1.8), unrelated texts in about 128
+NEAR_WIDTH, NEAR_LANES, NEAR_BITS, NEAR_RADIUS = 5, 4, 12, 44
+
+
+def dedup(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` (all columns) that stay: the smallest id of each group of near copies.
+
+    Five-word shingles, similarity 0.8 or more as estimated by 256 fingerprint bits."""
+    found = cluster(fingerprints(docs, NEAR_WIDTH, NEAR_LANES), band_keys(NEAR_LANES, NEAR_BITS), NEAR_RADIUS, NEAR_LANES)
+    dropped = found.where("component <> id").select(F.col("id").alias("dropped_id"))
+    return without(docs, written(dropped, "dropped"))
