@@ -40,7 +40,7 @@ def edges(docs: DataFrame, window: int, anchor: int, buckets: int, seed: int) ->
             starts, ends, first = vec.tokens(data, offsets)
             if len(starts) < window:
                 continue
-            token = vec.mix(vec.ranges(vec.prefix(data), starts, ends) + np.uint64(seed))
+            token = vec.ranges(vec.prefix(data, seed), starts, ends)
             sums = vec.prefix(token)
             at = np.arange(len(token) - anchor + 1)
             code = vec.ranges(sums, at, at + anchor)

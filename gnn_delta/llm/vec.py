@@ -71,7 +71,10 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(32))
 
 
-def prefix(values: np.ndarray) -> np.ndarray:
+def prefix(values: np.ndarray, seed: int = 0) -> np.ndarray:
+    """Prefix sums for :func:`ranges`; another seed gives each byte another 64-bit value."""
+    if seed:
+        values = np.random.default_rng(seed).integers(0, 1 << 64, 256, dtype=np.uint64)[values]
     out = np.zeros(len(values) + 1, dtype=np.uint64)
     np.cumsum((values.astype(np.uint64) + np.uint64(1)) * powers(len(values))[0][: len(values)], out=out[1:])
     return out
