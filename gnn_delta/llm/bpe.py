@@ -24,7 +24,7 @@ from . import vec
 
 #: fixed value: the pattern by which byte-level BPE vocabularies of this family cut a text into words
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-CACHE_WORDS = 600_000
+CACHE_WORDS = 450_000
 
 
 def byte_names() -> dict[str, int]:
@@ -164,7 +164,7 @@ def encode(docs: DataFrame, path: str) -> DataFrame:
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in vec.slices(batches, "text", 2 << 20):
+        for batch in vec.slices(batches, "text"):
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(encoder(path).encode_batch(batch.column("text").to_pylist()), pa.binary())], names=["doc_id", "ids"])
 
     return docs.select("doc_id", "text").mapInArrow(rows, f"doc_id {kind}, ids binary")
@@ -187,7 +187,7 @@ def round_trip(docs: DataFrame, path: str) -> DataFrame:
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = encoder(path)
-        for batch in vec.slices(batches, "text", 2 << 20):
+        for batch in vec.slices(batches, "text"):
             ids = bpe.encode_batch(batch.column("text").to_pylist())
             yield pa.RecordBatch.from_arrays(
                 [

@@ -123,8 +123,12 @@ def fit(labelled: DataFrame, config: LangConfig = LangConfig()) -> LangModel:
     from pyspark.sql import Window
 
     counts = picked.mapInArrow(counted, "lang int, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).where("n >= 2")
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "gram"))
-    top = counts.withColumn("r", rank).where(F.col("r") <= config.grams).select("lang", "gram").toPandas()
+    # first within shares of each language's n-grams, so that no language is ranked in one task
+    order = [F.desc("n"), F.col("gram")]
+    share = F.pmod(F.xxhash64("gram"), F.lit(64))
+    first = counts.withColumn("share", share).withColumn("r", F.row_number().over(Window.partitionBy("lang", "share").orderBy(*order))).where(F.col("r") <= config.grams)
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy(*order))
+    top = first.withColumn("r", rank).where(F.col("r") <= config.grams).select("lang", "gram").toPandas()
     dtype = np.uint8 if len(langs) <= 8 else np.uint64
     table = np.zeros(config.slots, dtype=dtype)
     for lang, gram in top.groupby("lang")["gram"]:

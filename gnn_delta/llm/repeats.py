@@ -21,8 +21,6 @@ from pyspark.sql import functions as F
 from . import vec
 from .common import forget, partitions, written
 
-#: per-document lists of spans are broadcast up to this size, beyond it are joined by shuffle
-BROADCAST_BYTES = 8 << 20
 SPAN = "start long, n long, src_doc long, src_start long"
 
 
@@ -100,8 +98,9 @@ def by_bucket(rows: DataFrame, count: int, work: Callable[[list[bytes]], Iterato
 
 def compacted(spans: DataFrame) -> DataFrame:
     """Spans of a document that continue each other in document and source become one span."""
-    order = Window.partitionBy("doc").orderBy("start", "n")
-    before = lambda c: F.lag(c).over(order)
+    order = Window.partitionBy("doc").orderBy("start", "n", "src_doc", "src_start").rowsBetween(Window.unboundedPreceding, 0)
+    one = Window.partitionBy("doc").orderBy("start", "n", "src_doc", "src_start")
+    before = lambda c: F.lag(c).over(one)
     goes_on = (F.col("start") <= before("start") + before("n")) & (F.col("src_doc") == before("src_doc")) & (F.col("src_start") - F.col("start") == before("src_start") - before("start"))
     marked = spans.withColumn("new", F.when(goes_on, 0).otherwise(1)).withColumn("path", F.sum("new").over(order))
     joined = marked.groupBy("doc", "path").agg(
@@ -114,12 +113,10 @@ def id_key(doc_id: Column) -> Column:
     return F.coalesce(doc_id.cast("long"), F.lit(-(1 << 63)))
 
 
-def beside(docs: DataFrame, lists: DataFrame, column: str, how: str, row_bytes: int) -> DataFrame:
-    """doc_id, text and the list ``column`` of each document (``lists``: doc, column); broadcast if small."""
-    size = lists.agg(F.sum(F.size(column)).alias("n"), F.count("*").alias("d")).first()
-    small = (size["n"] or 0) * row_bytes + size["d"] * 48 <= BROADCAST_BYTES
+def beside(docs: DataFrame, lists: DataFrame, column: str, how: str) -> DataFrame:
+    """doc_id, text and the list ``column`` of each document (``lists``: doc, column), joined by shuffle at any size."""
     rows = docs.select("doc_id", "text", id_key(F.col("doc_id")).alias("doc"))
-    return rows.join(F.broadcast(lists) if small else lists, "doc", how).select("doc_id", "text", column)
+    return rows.join(lists.hint("shuffle_merge"), "doc", how).select("doc_id", "text", column)
 
 
 def unit_parts(text: str | None, words: bool):
@@ -171,7 +168,7 @@ def removal(docs: DataFrame, lists: DataFrame, window: int, words: bool, with_te
                 names=["doc_id", "units", "removed", "runs", "kept_sha256", "kept", "checks"],
             )
 
-    return beside(docs, lists, "spans", "left", 40).mapInArrow(rows, REMOVED.format(kind=kind))
+    return beside(docs, lists, "spans", "left").mapInArrow(rows, REMOVED.format(kind=kind))
 
 
 def false_matches(docs: DataFrame, removed: DataFrame, words: bool) -> int:
@@ -187,7 +184,7 @@ def false_matches(docs: DataFrame, removed: DataFrame, words: bool) -> int:
                 bad += sum(digest_of(parts, a["src_start"], a["src_start"] + a["len"]) != a["digest"] for a in asked)
             yield pa.RecordBatch.from_arrays([pa.array([bad], pa.int64())], names=["bad"])
 
-    bad = beside(docs, lists, "asked", "inner", 56).mapInArrow(rows, "bad long").agg(F.sum("bad")).first()[0] or 0
+    bad = beside(docs, lists, "asked", "inner").mapInArrow(rows, "bad long").agg(F.sum("bad")).first()[0] or 0
     forget(lists)
     return bad
 

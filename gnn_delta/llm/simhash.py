@@ -38,8 +38,8 @@ PIVOTS = np.random.default_rng(SEED).integers(0, 1 << 64, (N_PIVOTS, MAX_LANES),
 LANE = np.random.default_rng(SEED + 1).integers(0, 1 << 64, MAX_LANES, dtype=np.uint64) | np.uint64(1)
 RADIUS = 4
 BLOCKS = 7
-#: runs up to this length are compared by shifts over the whole partition at once
-SHORT = 12
+#: runs up to this length are compared by shifts over the whole partition at once, up to the next as a matrix
+SHORT, MIDDLE = 12, 1024
 
 
 def fingerprint(text: bytes, width: int, lanes: int = 1, digest=xxhash.xxh64_digest) -> bytes:
@@ -58,7 +58,11 @@ def fingerprint(text: bytes, width: int, lanes: int = 1, digest=xxhash.xxh64_dig
         more = [first, *(vec.mix(first * LANE[k]) for k in range(1, lanes))]
         packed = np.stack(more, axis=1).astype(">u8").tobytes()
     bits = np.unpackbits(np.frombuffer(packed, np.uint8).reshape(-1, 8 * lanes), axis=1)
-    return np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > len(bits)).tobytes()
+    blocks = len(bits) // 255  # sums of 255 rows fit a byte
+    ones = bits[255 * blocks :].sum(axis=0, dtype=np.int64)
+    if blocks:
+        ones += bits[: 255 * blocks].reshape(blocks, 255, -1).sum(axis=1, dtype=np.uint8).sum(axis=0, dtype=np.int64)
+    return np.packbits(2 * ones > len(bits)).tobytes()
 
 
 def lane_names(lanes: int) -> list[str]:
@@ -100,6 +104,18 @@ def near(fp: np.ndarray, table: np.ndarray, left: np.ndarray, right: np.ndarray,
     return alive[distance(fp, left[alive], right[alive]) <= radius]
 
 
+def pairs_of_run(fp: np.ndarray, table: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """All links of a run of moderate length, or, where they are many, links that connect as they do."""
+    close = np.triu(np.ones((len(fp), len(fp)), dtype=bool), 1)
+    for column in table.T[:8]:
+        if int(column.max()) - int(column.min()) > radius:
+            close &= np.abs(column[:, None] - column[None, :]) <= radius
+    left, right = np.nonzero(close)
+    good = distance(fp, left, right) <= radius
+    left, right = left[good], right[good]
+    return (left, right) if len(left) <= 8 * len(fp) else connect_run(fp, table, radius)
+
+
 def connect_run(fp: np.ndarray, table: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """Links that connect the members of one long run as all its links would: a breadth-first search.
 
@@ -138,7 +154,7 @@ def links_of_run(key: np.ndarray, fp: np.ndarray, radius: int) -> tuple[np.ndarr
         left.append(at[good])
         right.append(at[good] + shift)
     for begin, n in zip(change[length > SHORT].tolist(), length[length > SHORT].tolist(), strict=True):
-        a, b = connect_run(fp[begin : begin + n], table[begin : begin + n], radius)
+        a, b = (pairs_of_run if n <= MIDDLE else connect_run)(fp[begin : begin + n], table[begin : begin + n], radius)
         left.append(a + begin)
         right.append(b + begin)
     empty = np.zeros(0, np.int64)
@@ -220,15 +236,15 @@ def near_duplicates(docs: DataFrame, width: int = 4, radius: int = RADIUS) -> Da
     return found.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("f0"), 16, "0")).alias("fingerprint"), F.col("component").alias("component_id"))
 
 
-#: near-dedup by estimated similarity: 256 bits of five-word shingles; texts of shingle similarity 0.8
-#: differ in about 39 of them (angle of the cosine 2*0.8/1.8), unrelated texts in about 128
-NEAR_WIDTH, NEAR_LANES, NEAR_BITS, NEAR_RADIUS = 5, 4, 12, 44
+#: near-dedup by estimated similarity: 512 bits of five-word shingles; texts of shingle similarity 0.8
+#: differ in about 77 of them (angle of the cosine 2*0.8/1.8), unrelated texts in about 256
+NEAR_WIDTH, NEAR_LANES, NEAR_BITS, NEAR_RADIUS = 5, 8, 16, 88
 
 
 def dedup(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` (all columns) that stay: the smallest id of each group of near copies.
 
-    Five-word shingles, similarity 0.8 or more as estimated by 256 fingerprint bits."""
+    Five-word shingles, similarity 0.8 or more as estimated by 512 fingerprint bits."""
     found = cluster(fingerprints(docs, NEAR_WIDTH, NEAR_LANES), band_keys(NEAR_LANES, NEAR_BITS), NEAR_RADIUS, NEAR_LANES)
     dropped = found.where("component <> id").select(F.col("id").alias("dropped_id"))
     return without(docs, written(dropped, "dropped"))

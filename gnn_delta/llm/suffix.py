@@ -104,6 +104,15 @@ def feed(queues: Queues, text: np.ndarray, scanned: np.ndarray, common: np.ndarr
     ``common[i]`` is what suffix i of the scan shares with the one scanned before it."""
     if not len(scanned):
         return
+    if cap == 0:  # order only
+        where = np.flatnonzero(chosen)
+        sign = text[scanned[where] - 1]
+        order = np.argsort(sign, kind="stable")
+        where, sign = where[order], sign[order]
+        heads = np.flatnonzero(np.concatenate([[True], sign[1:] != sign[:-1]])) if len(where) else where
+        for s, a, b in zip(sign[heads].tolist(), heads.tolist(), [*heads[1:].tolist(), len(where)], strict=False):
+            queues.put(s, (scanned[where[a:b]] - 1).astype(np.int32), np.zeros(b - a, np.uint8))
+        return
     table = minima(common)
     whole = table[-1].min()
     where = np.flatnonzero(chosen)
@@ -235,7 +244,7 @@ def ranks_of_names(names: np.ndarray) -> np.ndarray:
 
 def suffix_array(text: np.ndarray, cap: int, limit: int = 64 << 20) -> tuple[np.ndarray, np.ndarray]:
     """Suffixes of ``text`` (signs, ending with the only 0) in order, with common prefixes up to ``cap`` (under 255)."""
-    text = np.asarray(text, dtype=np.int32)
+    text = np.asarray(text, dtype=np.uint16)  # 16-bit signs sort by radix
     if len(text) == 1:
         return np.zeros(1, np.int32), np.zeros(1, np.uint8)
     small = types(text)
@@ -244,7 +253,7 @@ def suffix_array(text: np.ndarray, cap: int, limit: int = 64 << 20) -> tuple[np.
         lms = np.array([len(text) - 1])
     # sort the LMS substrings by induction from any order, name them, sort the string of names
     start = lms[np.argsort(text[lms], kind="stable")]
-    rough, _ = induce(text, small, start.astype(np.int32), np.zeros(len(lms), np.uint8), 1, limit)
+    rough, _ = induce(text, small, start.astype(np.int32), np.zeros(len(lms), np.uint8), 0, limit)
     is_lms = np.zeros(len(text) + 1, dtype=bool)
     is_lms[lms] = True
     ordered = rough[is_lms[rough]]

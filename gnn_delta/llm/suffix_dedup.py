@@ -123,7 +123,7 @@ def contexts(docs: DataFrame, lists: DataFrame, buckets: int) -> DataFrame:
                 blobs.append(np.int64(b - a).tobytes() + b"".join(x[a:b].astype("<i8").tobytes() for x in (head, ids, start, n)) + body[ends[a] : ends[b]].tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(got, pa.int32()), pa.array(blobs, pa.binary())], names=["bucket", "blob"])
 
-    return beside(docs, lists, "places", "inner", 32).mapInArrow(rows, "bucket int, blob binary")
+    return beside(docs, lists, "places", "inner").mapInArrow(rows, "bucket int, blob binary")
 
 
 def compare(window: int, shard: int = SHARD):
@@ -151,11 +151,11 @@ def compare(window: int, shard: int = SHARD):
 def repeats_in(body: np.ndarray, at: np.ndarray, n: np.ndarray, doc: np.ndarray, start: np.ndarray, window: int) -> pa.RecordBatch:
     ends = np.cumsum(n + 1)
     begin = ends - (n + 1)
-    text = np.full(int(ends[-1]) + 1, SEPARATOR, dtype=np.int32)
+    text = np.full(int(ends[-1]) + 1, SEPARATOR, dtype=np.uint16)
     text[-1] = 0
     step = np.repeat(np.arange(len(n)), n)
     inner = np.arange(len(step)) - np.repeat(np.cumsum(n) - n, n)
-    text[begin[step] + inner] = body[at[step] + inner].astype(np.int32) + FIRST
+    text[begin[step] + inner] = body[at[step] + inner].astype(np.uint16) + np.uint16(FIRST)
     order, common = suffix_array(text, window)
     same = np.cumsum(common < window)
     owner = np.searchsorted(ends, order, "right")

@@ -37,7 +37,7 @@ def buffers(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[base : int(offsets[-1])], offsets - base
 
 
-def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of about ``limit`` text bytes (at least one row each)."""
     for batch in batches:
         if not batch.num_rows:
