@@ -63,19 +63,22 @@ class Queues:
 
 
 def common_prefix(text: np.ndarray, a: np.ndarray, b: np.ndarray, cap: int) -> np.ndarray:
-    """Length, up to ``cap``, of the prefixes that suffixes a and b share (compared sign by sign)."""
-    out = np.zeros(len(a), dtype=np.uint8)
+    """Length, up to ``cap``, of the prefixes that suffixes a and b share, compared four signs at a time.
+
+    Different suffixes differ at the end sign at the latest, so the padding is never compared."""
+    padded = np.concatenate([text, np.zeros(4, np.uint16)])
+    words = np.ndarray(shape=(len(text),), dtype="<u8", buffer=padded, strides=(2,))
+    out = np.full(len(a), cap, dtype=np.int64)
     alive = np.arange(len(a))
-    last = len(text) - 1
-    for k in range(cap):
-        x, y = a[alive] + k, b[alive] + k
-        good = (x < last) & (y < last)
-        same = good & (text[np.minimum(x, last)] == text[np.minimum(y, last)])
-        alive = alive[same]
+    for k in range(0, cap, 4):
+        apart = words[a[alive] + k] ^ words[b[alive] + k]
+        ended = np.flatnonzero(apart)
+        x = apart[ended]
+        out[alive[ended]] = k + np.bitwise_count((x - np.uint64(1)) & ~x) // 16
+        alive = np.delete(alive, ended)
         if not len(alive):
             break
-        out[alive] = k + 1
-    return out
+    return np.minimum(out, cap).astype(np.uint8)
 
 
 def minima(common: np.ndarray) -> list[np.ndarray]:
@@ -225,25 +228,33 @@ def types(text: np.ndarray) -> np.ndarray:
     return small
 
 
-def ranks_of_names(names: np.ndarray) -> np.ndarray:
-    """Order of the suffixes of a string of names: its recursion, by doubling of the compared length."""
-    rank, span, n = names.astype(np.int64), 1, len(names)
+def ranks_of_names(names: np.ndarray, enough: int) -> np.ndarray:
+    """Order of the suffixes of a string of names by their first ``enough`` names (ties by position).
+
+    The recursion works on whole stretches of names: ranks of stretches are packed, as many as fit 62 bits,
+    into keys of longer stretches, which are ranked in turn."""
+    rank, span, n = names.astype(np.int64) + 1, 1, len(names)
     while True:
-        after = np.zeros(n, dtype=np.int64)
-        after[:-span or None] = rank[span:] + 1
-        key = rank * (int(after.max(initial=0)) + 1) + after
-        order = np.argsort(key, kind="stable")
+        bits = int(rank.max()).bit_length()
+        pack = max(2, 62 // bits)
+        key = rank.copy()
+        for k in range(1, pack):
+            key <<= bits
+            if k * span < n:
+                key[: n - k * span] |= rank[k * span :]
+        order = np.argsort(key)
         sorted_key = key[order]
-        step = np.concatenate([[0], np.cumsum(sorted_key[1:] != sorted_key[:-1])])
+        step = np.concatenate([[1], 1 + np.cumsum(sorted_key[1:] != sorted_key[:-1])])
         rank = np.empty(n, dtype=np.int64)
         rank[order] = step
-        span *= 2
-        if step[-1] == n - 1 or span >= n:
-            return order
+        span *= pack
+        if step[-1] == n or span >= min(n, enough):
+            return np.lexsort((np.arange(n), rank)) if step[-1] < n else order
 
 
 def suffix_array(text: np.ndarray, cap: int, limit: int = 64 << 20) -> tuple[np.ndarray, np.ndarray]:
-    """Suffixes of ``text`` (signs, ending with the only 0) in order, with common prefixes up to ``cap`` (under 255)."""
+    """Suffixes of ``text`` (signs, ending with the only 0) in order of their first ``cap`` signs, with common
+    prefixes up to ``cap`` (under 255)."""
     text = np.asarray(text, dtype=np.uint16)  # 16-bit signs sort by radix
     if len(text) == 1:
         return np.zeros(1, np.int32), np.zeros(1, np.uint8)
@@ -265,7 +276,7 @@ def suffix_array(text: np.ndarray, cap: int, limit: int = 64 << 20) -> tuple[np.
     name = np.cumsum(differs) - 1
     names = np.empty(len(lms), dtype=np.int64)
     names[place[ordered]] = name
-    order = lms[ranks_of_names(names)] if name[-1] < len(lms) - 1 else ordered
+    order = lms[ranks_of_names(names, cap)] if name[-1] < len(lms) - 1 else ordered
     common = np.zeros(len(order), np.uint8)
     common[1:] = common_prefix(text, order[:-1].astype(np.int64), order[1:].astype(np.int64), cap)
     return induce(text, small, order.astype(np.int32), common, cap, limit)
