@@ -2,47 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.scratch import forget, settled, shared_dir  # noqa: F401
+
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that driver and executors share: the session's ``spark.checkpoint.dir``.
-
-    Only where the session names none (local tests) a temporary folder is used.
-    """
-    set_by_user = spark.conf.get("spark.checkpoint.dir", None)
-    if set_by_user:
-        return set_by_user.rstrip("/")
-    current = spark.sparkContext.getCheckpointDir()
-    if not current:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
-        current = spark.sparkContext.getCheckpointDir()
-    return str(current).rstrip("/")
-
-
-def written(df: DataFrame, what: str) -> DataFrame:
-    """The rows of ``df``, written as a table in the shared folder and read again (cuts lineage)."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    table = spark.read.schema(df.schema).parquet(path)
-    table._written_at = path
-    return table
-
-
-def forget(*tables: DataFrame) -> None:
-    """Delete tables made by :func:`written` that nothing reads any more."""
-    for table in tables:
-        path = getattr(table, "_written_at", None)
-        if path is None:
-            continue
-        jvm = table.sparkSession._jvm
-        target = jvm.org.apache.hadoop.fs.Path(path)
-        target.getFileSystem(table.sparkSession._jsc.hadoopConfiguration()).delete(target, True)
+written = settled
 
 
 def reclaim(spark: SparkSession) -> None:
