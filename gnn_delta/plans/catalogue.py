@@ -6,14 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-
-def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+from . import gnn_queries
+from .gnn_queries import flagship  # noqa: F401
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+    return dict(gnn_queries.QUERIES)
 
 
 def oracles() -> dict[str, str]:
-    return {}
+    return dict(gnn_queries.ORACLES)
