@@ -1,8 +1,8 @@
 """Repeated byte strings by suffix arrays in shards.
 
-1. Every window of ``window`` bytes holds an anchor, the least hash of ``anchor`` bytes inside it. Anchors
-   meet in hash buckets together with a hash of their context: all bytes that windows around the anchor
-   can reach. An anchor that occurs once belongs to no repeat. Of equal contexts all but the first repeat
+1. Every window of ``window`` bytes has an anchor, the least hash of ``anchor`` bytes inside it. Anchors
+   meet in hash buckets together with a hash of their context: all bytes of the consecutive windows that
+   have this anchor. An anchor that occurs once belongs to no repeat. Of equal contexts all but the first repeat
    it whole, without looking at bytes again.
 2. Contexts that share an anchor but differ (at the ends of copies and around edits) are cut out of their
    documents and dealt by anchor: the shards. Equal windows share their anchor, so they share a shard.
@@ -55,10 +55,15 @@ def anchors(docs: DataFrame, window: int, anchor: int, buckets: int, seed: int)
             long = size >= window
             np.add.at(inside, offsets[:-1][long], 1)
             np.add.at(inside, offsets[1:][long] - window + 1, -1)
-            place = np.unique(chosen[np.cumsum(inside[:-1])[: len(chosen)] > 0])
+            begin = np.flatnonzero(np.cumsum(inside[:-1])[: len(chosen)] > 0)
+            if not len(begin):
+                continue
+            picked = chosen[begin]
+            head_at = np.flatnonzero(np.concatenate([[True], (picked[1:] != picked[:-1]) | (begin[1:] != begin[:-1] + 1)]))
+            place, first = picked[head_at], begin[head_at]
+            final = begin[np.append(head_at[1:], len(begin)) - 1]
             doc = np.searchsorted(offsets, place, "right") - 1
-            before = np.minimum(place - offsets[doc], window - anchor)
-            after = np.minimum(offsets[doc + 1] - place, window)
+            before, after = place - first, final + window - place
             context = vec.mix(vec.ranges(sums, place - before, place + after) ^ (before.astype(np.uint64) << np.uint64(32)))
             head = code[place]
             columns = [head.astype("<u8"), context.astype("<u8"), ids_of(batch)[doc].astype("<i8"), (place - offsets[doc]).astype("<i8"), before.astype("<i4"), after.astype("<i4")]
