@@ -33,7 +33,7 @@ from .suffix import FIRST, SEPARATOR, suffix_array
 WINDOW = 100
 ANCHOR = 24
 #: text bytes that one suffix sort takes, if its anchors' groups allow
-SHARD = 2 << 20
+SHARD = 1 << 20
 SEEN = ["<u8", "<u8", "<i8", "<i8", "<i4", "<i4"]  # anchor, context, document, place, bytes before, bytes from it
 PIECES = "kind int, doc long, start long, n long, src_doc long, src_start long"
 

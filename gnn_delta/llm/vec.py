@@ -14,7 +14,7 @@ import pyarrow.compute as pc
 
 R = np.uint64(0x9E3779B97F4A7C15 | 1)
 R_INV = np.uint64(pow(int(R), -1, 1 << 64))
-_POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+_POWERS: list[np.ndarray] = []
 
 SPACE = np.zeros(256, dtype=bool)
 SPACE[[32, 9, 10, 11, 12, 13]] = True
@@ -37,7 +37,7 @@ def buffers(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[base : int(offsets[-1])], offsets - base
 
 
-def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 2 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of about ``limit`` text bytes (at least one row each)."""
     for batch in batches:
         if not batch.num_rows:
@@ -52,14 +52,12 @@ def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 2 << 20) -
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    size = 1 << max(10, int(n).bit_length())
-    if size not in _POWERS:
-        if len(_POWERS) > 2:
-            _POWERS.clear()
-        up, down = np.full(size, R), np.full(size, R_INV)
+    """R**i and R**-i for i up to n; the longest tables so far are kept."""
+    if len(_POWERS) == 0 or len(_POWERS[0]) <= n:
+        up, down = np.full(n + 1, R), np.full(n + 1, R_INV)
         up[0] = down[0] = 1
-        _POWERS[size] = (np.multiply.accumulate(up), np.multiply.accumulate(down))
-    return _POWERS[size]
+        _POWERS[:] = [np.multiply.accumulate(up), np.multiply.accumulate(down)]
+    return _POWERS[0], _POWERS[1]
 
 
 def mix(x: np.ndarray) -> np.ndarray:
