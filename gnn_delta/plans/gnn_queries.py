@@ -454,14 +454,14 @@ def edge_scores_query(s, d):
     return edge_scores(c.state(make_model("gc_sum", 2)).layers[-1], pairs, D).withColumn("score", tidy(F.col("score")))
 
 
-@query("customer_label_report", o.with_sql([*base_ctes("customer_part"), *o.full_ctes(make_model("gc_sum", 2), "snap"), ("l", o.label_sql("h_2", D))], "SELECT r_name, n_name, label, count(*) AS n, round(avg(c_acctbal), 2) AS avg_bal FROM l JOIN customer ON 8 * c_custkey + 3 = vid JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1, 2, 3"))
+@query("customer_label_report", o.with_sql([*base_ctes("customer_part"), *o.full_ctes(make_model("gc_sum", 2), "snap"), ("l", o.label_sql("h_2", D))], "SELECT r_name, n_name, label, count(*) AS n, CAST(round(sum(c_acctbal) * 100) AS BIGINT) AS cents FROM l JOIN customer ON 8 * c_custkey + 3 = vid JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1, 2, 3"))
 def customer_label_report(s, d):
     c = case(s, d, "customer_part")
     l = labels(c.state(make_model("gc_sum", 2)).layers[-1], D)
     people = table(s, d, "customer").withColumn("vid", F.col("c_custkey") * 8 + 3)
     places = table(s, d, "nation").join(F.broadcast(table(s, d, "region")), F.col("n_regionkey") == F.col("r_regionkey"))
     joined = l.join(people, "vid").join(F.broadcast(places), F.col("c_nationkey") == F.col("n_nationkey"))
-    return joined.groupBy("r_name", "n_name", "label").agg(F.count("*").alias("n"), F.round(F.avg("c_acctbal"), 2).alias("avg_bal"))
+    return joined.groupBy("r_name", "n_name", "label").agg(F.count("*").alias("n"), F.round(F.sum("c_acctbal") * 100).cast("long").alias("cents"))
 
 
 # --- partitioned -------------------------------------------------------------------------------------
