@@ -92,8 +92,9 @@ def degree_delta(d_edges: DataFrame) -> DataFrame:
 
 def without_stale(updates: DataFrame, applied: DataFrame) -> DataFrame:
     """Updates newer than the newest applied to their key. ``applied``: (src, dst, last_seq)."""
-    joined = updates.join(applied, (updates["src"] == applied["src"]) & updates["dst"].eqNullSafe(applied["dst"]), "left")
-    return joined.where("last_seq is null or seq > last_seq").select(*[updates[c] for c in updates.columns])
+    known = applied.select(F.col("src").alias("a_src"), F.col("dst").alias("a_dst"), "last_seq")
+    joined = updates.join(known, F.col("src").eqNullSafe(F.col("a_src")) & F.col("dst").eqNullSafe(F.col("a_dst")), "left")
+    return joined.where("last_seq is null or seq > last_seq").select(*updates.columns)
 
 
 def removal_updates(vertices: DataFrame, edges: DataFrame, first_seq: int) -> DataFrame:
