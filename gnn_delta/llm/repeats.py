@@ -24,10 +24,10 @@ from .common import forget, partitions, written
 SPAN = "start long, n long, src_doc long, src_start long"
 
 
-def bucket_count(docs: DataFrame, bytes_each: int = 8 << 20) -> int:
-    """Hash buckets for a table: its size on disk by ``bytes_each``, at least the shuffle partitions."""
-    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
-    return max(partitions(docs.sparkSession), min(size // bytes_each, 1 << 20))
+def bucket_count(docs: DataFrame, bytes_each: int = 16 << 20) -> int:
+    """Hash buckets for a table: its text bytes (summed in one scan) by ``bytes_each``, at least the shuffle partitions."""
+    size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    return max(partitions(docs.sparkSession), size // bytes_each)
 
 
 def sliding_least(codes: np.ndarray, width: int) -> np.ndarray:
@@ -92,6 +92,7 @@ def by_bucket(rows: DataFrame, count: int, work: Callable[[list[bytes]], Iterato
                 held.append(blob)
         if held:
             yield from work(held)
+        vec.give_back()
 
     return rows.repartition(count, "bucket").sortWithinPartitions("bucket").mapInArrow(run, schema)
 

@@ -6,6 +6,7 @@ back to position 0 by the inverse power, so each of all ranges costs a few array
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -37,6 +38,15 @@ def buffers(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[base : int(offsets[-1])], offsets - base
 
 
+def give_back() -> None:
+    """Return freed memory to the system: an idle worker should not hold what its last task needed."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of about ``limit`` text bytes (at least one row each)."""
     for batch in batches:
@@ -49,6 +59,8 @@ def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 1 << 20) -
             to = max(at + 1, int(np.searchsorted(size, floor + limit, "right")))
             yield batch.slice(at, to - at)
             at = to
+        del batch, size
+        give_back()
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
