@@ -9,8 +9,8 @@ other together (:func:`repeats.compacted`), and the words at the source coordina
 compared before anything is removed.
 
 Defined cases: null and empty texts have no words; documents shorter than a window lose nothing; of equal
-windows the one with the smallest (doc_id, start) stays; a null id counts as smaller than all others; ids
-are meant to be unique, rows that repeat an id get the spans of that id; extra columns are not read.
+windows the one with the smallest (doc_id, start) stays; a null id counts as smaller than all others, and
+rows that repeat an id are ordered by their texts; extra columns are not read.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import vec
-from .repeats import bucket_count, by_bucket, gathered, ids_of, runs, sliding_least, verified
+from .repeats import bucket_count, by_bucket, by_row, gathered, ids_of, runs, sliding_least, verified
 
 WINDOW = 20
 ANCHOR = 6
@@ -124,6 +124,11 @@ def path_rows(doc: np.ndarray, start: np.ndarray, src_doc: np.ndarray, src_start
 
 
 def dedup(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR, with_text: bool = False) -> DataFrame:
+    """doc_id, n_words, n_removed, n_spans, kept_sha256 (and what is kept) of every row."""
+    return by_row(docs, lambda rows: _dedup(rows, window, anchor, with_text))
+
+
+def _dedup(docs: DataFrame, window: int, anchor: int, with_text: bool) -> DataFrame:
     """doc_id, n_words, n_removed, n_spans, kept_sha256 (and the kept words) of every row."""
     buckets = bucket_count(docs)
 

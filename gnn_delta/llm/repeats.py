@@ -201,3 +201,14 @@ def verified(docs: DataFrame, spans_for: Callable[[int], DataFrame], window: int
             return out
         forget(out)
     raise ArithmeticError(f"unequal windows share a hash under {tries} seeds: is doc_id unique?")
+
+
+def by_row(docs: DataFrame, run: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """``run`` over (doc_id, text); where ids are null or repeat, rows are numbered in order of (id, text) first."""
+    rows = docs.select("doc_id", "text")
+    if not rows.groupBy("doc_id").count().where("doc_id is null or count > 1").limit(1).count():
+        return run(rows)
+    order = rows.repartitionByRange(partitions(docs.sparkSession), "doc_id", "text").sortWithinPartitions("doc_id", "text")
+    numbered = written(order.withColumn("row", F.monotonically_increasing_id()), "numbered")
+    found = run(numbered.select(F.col("row").alias("doc_id"), "text")).withColumnRenamed("doc_id", "row")
+    return numbered.select("row", "doc_id").join(found, "row").drop("row")

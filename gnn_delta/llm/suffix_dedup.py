@@ -11,7 +11,7 @@
 4. Bytes at the source of every joined span are compared before anything is removed.
 
 Defined cases: null counts as empty; texts shorter than a window lose nothing; a null id counts as smaller
-than all others; ids are meant to be unique; extra columns are not read; what is kept are bytes (a cut may
+than all others, and rows that repeat an id are ordered by their texts; extra columns are not read; what is kept are bytes (a cut may
 fall inside a character).
 """
 
@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from . import vec
 from .common import forget, written
 from .debruijn import path_rows
-from .repeats import beside, bucket_count, by_bucket, dealt, gathered, ids_of, runs, sliding_least, verified
+from .repeats import beside, bucket_count, by_bucket, by_row, dealt, gathered, ids_of, runs, sliding_least, verified
 from .suffix import FIRST, SEPARATOR, suffix_array
 
 WINDOW = 100
@@ -178,6 +178,11 @@ def repeats_in(body: np.ndarray, at: np.ndarray, n: np.ndarray, doc: np.ndarray,
 
 
 def dedup(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR, with_text: bool = False) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and what is kept) of every row."""
+    return by_row(docs, lambda rows: _dedup(rows, window, anchor, with_text))
+
+
+def _dedup(docs: DataFrame, window: int, anchor: int, with_text: bool) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and the kept bytes) of every row."""
     buckets = bucket_count(docs)
     made: list[DataFrame] = []

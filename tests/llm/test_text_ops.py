@@ -323,7 +323,9 @@ def test_empty_tables(spark, none):
 
 
 def test_null_ids(spark):
-    rows = [(None, "a b c " * 30), (1, "a b c " * 30), (None, None)]
+    rows = [(None, "a b c " * 30), (1, "a b c " * 30), (None, None), (1, "a b c " * 30), (1, "other")]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
-    assert debruijn.dedup(docs).count() == suffix_dedup.dedup(docs).count() == exact_dedup.mark(docs).count() == simhash.near_duplicates(docs).count() == 3
-    assert bpe.round_trip(docs, queries.tokenizer_path()).count() == langid.language(docs.selectExpr("*", "'xx' AS lang")).count() == 3
+    assert debruijn.dedup(docs).count() == suffix_dedup.dedup(docs).count() == exact_dedup.mark(docs).count() == simhash.near_duplicates(docs).count() == 5
+    assert bpe.round_trip(docs, queries.tokenizer_path()).count() == langid.language(docs.selectExpr("*", "'xx' AS lang")).count() == 5
+    got = sorted((r.doc_id or 0, r.n_words, r.n_removed) for r in debruijn.dedup(docs).collect())
+    assert [g[:2] for g in got] == [(0, 0), (0, 90), (1, 1), (1, 90), (1, 90)] and [g[2] for g in got][2:] == [0, 90, 90]
