@@ -20,7 +20,8 @@ from ..operators.labels import edge_scores, label_changes, labels, lookup
 from ..operators.netting import edges_after, net_effect, removal_updates
 from ..operators.recompute import apply_scoped
 from ..operators.vertexwise import infer_vertexwise, sampled_edges
-from ..sources.graphs import D, GRAPHS, graph_ctes, table, weighted
+from ..operators.vertices import insert
+from ..sources.graphs import D, GRAPHS, formula_features, graph_ctes, table, weighted
 from ..sources.updates import assign_batches, stream_ctes
 from . import oracle as o
 from .cases import N_EACH_SQL, Case, case
@@ -381,6 +382,24 @@ def vertex_removal(s, d):
     return to_long(result.state.layers[-1].join(gone, "vid", "left_anti"), "h", D)
 
 
+def _insertion_sql() -> str:
+    model = make_model("sage_sum", 2)
+    more = "SELECT src AS vid FROM g UNION SELECT dst FROM g UNION SELECT dst + 5 FROM g WHERE dst % 1600 = 1"
+    ctes = [(n, more if n == "v" else q) for n, q in base_ctes("order_part")]
+    ctes.append(("e_new", "SELECT * FROM snap UNION ALL SELECT DISTINCT dst + 5, dst, 1.0::DOUBLE FROM g WHERE dst % 1600 = 1"))
+    return o.with_sql([*ctes, *o.full_ctes(model, "e_new", "h_0", "n")], o.long_select("n_2", D))
+
+
+@query("vertex_insertion", _insertion_sql())
+def vertex_insertion(s, d):
+    c, model = case(s, d), make_model("sage_sum", 2)
+    hosts = c.stream.vertices.where("vid % 1600 = 1")
+    fresh = hosts.select((F.col("vid") + 5).alias("vid"))
+    state = insert(c.state(model), formula_features(fresh), model).pinned()
+    rows = hosts.select(F.col("vid").alias("seq"), F.lit(None).cast("timestamp").alias("ts"), F.lit("edge_add").alias("kind"), (F.col("vid") + 5).alias("src"), F.col("vid").alias("dst"), F.lit(1.0).alias("w"), F.lit(None).cast("array<double>").alias("feat"))
+    return to_long(inc.apply_incremental(state, net_effect(rows, state, D), model).state.layers[-1], "h", D)
+
+
 # --- inboxes and messages ----------------------------------------------------------------------------
 
 def _inbox(hop: int) -> None:
