@@ -85,7 +85,7 @@ class StateStore:
         tables = {"edges": ("src", state.edges), **{f"layer{i}": ("vid", x) for i, x in enumerate(state.layers)}, "vertices": ("vid", state.vertices)}
         for name, (key, df) in tables.items():
             self._write(df, name, key, 0, True)
-        self._publish({"base": 0, "versions": [], "tables": {n: [k, df.columns] for n, (k, df) in tables.items()}})
+        self._publish({"base": 0, "versions": [], "tables": {n: [k, df.columns, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in df.schema)] for n, (k, df) in tables.items()}})
 
     def commit(self, version: int, edges: DataFrame, layers: dict[int, DataFrame]) -> None:
         """Append a batch. ``edges``: (src, dst, w; null w for a deleted edge); layers: changed rows."""
@@ -99,13 +99,14 @@ class StateStore:
     def table(self, name: str, touched: list[int] | None = None, as_of: int | None = None) -> DataFrame:
         """Newest rows of a table; ``touched`` prunes to some buckets, ``as_of`` reads an earlier version."""
         manifest = self.manifest()
-        key, columns = manifest["tables"][name]
+        key, columns, ddl = manifest["tables"][name]
+        read = lambda part: self.spark.read.schema(f"{ddl}, version INT, bucket INT").parquet(f"{self.path}/{name}/{part}")
         full_key = ["src", "dst"] if name == "edges" else [key]
-        out = self.spark.read.parquet(f"{self.path}/{name}/base-{manifest['base']}")
+        out = read(f"base-{manifest['base']}")
         for v in manifest["versions"]:
             if as_of is None or v <= as_of:
                 if self._fs().exists(self._hpath(f"{name}/overlay-{v}")):
-                    out = out.unionByName(self.spark.read.parquet(f"{self.path}/{name}/overlay-{v}"))
+                    out = out.unionByName(read(f"overlay-{v}"))
         if touched is not None:
             out = out.where(F.col("bucket").isin(touched))
         newest = F.row_number().over(Window.partitionBy(*full_key).orderBy(F.desc("version")))
@@ -126,7 +127,7 @@ class StateStore:
         if not manifest["versions"]:
             return
         version = manifest["versions"][-1]
-        for name, (key, _) in manifest["tables"].items():
+        for name, (key, *_) in manifest["tables"].items():
             self._write(self.table(name), name, key, version, True)
         old = {"base": manifest["base"], "versions": manifest["versions"]}
         self._publish({**manifest, "base": version, "versions": []})
