@@ -161,6 +161,23 @@ def links_of_run(key: np.ndarray, fp: np.ndarray, radius: int) -> tuple[np.ndarr
     return (np.concatenate(left), np.concatenate(right)) if left else (empty, empty)
 
 
+def stars(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """One link from each node to the smallest node that these links connect it with."""
+    nodes, place = np.unique(np.concatenate([a, b]), return_inverse=True)
+    left, right = place[: len(a)], place[len(a) :]
+    label = np.arange(len(nodes))
+    while True:
+        before = label.copy()
+        least = np.minimum(label[left], label[right])
+        np.minimum.at(label, left, least)
+        np.minimum.at(label, right, least)
+        label = label[label]
+        if (label == before).all():
+            break
+    off = label != np.arange(len(nodes))
+    return nodes[label[off]], nodes[off]
+
+
 def block_masks(blocks: int, radius: int) -> list[int]:
     """One bit mask for each combination of blocks that some pair within the radius must agree on."""
     edges = [round(64 * i / blocks) for i in range(blocks + 1)]
@@ -195,8 +212,8 @@ def links(distinct: DataFrame, keys: Column, radius: int, lanes: int = 1) -> Dat
         def close(ready: list[pa.RecordBatch]) -> pa.RecordBatch:
             key, rep, *fp = (np.concatenate([b.column(c).to_numpy() for b in ready]) for c in ("key", "rep", *names))
             a, b = links_of_run(key, np.stack(fp, axis=1).view(np.uint64), radius)
-            pairs = np.unique(np.stack([np.minimum(rep[a], rep[b]), np.maximum(rep[a], rep[b])], axis=1), axis=0)
-            return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["a", "b"])
+            low, high = stars(rep[a], rep[b])
+            return pa.RecordBatch.from_arrays([pa.array(low), pa.array(high)], names=["a", "b"])
 
         for batch in batches:
             if not batch.num_rows:
