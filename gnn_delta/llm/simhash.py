@@ -195,12 +195,6 @@ def agreement_keys(radius: int, blocks: int) -> Column:
     return F.array(*[F.xxhash64(F.lit(i), F.col("f0").bitwiseAND(F.lit(signed(m)))) for i, m in enumerate(masks)])
 
 
-def band_keys(lanes: int, bits: int) -> Column:
-    """Keys of single bands of ``bits`` bits over all lanes: a pair shares one with high probability."""
-    bands = [(k, at) for k in range(lanes) for at in range(0, 65 - bits, bits)]
-    return F.array(*[F.xxhash64(F.lit(i), F.shiftrightunsigned(F.col(f"f{k}"), at).bitwiseAND(F.lit((1 << bits) - 1))) for i, (k, at) in enumerate(bands)])
-
-
 def links(distinct: DataFrame, keys: Column, radius: int, lanes: int = 1) -> DataFrame:
     """Pairs (a, b) of representatives (column rep) of distinct fingerprints that connect all within the radius."""
     names = lane_names(lanes)
@@ -253,15 +247,188 @@ def near_duplicates(docs: DataFrame, width: int = 4, radius: int = RADIUS) -> Da
     return found.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("f0"), 16, "0")).alias("fingerprint"), F.col("component").alias("component_id"))
 
 
-#: near-dedup by estimated similarity: 512 bits of five-word shingles; texts of shingle similarity 0.8
-#: differ in about 77 of them (angle of the cosine 2*0.8/1.8), unrelated texts in about 256
-NEAR_WIDTH, NEAR_LANES, NEAR_BITS, NEAR_RADIUS = 5, 8, 16, 88
+#: near-dedup: sets of five-word shingles at Jaccard similarity SIMILAR or more. Candidates share one of
+#: BANDS keys of ROWS minima (missed at 0.8: (1 - 0.8^4)^32 = 5e-8) and differ in at most NEAR_RADIUS of 512
+#: bits (expected 78 at 0.8, deviation 8; sets of under 8 shingles up to 96, hence TINY_RADIUS)
+NEAR_WIDTH, NEAR_LANES, NEAR_RADIUS, TINY_RADIUS = 5, 8, 128, 144
+SIMILAR = (4, 5)
+BANDS, ROWS = 32, 4
+MINIMA = np.random.default_rng(SEED + 2).integers(0, 1 << 64, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
+#: radii of the searches that connect most members of a long run before its other pairs are looked at
+CONNECT = (64, 96)
+
+
+def shingle_set(text: bytes, width: int = NEAR_WIDTH) -> np.ndarray:
+    """Sorted distinct hashes of the shingles."""
+    words = text.lower().split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    width = min(width, len(words))
+    packed = b"".join([xxhash.xxh64_digest(b" ".join(words[i : i + width]), SEED) for i in range(len(words) - width + 1)])
+    return np.unique(np.frombuffer(packed, ">u8").astype(np.uint64))
+
+
+def set_bits(shingles: np.ndarray, lanes: int = NEAR_LANES) -> bytes:
+    """Majority bits over a set of shingles, little-endian lanes."""
+    hashes = np.stack([shingles, *(vec.mix(shingles * LANE[k]) for k in range(1, lanes))], axis=1)
+    bits = np.unpackbits(hashes.view(np.uint8), axis=1)
+    return np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > len(shingles)).tobytes()
+
+
+def band_keys(shingles: np.ndarray) -> np.ndarray:
+    """One key for each band of minima over the set."""
+    low = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
+    for at in range(0, len(shingles), 2048):
+        np.minimum(low, (shingles[at : at + 2048, None] * MINIMA).min(axis=0), out=low)
+    key = np.arange(1, BANDS + 1, dtype=np.uint64)
+    for column in low.reshape(BANDS, ROWS).T:
+        key = vec.mix(key ^ column)
+    return key
+
+
+def similar(a: np.ndarray, b: np.ndarray) -> bool:
+    """Whether the Jaccard similarity of two sorted sets is at least SIMILAR, in whole numbers."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return both * SIMILAR[1] >= (len(a) + len(b) - both) * SIMILAR[0]
+
+
+def sketches(docs: DataFrame) -> DataFrame:
+    """id, name (128-bit digest) and size of the shingle set, bits, band keys of every row."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in vec.slices(batches, "text"):
+            sets = [shingle_set((t or "").encode()) for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_pydict({
+                "id": batch.column("doc_id"), "name": pa.array([xxhash.xxh128_digest(s.tobytes()) for s in sets], pa.binary()), "n": pa.array([len(s) for s in sets], pa.int64()),
+                "fp": pa.array([set_bits(s) for s in sets], pa.binary()), "keys": pa.array([band_keys(s).view(np.int64) for s in sets], pa.list_(pa.int64())),
+            })
+
+    return docs.select("doc_id", "text").mapInArrow(rows, f"id {kind}, name binary, n long, fp binary, keys array<long>")
+
+
+def within(n: np.ndarray, fp: np.ndarray, table: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Which pairs may be similar: by size, pivots and bits."""
+    few, many = np.minimum(n[left], n[right]), np.maximum(n[left], n[right])
+    alive = np.flatnonzero(few * SIMILAR[1] >= many * SIMILAR[0])
+    alive = alive[near(fp, table, left[alive], right[alive], TINY_RADIUS)]
+    limit = np.where(few[alive] < 8, TINY_RADIUS, NEAR_RADIUS)
+    return alive[distance(fp, left[alive], right[alive]) <= limit]
+
+
+def first_pairs(key: np.ndarray, n: np.ndarray, fp: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All candidates of short runs; of a long run pairs that connect its close members, and each member with itself."""
+    change = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+    length = np.diff(np.concatenate([change, [len(key)]]))
+    run = np.repeat(length, length)
+    table = pivot_table(fp)
+    for shift in range(1, min(SHORT, len(key) - 1) + 1):
+        at = np.flatnonzero((key[shift:] == key[:-shift]) & (run[:-shift] <= SHORT))
+        at = at[within(n, fp, table, at, at + shift)]
+        yield at, at + shift
+    for begin, size in zip(change[length > SHORT].tolist(), length[length > SHORT].tolist(), strict=True):
+        end = begin + size
+        yield np.arange(begin, end), np.arange(begin, end)
+        for radius in CONNECT:
+            a, b = connect_run(fp[begin:end], table[begin:end], radius)
+            yield a + begin, b + begin
+
+
+def other_pairs(key: np.ndarray, n: np.ndarray, fp: np.ndarray, label: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All candidates of long runs whose members are not connected yet."""
+    change = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+    length = np.diff(np.concatenate([change, [len(key)]]))
+    table = pivot_table(fp)
+    for begin, size in zip(change[length > SHORT].tolist(), length[length > SHORT].tolist(), strict=True):
+        own = label[begin : begin + size]
+        kinds, place, count = np.unique(own, return_inverse=True, return_counts=True)
+        if len(kinds) == 1:
+            continue
+        large = place == count.argmax()
+        rest = np.flatnonzero(large) + begin
+        for at in (np.flatnonzero(~large) + begin).tolist():
+            others = rest[label[rest] != label[at]]
+            hub = np.full(len(others), at)
+            good = within(n, fp, table, hub, others)
+            yield hub[good], others[good]
+            rest = np.append(rest, at)
+
+
+def candidates(distinct: DataFrame, chosen) -> DataFrame:
+    """Pairs (a, b) of representatives that ``chosen`` names in runs of equal band keys."""
+    columns = ["n", "fp", *(c for c in ("label",) if c in distinct.columns)]
+    keyed = distinct.select("rep", *columns, F.explode("keys").alias("key")).repartition(partitions(distinct.sparkSession), "key").sortWithinPartitions("key")
+
+    def close(ready: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(ready)
+        fp = np.frombuffer(b"".join(table.column("fp").to_pylist()), np.uint64).reshape(-1, NEAR_LANES)
+        key, rep, n, *label = (table.column(c).to_numpy() for c in ("key", "rep", "n", *columns[2:]))
+        for a, b in chosen(key, n, fp, *label):
+            if len(a):
+                yield pa.RecordBatch.from_arrays([pa.array(rep[a]), pa.array(rep[b])], names=["a", "b"])
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            key = batch.column("key").to_numpy()
+            cut = int(np.searchsorted(key, key[-1]))  # the last key may go on in the next batch
+            if cut or (held and held[-1].column("key")[-1].as_py() != int(key[-1])):
+                yield from close([*held, batch.slice(0, cut)])
+                held = []
+            held.append(batch.slice(cut))
+        if held:
+            yield from close(held)
+
+    return keyed.mapInArrow(rows, "a long, b long").distinct()
+
+
+def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose shingle sets are similar; sets of hot hubs (column a) are broadcast."""
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in vec.slices(batches, "text"):
+            packed = [shingle_set((t or "").encode()).tobytes() for t in batch.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(packed, pa.binary())], names=["id", "shingles"])
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x, y = (batch.column(c).to_pylist() for c in ("x", "y"))
+            good = [similar(np.frombuffer(p, np.uint64), np.frombuffer(q, np.uint64)) for p, q in zip(x, y, strict=True)]
+            yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
+
+    held = written(docs.select("doc_id", "text").join(wanted, "doc_id", "left_semi").mapInArrow(sets, "id long, shingles binary"), "shingles")
+    right = pairs.join(held.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
+    left = held.select(F.col("id").alias("a"), F.col("shingles").alias("x"))
+    hubs = pairs.groupBy("a").count().where(F.col("count") >= max(2 * BANDS * SHORT, int(pairs.count() * HOT_SHARE))).select("a")
+    near_hub = right.join(F.broadcast(left.join(F.broadcast(hubs), "a", "left_semi")), "a")
+    usual = right.join(F.broadcast(hubs), "a", "left_anti").join(left, "a")
+    columns = ["a", "b", "x", "y"]
+    out = written(near_hub.select(columns).unionByName(usual.select(columns)).mapInArrow(rows, "a long, b long"), "similar")
+    forget(held)
+    return out
 
 
 def dedup(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` (all columns) that stay: the smallest id of each group of near copies.
 
-    Five-word shingles, similarity 0.8 or more as estimated by 512 fingerprint bits."""
-    found = cluster(fingerprints(docs, NEAR_WIDTH, NEAR_LANES), band_keys(NEAR_LANES, NEAR_BITS), NEAR_RADIUS, NEAR_LANES)
-    dropped = found.where("component <> id").select(F.col("id").alias("dropped_id"))
-    return without(docs, written(dropped, "dropped"))
+    Groups are the connected components of all candidates whose sets of five-word shingles have a Jaccard
+    similarity of 0.8 or more, computed from the texts; equal sets count once. In long runs of one key
+    (a hot group of near copies) most members are connected by few pairs first, then the pairs of what is
+    still apart are all verified."""
+    table = written(sketches(docs), "sketches")
+    distinct = written(table.groupBy("name").agg(F.min("id").alias("rep"), *(F.first(c).alias(c) for c in ("n", "fp", "keys"))).where("rep is not null"), "distinct")
+    pairs = written(candidates(distinct, first_pairs), "pairs")
+    good = verified(pairs.where("a <> b"), docs)
+    labels = components(good)
+    long = distinct.join(pairs.where("a = b").select(F.col("a").alias("rep")), "rep", "left_semi")
+    apart = long.join(labels, long["rep"] == labels["node"], "left").withColumn("label", F.coalesce("component", "rep"))
+    more = written(candidates(apart.select("rep", "n", "fp", "keys", "label"), other_pairs), "pairs")
+    if more.limit(1).count():
+        labels = components(good.unionByName(verified(more, docs)))
+    equal = table.select(F.col("id").alias("dropped_id")).where("dropped_id is not null").join(distinct.select(F.col("rep").alias("dropped_id")), "dropped_id", "left_anti")
+    dropped = written(equal.unionByName(labels.where("component <> node").select(F.col("node").alias("dropped_id"))).distinct(), "dropped")
+    forget(table, distinct, pairs, more, good)
+    return without(docs, dropped)

@@ -196,6 +196,41 @@ def test_near_dedup_keeps_one(spark):
     assert sorted(r.doc_id for r in simhash.dedup(spark.createDataFrame(rows, "doc_id long, text string")).collect()) == [0, 10, 11, 12, 13, 14, 15]
 
 
+def jaccard(a: str, b: str) -> float:
+    x, y = ({tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} for w in (a.lower().split(), b.lower().split()))
+    return len(x & y) / len(x | y)
+
+
+def test_near_dedup_by_true_similarity(spark):
+    """Pairs of similarity 0.7 to 0.9, lone and in one hot group, against all pairs."""
+    rng = random.Random(21)
+    texts = []
+    for k in range(150):
+        base = [str(rng.randrange(10**6)) for _ in range(rng.choice([12, 60, 204]))]
+        n = len(base) - 4
+        edge = round(n * (1 - rng.choice([0.70, 0.78, 0.79, 0.8, 0.81, 0.82, 0.9])))
+        texts += [" ".join(base), " ".join(base[: len(base) - edge])]
+    base = [str(rng.randrange(10**6)) for _ in range(104)]
+    for k in range(120):  # copies of one text: far apart, at the edge, close
+        w = list(base)
+        for at in rng.sample(range(104), rng.choice([1, 2, 2, 3])):
+            w[at] = f"new{k}"
+        texts.append(" ".join(w))
+    parent = list(range(len(texts)))
+
+    def root(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i in range(len(texts)):
+        for j in range(i + 1, len(texts)) if i >= 300 else [i | 1]:
+            if i != j and jaccard(texts[i], texts[j]) >= 0.8 and root(i) != root(j):
+                parent[max(root(i), root(j))] = min(root(i), root(j))
+    got = sorted(r.doc_id for r in simhash.dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect())
+    assert got == [i for i in range(len(texts)) if root(i) == i]
+
+
 def test_decontamination(spark):
     rng = random.Random(2)
     items = [(i, text(rng, n)) for i, n in enumerate((30, 60, 12))] + [(3, None), (4, ""), (5, "zq")]
