@@ -2,7 +2,8 @@
 
 Names written together are split by the most probable word sequence (Viterbi over unigram counts), then
 the words of host and path are scored. The unigram counts come from all URLs of the table (pieces between
-punctuation) and from a small seed vocabulary; naive Bayes sets the seed vocabulary of unwanted sites
+punctuation) and from a small seed vocabulary; a piece that known words make up counts for these words
+instead, however often it occurs; naive Bayes sets the seed vocabulary of unwanted sites
 against the pieces of the whole table and the seed vocabulary of ordinary sites.
 
 Defined cases: a null URL or one without ``://`` has empty host and path, no rule and is allowed; ties of
@@ -34,6 +35,8 @@ RULES = [
 UNWANTED = "casino win bet bets free spam farm poker slots jackpot bonus cheap pills viagra porn xxx adult sex escort loan payday crack warez torrent hack lottery prize click ads".split()
 ORDINARY = "www blog m example com net org edu gov news shop wiki docs about help home index html page article product category search en de fr es".split()
 SEED_COUNT = 1000
+#: in larger tables a seed word counts as this share of all pieces
+SEED_SHARE = 1 / 68
 
 
 @dataclass(frozen=True)
@@ -96,24 +99,75 @@ def rule_columns(host: Column, path: Column, rules=RULES) -> tuple[Column, Colum
     return name, verdict
 
 
-def fit(pages: DataFrame, vocabulary: int = 20_000) -> UrlModel:
-    """Counts over all URLs; the ``vocabulary`` most frequent pieces reach the driver."""
+def known_parts(piece: str, known: dict[str, float], shortest: int) -> list[str] | None:
+    """The most probable split of ``piece`` into two or more known words of at least ``shortest`` letters."""
+    best: list[float | None] = [0.0]
+    back = [0]
+    for end in range(1, len(piece) + 1):
+        top, at = None, 0
+        for start in range(end):
+            word = piece[start:end]
+            before = best[start]
+            if before is None or len(word) < shortest or len(word) == len(piece) or word not in known:
+                continue
+            if top is None or before + known[word] > top:
+                top, at = before + known[word], start
+        best.append(top)
+        back.append(at)
+    if best[-1] is None:
+        return None
+    parts, end = [], len(piece)
+    while end:
+        parts.append(piece[back[end] : end])
+        end = back[end]
+    return parts
+
+
+def joined_words(counts: dict[str, int], seeds: set[str]) -> dict[str, int]:
+    """Counts of words: pieces made up of seed words or of words more frequent than themselves count for their parts.
+
+    Parts have three letters or more; shorter seed words are parts only beside a word of five."""
+    total = sum(counts.values()) or 1
+    words: dict[str, int] = {}
+    joined: list[tuple[list[str], int]] = []
+    known = {w: 0.0 for w in seeds}
+    for piece in sorted(counts, key=lambda w: (len(w), w)):  # parts are shorter, so they are settled before
+        n = counts[piece]
+        parts = None
+        if piece not in seeds:
+            fit_for = {w: known[w] for k in range(len(piece)) for e in range(k + 1, len(piece) + 1) if (w := piece[k:e]) in known and (w in seeds or len(w) >= 3 and words.get(w, 0) > n)}
+            parts = known_parts(piece, fit_for, 3) or known_parts(piece, fit_for, 1)
+            if parts and min(map(len, parts)) < 3 and max(map(len, parts)) < 5:
+                parts = None
+        if parts:
+            joined.append((parts, n))
+        else:
+            words[piece] = n
+            known[piece] = math.log(n / total)
+    for parts, n in joined:
+        for w in parts:
+            words[w] = words.get(w, 0) + n
+    return words
+
+
+def fit(pages: DataFrame) -> UrlModel:
+    """Counts over all URLs; every distinct piece reaches the driver."""
     host, path = split_url(F.col("url"))
     pieces = pages.select(F.explode(F.split(F.lower(F.concat_ws(" ", host, path)), r"[^\p{L}]+")).alias("w")).where(F.length("w").between(1, 40))
-    rows = pieces.groupBy("w").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "w").limit(vocabulary).collect()
-    counts = {r["w"]: r["n"] for r in rows}
+    rows = pieces.groupBy("w").agg(F.count("*").alias("n")).collect()
+    seeds = {*UNWANTED, *ORDINARY}
+    counts = joined_words({r["w"]: r["n"] for r in rows}, seeds)
     table = dict(counts)
-    # whole pieces that are seed words written together are not words of the language model
-    seeds = sorted({*UNWANTED, *ORDINARY})
-    for w in seeds:
-        table[w] = table.get(w, 0) + SEED_COUNT
+    seed_count = max(SEED_COUNT, int(sum(counts.values()) * SEED_SHARE))
+    for w in sorted(seeds):
+        table[w] = table.get(w, 0) + seed_count
     total = sum(table.values())
     logp = {w: math.log(n / total) for w, n in table.items()}
     unseen = math.log(1 / (total * 10))
     # unwanted sites use ordinary words too: a fifth of their words is the unwanted vocabulary
     good = {w: n for w, n in counts.items() if w not in UNWANTED}
     for w in ORDINARY:
-        good[w] = good.get(w, 0) + SEED_COUNT
+        good[w] = good.get(w, 0) + seed_count
     n_words = sum(good.values())
     bad = {**good, **{w: max(1, n_words // (4 * len(UNWANTED))) for w in UNWANTED}}
     n_bad, n_good = sum(bad.values()) + len(bad), n_words + len(bad)

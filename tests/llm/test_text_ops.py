@@ -9,6 +9,7 @@ import re
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from gnn_delta.llm import bpe, classifiers, components, debruijn, decontaminate, exact_dedup, langid, queries, simhash, suffix, suffix_dedup, urls
 from gnn_delta.llm.common import fold
@@ -340,6 +341,16 @@ def test_urls(spark):
     assert model.segment("casinowin") == ["casino", "win"]
 
 
+@pytest.mark.parametrize("size", [300, 9000])
+def test_urls_with_a_frequent_joined_host(spark, size):
+    """A third of all rows has one unwanted joined name; frequent ordinary names stay whole."""
+    host = F.when(F.col("id") % 3 == 0, "casinowin").when(F.col("id") % 3 == 1, "essex").otherwise("quiet")
+    pages = spark.range(size).select(F.col("id").alias("page_id"), F.concat(F.lit("http://"), host, F.lit(".example.net/en/"), "id").alias("url"))
+    got = {(r.host, r.verdict) for r in urls.judge(pages).select("host", "verdict").distinct().collect()}
+    assert got == {("casinowin.example.net", "block"), ("essex.example.net", "allow"), ("quiet.example.net", "allow")}
+    assert urls.fit(pages).segment("casinowin") == ["casino", "win"]
+
+
 def test_fold(spark):
     import zlib
 
