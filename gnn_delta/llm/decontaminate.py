@@ -5,7 +5,9 @@ window of m bytes shares at least (m - q + 1) - e*q of its q-grams, at places wh
 document minus place in the window) differ by at most e. So per document: all q-gram positions are looked
 up in a table of the benchmark's q-grams; stretches too poor in hits for any window are dropped; in the
 rest hits are counted per window in overlapping bands of diagonals; bands that reach the bound are
-verified by banded alignment. Only those pairs that align within the budget are results.
+verified by banded alignment. Only those pairs that align within the budget are results. Windows begin at
+every ``stride`` bytes, so each excerpt of ``window + stride`` bytes holds a whole one. The budget admits a
+replaced word: a stretch of b changed bytes spoils at most b + q - 1 q-grams, fewer than b single edits.
 
 The benchmark is the query set: it is read in blocks of a fixed size, each sent to all tasks, so what is
 broadcast never exceeds ``block_bytes`` of text.
@@ -33,20 +35,30 @@ FOLD[[9, 10, 11, 12, 13]] = 32
 
 @dataclass(frozen=True)
 class LeakConfig:
-    """``edits``: budget as a share of the window; ``window`` and ``stride`` in bytes."""
+    """``edits``: scattered edits as a share of the window; ``word``: the same for one replaced stretch, in
+    windows of ``least_word`` bytes or more; ``window`` and ``stride`` in bytes."""
 
     q: int = 12
-    window: int = 120
-    stride: int = 60
+    window: int = 60
+    stride: int = 4
     edits: float = 0.04
+    word: float = 0.2
+    least_word: int = 40
     slots: int = 1 << 22
     block_bytes: int = 4 << 20
 
-    def budget(self, m: int) -> int:
+    def scattered(self, m: int) -> int:
         return int(m * self.edits)
 
+    def replaced(self, m: int) -> int:
+        return int(m * self.word) if m >= self.least_word else 0
+
+    def budget(self, m: int) -> int:
+        return max(self.scattered(m), self.replaced(m))
+
     def bound(self, m: int) -> int:
-        return max(1, m - self.q + 1 - self.budget(m) * self.q)
+        spoilt = max(self.scattered(m) * self.q, self.replaced(m) + self.q - 1 if self.replaced(m) else 0)
+        return max(1, m - self.q + 1 - spoilt)
 
 
 def codes(data: np.ndarray, q: int) -> np.ndarray:
@@ -66,22 +78,29 @@ class Patterns:
         self.config = config
         self.windows: list[tuple[object, bytes]] = []
         self.tiny: list[tuple[object, bytes]] = []
+        self.starts: list[int] = []
+        texts, first, lasts = [], [], []
         for item, text in items:
             raw = FOLD[np.frombuffer((text or "").strip().encode(), np.uint8)].tobytes()
             if len(raw) < config.q:
                 if raw:
                     self.tiny.append((item, raw))
                 continue
-            starts = [*range(0, max(1, len(raw) - config.window + 1), config.stride)]
-            if starts[-1] + config.window < len(raw):
-                starts.append(len(raw) - config.window)
+            last = max(0, len(raw) - config.window)
+            starts = [*range(0, last, config.stride), last]
+            texts.append(np.frombuffer(raw, np.uint8))
+            first.append(len(self.windows))
+            lasts.append(last)
             self.windows += [(item, raw[s : s + config.window]) for s in starts]
-        grams = [codes(np.frombuffer(w, np.uint8), config.q) for _, w in self.windows]
+            self.starts += starts
+        grams = [codes(t, config.q) for t in texts]
         code = np.concatenate(grams) if grams else np.zeros(0, np.uint64)
-        window = np.repeat(np.arange(len(grams)), [len(g) for g in grams])
+        owner = np.repeat(np.arange(len(grams)), [len(g) for g in grams])
         place = np.concatenate([np.arange(len(g)) for g in grams]) if grams else np.zeros(0, np.int64)
         order = np.argsort(code, kind="stable")
-        self.code, self.window, self.place = code[order], window[order], place[order]
+        self.code, self.owner, self.place = code[order], owner[order], place[order]
+        self.first, self.last = np.array(first, np.int64), np.array(lasts, np.int64)
+        self.starts = np.array(self.starts, np.int64)
         self.present = np.zeros(config.slots, dtype=bool)
         self.shift = np.uint64(64 - (config.slots.bit_length() - 1))
         self.present[(self.code >> self.shift).astype(np.int64)] = True
@@ -89,6 +108,18 @@ class Patterns:
         self.bounds = np.array([config.bound(m) for m in sizes])
         self.least, self.longest = int(self.bounds.min()), int(sizes.max()) + config.budget(int(sizes.max()))
 
+    def windows_of(self, entry: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For table entries: positions in ``entry`` and the windows that hold the q-gram whole."""
+        owner, place = self.owner[entry], self.place[entry]
+        last, stride = self.last[owner], self.config.stride
+        regular = -(-last // stride)  # windows before the last one
+        low = np.maximum(0, -(-(place - self.config.window + self.config.q) // stride))
+        count = np.maximum(0, np.minimum(place // stride + 1, regular) - low)
+        at = np.repeat(np.arange(len(entry)), count)
+        k = np.repeat(low, count) + np.arange(len(at)) - np.repeat(np.cumsum(count) - count, count)
+        end = np.flatnonzero(place >= last)
+        return np.concatenate([at, end]), np.concatenate([self.first[owner[at]] + k, self.first[owner[end]] + regular[end]])
+
     def search(self, texts: pa.Array) -> Iterator[tuple[int, object, int, int, int]]:
         """(row, item, edits, start, length) of every verified region, best first per row and item."""
         config, q = self.config, self.config.q
@@ -121,7 +152,9 @@ class Patterns:
         times = high - low
         where = np.repeat(at, times)
         entry = np.repeat(low, times) + np.arange(len(where)) - np.repeat(np.cumsum(times) - times, times)
-        window, diagonal = self.window[entry], where - self.place[entry]
+        use, window = self.windows_of(entry)
+        where = where[use]
+        diagonal = where - self.place[entry[use]] + self.starts[window]
         row = np.searchsorted(offsets, where, "right") - 1
         width = max(1, config.budget(config.window))
         best: dict[tuple[int, object], tuple[int, int, int]] = {}
@@ -130,13 +163,19 @@ class Patterns:
             band = (diagonal + half * width) // (2 * width)
             keys = np.stack([window, band, row], axis=1)
             kinds, first, count = np.unique(keys, axis=0, return_index=True, return_counts=True)
-            for (w, _, r), f, c in zip(kinds.tolist(), first.tolist(), count.tolist(), strict=True):
-                if c < self.bounds[w]:
+            full = np.array([len(self.windows[w][1]) - q + 1 for w in kinds[:, 0].tolist()])
+            fewest = np.maximum(0, -(-(full - count) // q))  # edits at least, by the lemma
+            begins = diagonal[first]
+            for k in np.lexsort((begins, fewest)).tolist():
+                w, _, r = kinds[k].tolist()
+                if count[k] < self.bounds[w]:
                     continue
-                start = int(diagonal[f])
+                start = int(begins[k])
                 if (w, start) in seen:
                     continue
                 seen.add((w, start))
+                if (r, self.windows[w][0]) in best and best[r, self.windows[w][0]][0] <= fewest[k]:
+                    continue
                 item, pattern = self.windows[w]
                 slack = 2 * width
                 begin = max(int(offsets[r]), start - slack)

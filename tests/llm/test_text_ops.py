@@ -247,6 +247,23 @@ def test_decontamination(spark):
     assert sorted(r.doc_id for r in decontaminate.clean(docs, bench).collect()) == [0, 4, 5, 7]
 
 
+def test_decontamination_of_excerpts_and_replaced_words(spark):
+    """Verbatim excerpts of 64 bytes at every offset; one word replaced in every 60 to 70 bytes; short items."""
+    rng = random.Random(31)
+    items = [(0, text(rng, 60)[:240]), (1, text(rng, 40)[:95]), (2, text(rng, 80)[:360])]
+    rows = [(k, "zz yy. " + items[0][1][k : k + 64] + " xx ww") for k in range(240 - 63)]
+    want = {(k, 0) for k in range(240 - 63)}
+    for doc, item in ((1000, 1), (1001, 2)):
+        t = items[item][1]
+        for at in range(30, len(t) - 8, 66):
+            t = t[:at] + "QZQZQZQ" + t[at + 7 :]
+        rows.append((doc, "zz yy " + t + " xx"))
+        want.add((doc, item))
+    rows += [(2000 + k, text(rng, 200)) for k in range(50)]
+    got = decontaminate.leaks(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"))
+    assert {(r.doc_id, r.item_id) for r in got.collect()} == want
+
+
 def test_alignment():
     def edits(p, t):
         row = [0] * (len(t) + 1)
