@@ -5,7 +5,9 @@ token, then the token. So one last token per trie node holds every encoding; wor
 share its nodes. The last token of a node is the one vocabulary suffix that stays unmerged after its
 left neighbour. Words in sorted order visit the trie depth first, and only the current path is kept.
 
-Defined cases: null counts as empty (no ids, empty text back); special tokens in a text get their id.
+Defined cases: null counts as empty (no ids, empty text back); special tokens in a text get their id; a text
+of any length is encoded whole; repeated rows give repeated results; an empty table gives none; extra columns
+are not read. A vocabulary file whose stages differ from byte-level BPE is refused.
 """
 
 from __future__ import annotations
@@ -35,10 +37,20 @@ def byte_names() -> dict[str, int]:
     return names
 
 
+def refuse_others(spec: dict) -> None:
+    """Raise unless the file asks for byte-level BPE with the usual word pattern and nothing around it."""
+    pre, model = spec.get("pre_tokenizer") or {}, spec["model"]
+    plain = not spec.get("normalizer") and pre.get("type") == "ByteLevel" and pre.get("use_regex", True) and not pre.get("add_prefix_space")
+    plain = plain and (spec.get("decoder") or {}).get("type") == "ByteLevel" and not any(model.get(k) for k in ("dropout", "continuing_subword_prefix", "end_of_word_suffix", "byte_fallback", "ignore_merges"))
+    if not plain or any(t.get("lstrip") or t.get("rstrip") or t.get("single_word") for t in spec["added_tokens"]):
+        raise ValueError("not a plain byte-level BPE vocabulary")
+
+
 class Encoder:
     def __init__(self, path: str):
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        refuse_others(spec)
         names = byte_names()
         raw = lambda name: bytes(names[c] for c in name)
         self.ids = {raw(name): i for name, i in spec["model"]["vocab"].items() if all(c in names for c in name)}

@@ -2,7 +2,9 @@
 
 Defined cases: a null or empty text is scored by its structure statistics alone; labels other than 0
 and 1, null ids and repeated label rows are ignored or merged (the larger label counts); without any
-usable label the score is 0.5; extra columns are not read; repeated document rows give repeated rows.
+usable label the score is 0.5; extra columns are not read; repeated document rows give repeated rows; a
+text of any length is scored whole; a score equal to the threshold counts as reaching it; empty tables give
+empty results.
 """
 
 from __future__ import annotations
@@ -25,7 +27,11 @@ def trainable(doc_id: Column) -> Column:
 def fit_on(docs: DataFrame, labels: DataFrame, column: str, config: fm.FMConfig, allowed=trainable) -> fm.FMModel:
     """Model for ``labels.column``; the label sample is bounded (config.max_rows), so it is broadcast."""
     ids = fm.sample_labels(labels, column, allowed, config.max_rows)
-    return fm.fit(docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id"), config)
+    docs = docs.select("doc_id", "text")
+    fitting = fm.rows_within(docs, ids, config)
+    if fitting < config.max_rows:
+        ids = fm.sample_labels(labels, column, allowed, fitting)
+    return fm.fit(docs.join(F.broadcast(ids), "doc_id"), config)
 
 
 def judge(docs: DataFrame, labels: DataFrame, column: str, threshold: float, config: fm.FMConfig) -> DataFrame:

@@ -1,16 +1,18 @@
 """Repeated word spans by De Bruijn compaction.
 
 The words of all documents form a De Bruijn graph: each window of ``window`` words is an edge from its
-first to its last ``window - 1`` words. An edge seen more than once is a repeat; following edges that
-repeat together, in a document and at the same distance in the source (the first place of the edge), form
-a nonbranching path. Edges meet by the anchor of their window, in hash buckets; runs of edges that share
-anchor and source leave a bucket as one piece of path; a join by document puts pieces that continue each
-other together (:func:`repeats.compacted`), and the words at the source coordinates of every path are
-compared before anything is removed.
+first to its last ``window - 1`` words, named by 80 bits of hash. An edge seen more than once is a repeat;
+following edges that repeat together, in a document and at the same distance in the source (the first place
+of the edge), form a nonbranching path. Edges meet by the anchor of their window, in hash buckets; runs of
+edges that share anchor and source leave a bucket as one piece of path; a join by document puts pieces that
+continue each other together (:func:`repeats.compacted`), and the words at the source coordinates of every
+path are compared before anything is removed. A bucket beyond :data:`repeats.HELD` bytes (a phrase that a
+large share of all documents carries) is dealt anew edge by edge, by name.
 
 Defined cases: null and empty texts have no words; documents shorter than a window lose nothing; of equal
 windows the one with the smallest (doc_id, start) stays; a null id counts as smaller than all others, and
-rows that repeat an id are ordered by their texts; extra columns are not read.
+rows that repeat an id are ordered by their texts; texts of any length are read whole; an empty table gives
+an empty result; extra columns are not read.
 """
 
 from __future__ import annotations
@@ -23,11 +25,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import vec
-from .repeats import bucket_count, by_bucket, by_row, gathered, ids_of, runs, sliding_least, verified
+from .common import forget, written
+from .repeats import HELD, bucket_count, by_bucket, by_row, ids_of, met_by_name, runs, sliding_least, verified
 
 WINDOW = 20
 ANCHOR = 6
-#: per run of windows with one anchor: anchor, document, first word, windows; then 40 bits of each window
+#: per run of windows with one anchor: anchor, document, first word, windows; then 80 bits of each window
 RUN = ["<u8", "<i8", "<u4", "<u1"]
 
 
@@ -52,6 +55,7 @@ def edges(docs: DataFrame, window: int, anchor: int, buckets: int, seed: int) ->
             if not len(begin):
                 continue
             name = vec.mix(vec.ranges(sums, begin, begin + window) ^ np.uint64(0x5BD1E995))
+            more = vec.ranges(vec.prefix(vec.mix(token ^ np.uint64(0x2545F4914F6CDD1D))), begin, begin + window).astype("<u2")
             new = np.concatenate([[True], (chosen[1:] != chosen[:-1]) | (begin[1:] != begin[:-1] + 1)])
             head = np.flatnonzero(new)
             count = np.diff(np.concatenate([head, [len(begin)]]))
@@ -61,7 +65,7 @@ def edges(docs: DataFrame, window: int, anchor: int, buckets: int, seed: int) ->
             order = np.argsort(bucket, kind="stable")
             columns = [head_anchor[order], ids_of(batch)[doc[order]].astype("<i8"), (begin[head] - first[doc])[order].astype("<u4"), count[order].astype("<u1")]
             take = np.repeat(head[order] - (np.cumsum(count[order]) - count[order]), count[order]) + np.arange(len(begin))
-            low, high = (name[take] >> np.uint64(32)).astype("<u4"), (name[take] & np.uint64(255)).astype("<u1")
+            low, high = name[take].astype("<u8"), more[take]
             ends_at = np.concatenate([[0], np.cumsum(count[order])])
             got, blobs = [], []
             for a, b in runs(bucket[order]):
@@ -81,8 +85,8 @@ def read(blobs: list[bytes]) -> tuple[np.ndarray, ...]:
         for part, dtype in zip(runs_of, RUN, strict=True):
             part.append(np.frombuffer(blob, dtype, n, at))
             at += n * np.dtype(dtype).itemsize
-        lows.append(np.frombuffer(blob, "<u4", w, at))
-        highs.append(np.frombuffer(blob, "<u1", w, at + 4 * w))
+        lows.append(np.frombuffer(blob, "<u8", w, at))
+        highs.append(np.frombuffer(blob, "<u2", w, at + 8 * w))
     return *(np.concatenate(p) for p in runs_of), np.concatenate(lows), np.concatenate(highs)
 
 
@@ -96,16 +100,27 @@ def pieces(blobs: list[bytes]) -> Iterator[pa.RecordBatch]:
     per_edge = np.repeat(again, count)
     run = np.repeat(np.arange(len(count)), count)[per_edge]
     step = (np.arange(len(low)) - np.repeat(np.cumsum(count, dtype=np.int64) - count, count))[per_edge]
-    number = np.cumsum(again) - 1
-    dense = np.unique(inverse[again], return_inverse=True)[1][number[run]].astype(np.uint64)
-    name = (dense << np.uint64(40)) | (low[per_edge].astype(np.uint64) << np.uint64(8)) | high[per_edge]
+    name, more = low[per_edge], high[per_edge]
     e_doc, e_start = doc[run], start[run].astype(np.int64) + step
-    order = np.lexsort((e_start, e_doc, name))
-    name, e_doc, e_start = name[order], e_doc[order], e_start[order]
-    new = np.concatenate([[True], name[1:] != name[:-1]])
+    order = np.lexsort((e_start, e_doc, more, name))
+    name, more, e_doc, e_start = name[order], more[order], e_doc[order], e_start[order]
+    new = np.concatenate([[True], (name[1:] != name[:-1]) | (more[1:] != more[:-1])])
     source = np.maximum.accumulate(np.where(new, np.arange(len(name)), 0))
     later = ~((e_doc == e_doc[source]) & (e_start == e_start[source]))
-    yield path_rows(e_doc[later], e_start[later], e_doc[source][later], e_start[source][later])
+    yield of_kind(0, path_rows(e_doc[later], e_start[later], e_doc[source][later], e_start[source][later]))
+
+
+def of_kind(kind: int, rows: pa.RecordBatch) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.full(rows.num_rows, kind, np.int32)), *rows.columns], names=["kind", *rows.schema.names])
+
+
+def single_edges(blob: bytes) -> Iterator[pa.RecordBatch]:
+    """The edges of a blob one by one (kind 1), their names in the source columns."""
+    _, doc, start, count, low, high = read([blob])
+    run = np.repeat(np.arange(len(count)), count)
+    step = np.arange(len(low)) - np.repeat(np.cumsum(count, dtype=np.int64) - count, count)
+    columns = (doc[run], start[run].astype(np.int64) + step, np.ones(len(low), np.int64), low.view(np.int64), high.astype(np.int64))
+    yield of_kind(1, pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names=["doc", "start", "n", "src_doc", "src_start"]))
 
 
 def path_rows(doc: np.ndarray, start: np.ndarray, src_doc: np.ndarray, src_start: np.ndarray) -> pa.RecordBatch:
@@ -123,18 +138,26 @@ def path_rows(doc: np.ndarray, start: np.ndarray, src_doc: np.ndarray, src_start
     return pa.RecordBatch.from_arrays([pa.array(x) for x in (doc[head], start[head], n, src_doc[head], src_start[head])], names=["doc", "start", "n", "src_doc", "src_start"])
 
 
-def dedup(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR, with_text: bool = False) -> DataFrame:
+def dedup(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR, with_text: bool = False, held: int = HELD) -> DataFrame:
     """doc_id, n_words, n_removed, n_spans, kept_sha256 (and what is kept) of every row."""
-    return by_row(docs, lambda rows: _dedup(rows, window, anchor, with_text))
+    return by_row(docs, lambda rows: _dedup(rows, window, anchor, with_text, held))
+
+
+PIECES = "kind int, doc long, start long, n long, src_doc long, src_start long"
 
 
-def _dedup(docs: DataFrame, window: int, anchor: int, with_text: bool) -> DataFrame:
+def _dedup(docs: DataFrame, window: int, anchor: int, with_text: bool, held: int) -> DataFrame:
     """doc_id, n_words, n_removed, n_spans, kept_sha256 (and the kept words) of every row."""
     buckets = bucket_count(docs)
+    made: list[DataFrame] = []
 
     def spans(seed: int) -> DataFrame:
-        return by_bucket(edges(docs, window, anchor, buckets, seed), buckets, pieces, "doc long, start long, n long, src_doc long, src_start long")
+        found = written(by_bucket(edges(docs, window, anchor, buckets, seed), buckets, pieces, PIECES, single_edges, held), "pieces")
+        made.append(found)
+        single = found.where("kind = 1").select("doc", "start", F.col("src_doc").alias("hi"), F.col("src_start").alias("lo"))
+        return found.where("kind = 0").drop("kind").unionByName(met_by_name(single))
 
     out = verified(docs, spans, window, True, with_text)
+    forget(*made)
     columns = [F.col("units").alias("n_words"), F.col("removed").alias("n_removed"), F.col("runs").alias("n_spans"), "kept_sha256"]
     return out.select("doc_id", *columns, *([F.col("kept").cast("string").alias("kept")] if with_text else []))

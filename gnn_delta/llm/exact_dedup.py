@@ -1,32 +1,38 @@
 """Exact deduplication by a log-structured merge index over text digests, with DataFrame functions only.
 
-* Memtable and flush: every input task turns its rows into (digest, id), sorts them by digest and writes
-  a run: a Parquet file whose digest column carries a Bloom filter and min/max statistics, so that point
-  lookups (:meth:`DigestIndex.lookup`) skip runs and row groups.
-* Compaction: runs merge by digest with partial aggregation; each digest keeps the smallest identifier
-  (or the largest, by parameter) and its count. New runs may be added and compacted again.
+* Memtable and flush: every input task turns its rows into (digest, id, count) and writes a sorted run: a
+  Parquet file whose digest column carries a Bloom filter and min/max statistics, so that point lookups
+  (:meth:`DigestIndex.lookup`) skip runs and row groups.
+* Compaction: a level that holds ``fanout`` runs is merged into one run of the next level by partial
+  aggregation; each digest keeps the smallest identifier (or the largest, by parameter) and its count.
+* Hits: digests seen more than once fill a Bloom filter of bounded size, one array of words sent to all
+  tasks. Only rows that pass it are shuffled with their texts.
 * Byte verification: the rows of digests seen more than once are grouped by digest and whole text, so
   equality is decided on bytes; a digest shared by different texts would split into its texts.
 
-Defined cases: a null text counts as empty; rows with equal text and equal id are all marked kept;
-null ids never win over others; an empty table gives an empty result; extra columns are not read.
+Defined cases: a null text counts as empty; where ids are null or repeat, rows are told apart by a row
+number in order of (id, text), so that one row of each group stays whatever its id, and null ids never win
+over others; of rows equal in id and text any one stays; very long texts are one value each (the digest is
+what is sorted); an empty table gives an empty result; extra columns are not read, :func:`dedup` keeps them.
 """
 
 from __future__ import annotations
 
 import uuid
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import forget, lower_ascii, shared_dir, written
+from .common import forget, ids_identify, lower_ascii, numbered, rows_without, shared_dir, written
 
-#: a table of digests is broadcast up to this size, beyond it is joined by shuffle
-BROADCAST_BYTES = 32 << 20
-DIGEST_ROW_BYTES = 96
 #: digests that hold more than this share of all rows (so at most 1/share of them) are joined apart
 HOT_SHARE = 1 / 200
+#: runs of a level that are merged into one run of the next
+FANOUT = 4
+#: bits of the filter of hits: about ten for each, between these bounds (the upper one is 32 MB)
+FILTER_BITS = (1 << 13, 1 << 28)
+PROBES = 4
 
 
 def normalised(text: Column) -> Column:
@@ -39,69 +45,112 @@ def digest(text: Column) -> Column:
 
 @dataclass
 class DigestIndex:
-    """Sorted digest runs in one folder per level: level 0 as flushed, level 1 compacted."""
+    """Sorted digest runs by level: level 0 as flushed, higher ones merged."""
 
     spark: SparkSession
     path: str
     keep: str = "smallest"
+    fanout: int = FANOUT
+    levels: list[list[str]] = field(default_factory=list)
 
     @classmethod
-    def create(cls, spark: SparkSession, keep: str = "smallest") -> DigestIndex:
-        return cls(spark, f"{shared_dir(spark)}/digest-index-{uuid.uuid4().hex}", keep)
+    def create(cls, spark: SparkSession, keep: str = "smallest", fanout: int = FANOUT) -> DigestIndex:
+        return cls(spark, f"{shared_dir(spark)}/digest-index-{uuid.uuid4().hex}", keep, fanout)
 
-    def _write(self, df: DataFrame, level: str, mode: str) -> None:
-        rows = df.sortWithinPartitions("digest")
-        rows.write.mode(mode).option("parquet.bloom.filter.enabled#digest", "true").option("parquet.bloom.filter.adaptive.enabled", "true").parquet(f"{self.path}/{level}")
+    def _best(self) -> Column:
+        return F.min("id") if self.keep == "smallest" else F.max("id")
 
-    def flush(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> None:
-        """Add rows: one sorted run per task."""
-        self._write(docs.select(F.col(id_col).alias("id"), digest(normalised(F.col(text_col))).alias("digest")), "runs", "append")
-
-    def runs(self) -> DataFrame:
-        return self.spark.read.parquet(f"{self.path}/runs")
+    def _run(self, df: DataFrame, level: int) -> None:
+        while len(self.levels) <= level:
+            self.levels.append([])
+        path = f"{self.path}/level{level}-{uuid.uuid4().hex}"
+        rows = df.select("digest", "id", F.col("n").cast("long").alias("n")).sortWithinPartitions("digest")
+        rows.write.option("parquet.bloom.filter.enabled#digest", "true").option("parquet.bloom.filter.adaptive.enabled", "true").parquet(path)
+        self.levels[level].append(path)
 
-    def compact(self) -> DataFrame:
-        """digest, id that stays, count; rewritten as range-partitioned sorted runs."""
-        best = F.min("id") if self.keep == "smallest" else F.max("id")
-        merged = self.runs().groupBy("digest").agg(best.alias("id"), F.count("*").alias("n"))
-        self._write(merged, "merged", "overwrite")
-        return self.merged()
-
-    def merged(self) -> DataFrame:
-        return self.spark.read.parquet(f"{self.path}/merged")
+    def flush(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> None:
+        """Add rows: a run with one sorted file per task."""
+        self._run(docs.select(digest(normalised(F.col(text_col))).alias("digest"), F.col(id_col).alias("id"), F.lit(1).alias("n")), 0)
+
+    def _merge(self, paths: list[str]) -> DataFrame:
+        return self.spark.read.parquet(*paths).groupBy("digest").agg(self._best().alias("id"), F.sum("n").alias("n"))
+
+    def compact(self, whole: bool = False) -> None:
+        """Merge levels that are full; ``whole``: all runs into one."""
+        level = 0
+        while level < len(self.levels):
+            paths = list(self.levels[level]) if not whole else [p for runs in self.levels for p in runs]
+            if len(paths) >= (1 if whole else self.fanout):
+                self._run(self._merge(paths), len(self.levels) if whole else level + 1)
+                self._forget(paths)
+            if whole:
+                return
+            level += 1
+
+    def entries(self) -> DataFrame:
+        """digest, id that stays, count over all runs."""
+        paths = [p for runs in self.levels for p in runs]
+        if len(paths) == 1 and not self.levels[0]:
+            return self.spark.read.parquet(*paths)
+        return self._merge(paths)
 
     def lookup(self, digests: list[bytes]) -> DataFrame:
         """Entries of some digests; equality filters reach Bloom filters and statistics of the files."""
-        return self.merged().where(F.col("digest").isin([F.lit(bytearray(d)) for d in digests]))
+        paths = [p for runs in self.levels for p in runs]
+        found = self.spark.read.parquet(*paths).where(F.col("digest").isin([F.lit(bytearray(d)) for d in digests]))
+        return found.groupBy("digest").agg(self._best().alias("id"), F.sum("n").alias("n"))
 
     def verified(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-        """digest, text_key, keep_id, n for groups of two or more rows, equal byte by byte."""
-        hits = self.merged().where("n > 1").select("digest")
-        small = hits.count() * DIGEST_ROW_BYTES <= BROADCAST_BYTES
+        """digest, text, keep_id, n for groups of two or more rows, equal byte by byte."""
+        hits = self.entries().where("n > 1").select("digest")
         text = normalised(F.col(text_col))
         rows = docs.select(F.col(id_col).alias("id"), digest(text).alias("digest"), text.alias("text"))
-        rows = rows.join(F.broadcast(hits) if small else hits, "digest", "left_semi")
-        best = F.min("id") if self.keep == "smallest" else F.max("id")
-        return rows.groupBy("digest", "text").agg(best.alias("keep_id"), F.count("*").alias("n"))
+        return passing(rows, hits, hits.count()).groupBy("digest", "text").agg(self._best().alias("keep_id"), F.count("*").alias("n"))
 
-    def drop(self) -> None:
-        for level in ("runs", "merged"):
+    def _forget(self, paths: list[str]) -> None:
+        for path in paths:
             table = self.spark.createDataFrame([], "x int")
-            table._written_at = f"{self.path}/{level}"
+            table._written_at = path
             forget(table)
+            for runs in self.levels:
+                if path in runs:
+                    runs.remove(path)
+
+    def drop(self) -> None:
+        self._forget([p for runs in self.levels for p in runs])
+
+
+def probes(key: Column, bits: int) -> Column:
+    """The bits of a key."""
+    return F.array(*[F.pmod(F.xxhash64(key, F.lit(k)), F.lit(bits)) for k in range(PROBES)])
+
+
+def passing(rows: DataFrame, hits: DataFrame, n: int) -> DataFrame:
+    """``rows`` whose digest is among the ``n`` of ``hits``, or passes their filter by mistake (a group of one)."""
+    bits = min(max(FILTER_BITS[0], 1 << (10 * n).bit_length()), FILTER_BITS[1])
+    marked = hits.select(F.explode(probes(F.col("digest"), bits)).alias("p"))
+    words = marked.groupBy(F.expr("shiftright(p, 6)").alias("at")).agg(F.bit_or(F.expr("shiftleft(1L, CAST(p & 63 AS INT))")).alias("w"))
+    every = hits.sparkSession.range(bits // 64).withColumnRenamed("id", "at").join(words, "at", "left")
+    # one row of bounded size
+    ordered = F.array_sort(F.collect_list(F.struct("at", F.coalesce("w", F.lit(0).cast("long")).alias("w"))))
+    sieve = every.agg(F.transform(ordered, lambda x: x["w"]).alias("words"))
+    asked = rows.withColumn("at", probes(F.col("digest"), bits)).join(F.broadcast(sieve))
+    tests = [F.expr(f"words[CAST(shiftright(at[{k}], 6) AS INT)] & shiftleft(1L, CAST(at[{k}] & 63 AS INT)) <> 0") for k in range(PROBES)]
+    for t in tests:
+        asked = asked.where(t)
+    return asked.select(*rows.columns)
 
 
 def groups(docs: DataFrame, id_col: str, text_col: str, keep: str) -> tuple[DigestIndex, DataFrame, bool]:
     """Index, verified groups of two or more rows, and whether a digest is shared by different texts."""
     index = DigestIndex.create(docs.sparkSession, keep)
     index.flush(docs, id_col, text_col)
-    index.compact()
     # the text itself is kept only for digests with several texts
     found = index.verified(docs, id_col, text_col)
     per_digest = found.groupBy("digest").agg(
         F.count("*").alias("texts"), F.first("keep_id").alias("keep_id"), F.first("n").alias("n"),
     )
-    table = written(per_digest, "copies")
+    table = written(per_digest.where("texts > 1 or n > 1"), "copies")
     return index, table, table.where("texts > 1").limit(1).count() > 0
 
 
@@ -110,7 +159,7 @@ def joined(rows: DataFrame, table: DataFrame, total: int) -> DataFrame:
     bound = max(2, int(total * HOT_SHARE))
     hot = table.where(F.col("n") >= bound).select("digest", F.col("keep_id").alias("hot_keep"), F.col("n").alias("hot_n"))
     rest = table.where(F.col("n") < bound).select("digest", F.col("keep_id").alias("rest_keep"), F.col("n").alias("rest_n"))
-    first = rows.join(F.broadcast(hot), "digest", "left")
+    first = rows.drop("n").join(F.broadcast(hot), "digest", "left")
     second = first.where("hot_n is null").join(rest, "digest", "left")
     held = first.where("hot_n is not null").withColumns({"rest_keep": F.lit(None).cast("long"), "rest_n": F.lit(None).cast("long")})
     return held.unionByName(second).select(
@@ -120,10 +169,21 @@ def joined(rows: DataFrame, table: DataFrame, total: int) -> DataFrame:
 
 def mark(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest") -> DataFrame:
     """One row per document: doc_id, keep_id, group_size, kept, text_sha256 of the normalised text."""
+    if ids_identify(docs, id_col):
+        return _mark(docs, id_col, text_col, keep)
+    table, row = numbered(docs, id_col, text_col, "last" if keep == "smallest" else "first")
+    found = _mark(table.select(F.col(row).alias("id"), F.col(text_col).alias("text")), "id", "text", keep)
+    names = table.select(F.col(row).alias("id"), F.col(id_col).alias("own_id"))
+    kept = names.select(F.col("id").alias("keep_id"), F.col("own_id").alias("kept_id"))
+    out = found.join(names, "id").join(kept, "keep_id")
+    return out.select(F.col("own_id").alias(id_col), F.col("kept_id").alias("keep_id"), "group_size", "kept", "text_sha256")
+
+
+def _mark(docs: DataFrame, id_col: str, text_col: str, keep: str) -> DataFrame:
     index, table, collided = groups(docs, id_col, text_col, keep)
     if collided:
         return _mark_by_text(docs, id_col, text_col, keep)
-    rows = index.runs()
+    rows = index.spark.read.parquet(*index.levels[0])
     out = joined(rows, table, rows.count())
     return out.select(
         F.col("id").alias(id_col),
@@ -147,11 +207,8 @@ def _mark_by_text(docs: DataFrame, id_col: str, text_col: str, keep: str) -> Dat
 
 def dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "smallest") -> DataFrame:
     """The rows of ``docs`` (all columns) that stay: one of each group of equal texts."""
-    dropped = mark(docs, id_col, text_col, keep).where("not kept").select(F.col(id_col).alias("dropped_id"))
-    return without(docs, written(dropped, "dropped"), id_col)
 
+    def copies(rows: DataFrame) -> DataFrame:
+        return written(_mark(rows, "id", "text", keep).where("not kept").select(F.col("id").alias("dropped_id")), "dropped")
 
-def without(docs: DataFrame, dropped: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """Rows whose id is not listed; the list (column dropped_id) is broadcast only below a checked size."""
-    small = dropped.count() * DIGEST_ROW_BYTES <= BROADCAST_BYTES
-    return docs.join(F.broadcast(dropped) if small else dropped, docs[id_col] == dropped["dropped_id"], "left_anti")
+    return rows_without(docs, id_col, text_col, copies, "last" if keep == "smallest" else "first")

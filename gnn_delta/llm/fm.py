@@ -1,5 +1,10 @@
 """Factorisation machine over hashed terms and structure statistics of whole texts.
 
+Terms get parameters on marginal evidence (the label rate among rows with the term) or on evidence of a
+pair (the label rate among rows with both terms lies outside the rates of either term alone), so terms that
+matter only together are kept. Repeated rows, empty and very long texts need no special case: a text is a
+set of terms and some shares.
+
 score(x) = sigmoid(b + sum w_i x_i + 1/2 sum_f ((sum v_if x_i)^2 - sum v_if^2 x_i^2)), x binary: the
 pairwise part costs one pass over the active features. Features are computed by executors in Arrow
 batches; a bounded sample of labelled rows (``max_rows``) reaches the driver as hashed term numbers,
@@ -38,15 +43,21 @@ N_STATS = N_CLASSES + 6
 
 @dataclass(frozen=True)
 class FMConfig:
-    """``max_rows`` bounds the labelled rows used for fitting; ``n_terms`` the terms that get parameters."""
+    """``max_rows`` and ``max_bytes`` (their texts) bound the labelled rows used for fitting; ``n_terms`` the terms
+    that get parameters: those in ``min_df`` rows or more with evidence of ``min_z`` alone, or, among the ``pair_terms`` most frequent, ``pair_z`` in a pair (``pair_rows`` rows)."""
 
     n_hash: int = 1 << 18
     n_terms: int = 2048
     min_df: int = 8
     min_z: float = 4.0
+    pair_z: float = 7.0
+    pair_terms: int = 4096
+    pair_rows: int = 3000
+    max_bytes: int = 256 << 20
     factors: int = 8
     epochs: int = 12
     rate: float = 0.05
+    start: float = 0.05
     l2: float = 1e-4
     max_rows: int = 12_000
     structure: bool = True
@@ -142,6 +153,46 @@ def fit(labelled: DataFrame, config: FMConfig = FMConfig(), text: str = "text",
     return train(got, config)
 
 
+def informative(doc: np.ndarray, term: np.ndarray, y: np.ndarray, config: FMConfig) -> np.ndarray:
+    """The terms with most evidence on the label, alone or in a pair, in rising order."""
+    n = len(y)
+    share = y.mean() if n else 0.5
+    spread = max(share * (1 - share), 1e-9)
+    df = np.bincount(term, minlength=config.n_hash)
+    common = np.flatnonzero(df >= config.min_df)
+    dense = np.full(config.n_hash, -1, dtype=np.int64)
+    dense[common] = np.arange(len(common))
+    keep = dense[term] >= 0
+    rows, cols = doc[keep], dense[term[keep]]
+    held = df[common].astype(float)
+    positive = np.bincount(cols, y[rows], len(common))
+    evidence = np.abs(positive - held * share) / np.sqrt(np.maximum(held * spread, 1e-9))
+    evidence[evidence < config.min_z] = 0
+    # pairs: the most frequent terms, by products of 0/1 matrices over a part of the rows
+    often = np.sort(np.argsort(-held, kind="stable")[: config.pair_terms])
+    place = np.full(len(common), -1, dtype=np.int64)
+    place[often] = np.arange(len(often))
+    some = np.random.default_rng(config.seed).permutation(n)[: config.pair_rows]
+    row_at = np.full(n, -1, dtype=np.int64)
+    row_at[some] = np.arange(len(some))
+    use = (row_at[rows] >= 0) & (place[cols] >= 0)
+    x = np.zeros((len(some), len(often)), dtype=np.float32)
+    x[row_at[rows[use]], place[cols[use]]] = 1
+    labelled = x[y[some] > 0]
+    own = labelled.sum(axis=0) / np.maximum(x.sum(axis=0), 1)
+    for a in range(0, len(often), 1024):
+        b = min(a + 1024, len(often))
+        both, found = x[:, a:b].T @ x, labelled[:, a:b].T @ labelled
+        one, other = own[a:b, None], own[None, :]
+        usual = np.clip(found / np.maximum(both, 1), np.minimum(one, other), np.maximum(one, other))
+        z = np.abs(found - both * usual) / np.sqrt(np.maximum(both * np.maximum(usual * (1 - usual), spread), 1e-9))
+        z[(both < config.min_df) | (z < config.pair_z)] = 0
+        z[np.arange(b - a), np.arange(a, b)] = 0
+        evidence[often[a:b]] = np.maximum(evidence[often[a:b]], z.max(axis=1, initial=0))
+    best = np.argsort(-evidence, kind="stable")[: config.n_terms]
+    return np.sort(common[best[evidence[best] > 0]])
+
+
 def train(got, config: FMConfig) -> FMModel:
     """Fit from hashed rows (label, terms, stats) by AdaGrad on the logistic loss."""
     n = len(got)
@@ -151,20 +202,14 @@ def train(got, config: FMConfig) -> FMModel:
     stats = np.stack([np.frombuffer(x, "<f8") for x in got["stats"]]) if n else np.zeros((0, N_STATS))
     doc = np.repeat(np.arange(n), [len(t) for t in terms]) if n else np.zeros(0, np.int64)
     term = np.concatenate(terms) if n else np.zeros(0, np.int64)
-    df = np.bincount(term, minlength=config.n_hash)
-    df1 = np.bincount(term, y[doc], config.n_hash)
-    share = y.mean() if n else 0.5
-    z = np.abs(df1 - df * share) / np.sqrt(np.maximum(df * share * (1 - share), 1e-9))
-    z[(df < config.min_df) | (z < config.min_z)] = 0
-    chosen = np.argsort(-z, kind="stable")[: config.n_terms]
-    chosen = np.sort(chosen[z[chosen] > 0])
+    chosen = informative(doc, term, y, config)
     slot = np.full(config.n_hash, -1, dtype=np.int32)
     slot[chosen] = np.arange(len(chosen))
     edges = np.quantile(stats, np.arange(1, BINS) / BINS, axis=0).T if n else np.zeros((N_STATS, BINS - 1))
     width = len(chosen) + N_STATS * BINS
     rng = np.random.default_rng(config.seed)
     odds = float(np.log((y.sum() + 1) / (n - y.sum() + 1))) if n else 0.0
-    model = FMModel(slot, edges, odds, np.zeros(width), rng.normal(0, 0.01, (width, config.factors)), config)
+    model = FMModel(slot, edges, odds, np.zeros(width), rng.normal(0, config.start, (width, config.factors)), config)
     rows, cols = model.features(doc, term, stats)
     order = np.argsort(rows, kind="stable")
     rows, cols = rows[order], cols[order]
@@ -177,14 +222,13 @@ def train(got, config: FMConfig) -> FMModel:
             take = np.concatenate([np.arange(start[i], start[i + 1]) for i in pick])
             r, c = np.repeat(np.arange(len(pick)), start[pick + 1] - start[pick]), cols[take]
             vc = model.v[c]
-            summed = np.zeros((len(pick), config.factors))
-            np.add.at(summed, r, vc)
+            summed = np.stack([np.bincount(r, vc[:, f], len(pick)) for f in range(config.factors)], axis=1)
             p = 1 / (1 + np.exp(-np.clip(model.raw(r, c, len(pick)), -30, 30)))
             err = (p - y[pick]) / len(pick)
             used, inverse = np.unique(c, return_inverse=True)
             d_w = np.bincount(inverse, err[r], len(used)) + config.l2 * model.w[used]
-            d_v = np.zeros((len(used), config.factors))
-            np.add.at(d_v, inverse, err[r][:, None] * (summed[r] - vc))
+            push = err[r][:, None] * (summed[r] - vc)
+            d_v = np.stack([np.bincount(inverse, push[:, f], len(used)) for f in range(config.factors)], axis=1)
             d_v += config.l2 * model.v[used]
             g_w[used] += d_w**2
             g_v[used] += d_v**2
@@ -212,6 +256,13 @@ def score(docs: DataFrame, model: FMModel, keys: list[str], text: str = "text")
     return scored.select(*[F.col(a).alias(k) for a, k in zip(names, keys, strict=True)], "score")
 
 
+def rows_within(docs: DataFrame, ids: DataFrame, config: FMConfig) -> int:
+    """How many of the sampled rows fit ``max_bytes`` of text at their mean size."""
+    size = docs.select("doc_id", F.octet_length("text").alias("b")).join(F.broadcast(ids), "doc_id").agg(F.sum("b").alias("b"), F.count("*").alias("n")).first()
+    total, n = size["b"] or 0, size["n"]
+    return n if total <= config.max_bytes else max(1, int(n * config.max_bytes / total))
+
+
 def sample_labels(labels: DataFrame, column: str, allowed, max_rows: int) -> DataFrame:
     """At most ``max_rows`` labelled ids (doc_id, label), by hash order; ``allowed`` tests an id column."""
     picked = labels.where(F.col(column).isin(0, 1) & F.col("doc_id").isNotNull() & allowed(F.col("doc_id")))

@@ -1,11 +1,13 @@
 """Language identification by bit-sliced Bloom filters of character n-grams.
 
-All languages share one table: slot i holds an integer whose bit l says that language l's Bloom filter
-has bit i set, so the AND of the slots of an n-gram is the set of all languages that (may) contain it.
+All languages share one table: slot i holds as many words as its languages need; bit l of them says that
+language l's Bloom filter has bit i set, so the AND of the slots of an n-gram is the set of all languages that (may) contain it.
 Per document the popcount of each language is corrected for that filter's false-positive rate.
 
 Defined cases: null text or a text without letters gives ``und`` and score 0; with no labelled row every
-text is ``und``; ties go to the first language in name order; up to 63 languages.
+text is ``und``; ties go to the first language in name order, and so does a text of which no n-gram is known
+(score 0); texts of any length are read whole; repeated rows give repeated results; an empty table gives none;
+extra columns are not read.
 """
 
 from __future__ import annotations
@@ -20,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import vec
-from .common import fold
+from .common import fold, forget, written
 
 LETTER = regex.compile(r"\p{L}")
 
@@ -28,7 +30,8 @@ LETTER = regex.compile(r"\p{L}")
 @dataclass(frozen=True)
 class LangConfig:
     """``rows_per_lang``: expected bound of the rows each language is learnt from (hash sample);
-    ``grams``: most frequent n-grams kept per language; ``slots``: table size; ``probes``: hashes."""
+    ``grams``: at most so many of the most frequent n-grams per language (those above the count at which more
+    would be in); ``slots``: table size; ``probes``: hashes."""
 
     n: int = 4
     rows_per_lang: int = 2500
@@ -49,7 +52,7 @@ class LangModel:
         n_docs = len(offsets) - 1
         if not self.langs:
             return ["und"] * n_docs, np.zeros(n_docs)
-        mask = np.zeros(len(data) + 1, dtype=self.table.dtype)
+        mask = np.zeros((len(data) + 1, self.table.shape[1]), dtype=self.table.dtype)
         keys, at = grams(data, offsets, self.config.n)
         mask[at] = np.bitwise_and(self.table[_slot(keys, 0, self.config.slots)], self.table[_slot(keys, 1, self.config.slots)])
         for probe in range(2, self.config.probes):
@@ -57,12 +60,12 @@ class LangModel:
         total = np.diff(np.searchsorted(at, offsets))
         hits = np.zeros((n_docs, len(self.langs)))
         for lang in range(len(self.langs)):
-            running = np.concatenate([[0], np.cumsum((mask >> lang) & 1, dtype=np.int64)])
+            word, bit = divmod(lang, 8 * self.table.itemsize)
+            running = np.concatenate([[0], np.cumsum((mask[:, word] >> self.table.dtype.type(bit)) & self.table.dtype.type(1), dtype=np.int64)])
             hits[:, lang] = running[offsets[1:]] - running[offsets[:-1]]
         share = np.clip((hits / np.maximum(total, 1)[:, None] - self.false_rate) / (1 - self.false_rate), 0, 1)
         best = share.argmax(axis=1)
         top = share[np.arange(n_docs), best]
-        # a script or word never seen has no n-gram in any filter: the commonest language, with score 0
         score = np.where(top > 0, top / np.maximum(share.sum(axis=1), 1e-12), 0.0)
         lettered = np.diff(np.concatenate([[0], np.cumsum(~vec.NOT_LETTER[data])])[offsets]) > 0
         names = []
@@ -100,9 +103,9 @@ def _slot(keys: np.ndarray, probe: int, slots: int) -> np.ndarray:
 def fit(labelled: DataFrame, config: LangConfig = LangConfig()) -> LangModel:
     """Learn from rows (text, lang) by n-gram counts; what reaches the driver is bounded by ``grams`` per language."""
     known = labelled.where("lang is not null and text is not null")
-    sizes = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count("*").alias("n")).orderBy("lang").limit(63).collect()}
+    sizes = {r["lang"]: r["n"] for r in known.groupBy("lang").agg(F.count("*").alias("n")).collect()}
     if not sizes:
-        return LangModel([], np.zeros(config.slots, np.uint64), np.zeros(0), config)
+        return LangModel([], np.zeros((config.slots, 1), np.uint64), np.zeros(0), config)
     langs = sorted(sizes)
     rate = F.create_map(*[F.lit(x) for lang in langs for x in (lang, min(1.0, config.rows_per_lang / sizes[lang]))])
     unit = F.abs(F.xxhash64("text") % 1_000_003) / F.lit(1_000_003.0)
@@ -122,20 +125,22 @@ def fit(labelled: DataFrame, config: LangConfig = LangConfig()) -> LangModel:
 
     from pyspark.sql import Window
 
-    counts = picked.mapInArrow(counted, "lang int, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).where("n >= 2")
-    # first within shares of each language's n-grams, so that no language is ranked in one task
-    order = [F.desc("n"), F.col("gram")]
-    share = F.pmod(F.xxhash64("gram"), F.lit(64))
-    first = counts.withColumn("share", share).withColumn("r", F.row_number().over(Window.partitionBy("lang", "share").orderBy(*order))).where(F.col("r") <= config.grams)
-    rank = F.row_number().over(Window.partitionBy("lang").orderBy(*order))
-    top = first.withColumn("r", rank).where(F.col("r") <= config.grams).select("lang", "gram").toPandas()
-    dtype = np.uint8 if len(langs) <= 8 else np.uint64
-    table = np.zeros(config.slots, dtype=dtype)
+    counts = written(picked.mapInArrow(counted, "lang int, gram long, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).where("n >= 2"), "grams")
+    # per language the least count above which at most ``grams`` lie: one row for each count, not for each n-gram
+    above = F.sum("c").over(Window.partitionBy("lang").orderBy(F.desc("n")))
+    cut = counts.groupBy("lang", "n").agg(F.count("*").alias("c")).withColumn("above", above).where(F.col("above") <= config.grams)
+    cut = cut.groupBy("lang").agg(F.min("n").alias("least"))
+    top = counts.join(F.broadcast(cut), "lang").where("n >= least").select("lang", "gram").toPandas()
+    forget(counts)
+    kind = np.uint8 if len(langs) <= 8 else np.uint64
+    width = 8 * np.dtype(kind).itemsize
+    table = np.zeros((config.slots, -(-len(langs) // width)), dtype=kind)
     for lang, gram in top.groupby("lang")["gram"]:
+        word, bit = divmod(int(lang), width)
         keys = gram.to_numpy(dtype=np.int64).view(np.uint64)
         for probe in range(config.probes):
-            table[_slot(keys, probe, config.slots)] |= dtype(1 << int(lang))
-    fill = np.array([((table >> dtype(i)) & dtype(1)).mean() for i in range(len(langs))])
+            table[_slot(keys, probe, config.slots), word] |= kind(1 << bit)
+    fill = np.array([((table[:, i // width] >> kind(i % width)) & kind(1)).mean() for i in range(len(langs))])
     return LangModel(langs, table, fill**config.probes, config)
 
 

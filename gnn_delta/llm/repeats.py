@@ -24,7 +24,7 @@ from .common import forget, partitions, written
 SPAN = "start long, n long, src_doc long, src_start long"
 
 
-def bucket_count(docs: DataFrame, bytes_each: int = 16 << 20) -> int:
+def bucket_count(docs: DataFrame, bytes_each: int = 10 << 20) -> int:
     """Hash buckets for a table: its text bytes (summed in one scan) by ``bytes_each``, at least the shuffle partitions."""
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     return max(partitions(docs.sparkSession), size // bytes_each)
@@ -78,18 +78,32 @@ def gathered(blobs: list[bytes], dtypes: list[str]) -> list[np.ndarray]:
     return [np.concatenate(p) if p else np.zeros(0, d) for p, d in zip(parts, dtypes, strict=True)]
 
 
-def by_bucket(rows: DataFrame, count: int, work: Callable[[list[bytes]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
-    """Run ``work`` on all blobs of each bucket (rows bucket, blob)."""
+#: blobs of one bucket beyond so many bytes are not held in one task (a hot anchor)
+HELD = 96 << 20
+
+
+def by_bucket(rows: DataFrame, count: int, work: Callable[[list[bytes]], Iterator[pa.RecordBatch]], schema: str, spread: Callable[[bytes], Iterator[pa.RecordBatch]] | None = None, limit: int = HELD) -> DataFrame:
+    """Run ``work`` on all blobs of each bucket (rows bucket, blob).
+
+    Where a bucket has more than ``limit`` bytes, ``spread`` turns its blobs one by one into rows that are dealt anew."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        current, held = None, []
+        current, held, size, over = None, [], 0, False
         for batch in batches:
             for bucket, blob in zip(batch.column("bucket").to_pylist(), batch.column("blob").to_pylist(), strict=True):
-                if bucket != current and held:
-                    yield from work(held)
-                    held = []
-                current = bucket
-                held.append(blob)
+                if bucket != current:
+                    if held:
+                        yield from work(held)
+                    current, held, size, over = bucket, [], 0, False
+                size += len(blob)
+                if spread is not None and size > limit:
+                    for earlier in held:
+                        yield from spread(earlier)
+                    held, over = [], True
+                if over:
+                    yield from spread(blob)
+                else:
+                    held.append(blob)
         if held:
             yield from work(held)
         vec.give_back()
@@ -97,6 +111,15 @@ def by_bucket(rows: DataFrame, count: int, work: Callable[[list[bytes]], Iterato
     return rows.repartition(count, "bucket").sortWithinPartitions("bucket").mapInArrow(run, schema)
 
 
+def met_by_name(rows: DataFrame) -> DataFrame:
+    """Spans of single windows (doc, start; name in hi, lo): every place of a name but the first, with the first as source.
+
+    The first places are found by partial aggregation, and the join splits hot names (adaptive skew join)."""
+    first = rows.groupBy("hi", "lo").agg(F.min(F.struct("doc", "start")).alias("s"), F.count("*").alias("c")).where("c > 1")
+    later = rows.join(first, ["hi", "lo"]).where("not (doc = s.doc and start = s.start)")
+    return later.select("doc", "start", F.lit(1).cast("long").alias("n"), F.col("s.doc").alias("src_doc"), F.col("s.start").alias("src_start"))
+
+
 def compacted(spans: DataFrame) -> DataFrame:
     """Spans of a document that continue each other in document and source become one span."""
     order = Window.partitionBy("doc").orderBy("start", "n", "src_doc", "src_start").rowsBetween(Window.unboundedPreceding, 0)

@@ -26,9 +26,9 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import vec
-from .common import forget, partitions, written
+from .common import forget, partitions, rows_without, written
 from .components import components
-from .exact_dedup import HOT_SHARE, without
+from .exact_dedup import HOT_SHARE
 
 SEED = 42
 N_PIVOTS = 24
@@ -248,14 +248,17 @@ def near_duplicates(docs: DataFrame, width: int = 4, radius: int = RADIUS) -> Da
 
 
 #: near-dedup: sets of five-word shingles at Jaccard similarity SIMILAR or more. Candidates share one of
-#: BANDS keys of ROWS minima (missed at 0.8: (1 - 0.8^4)^32 = 5e-8) and differ in at most NEAR_RADIUS of 512
-#: bits (expected 78 at 0.8, deviation 8; sets of under 8 shingles up to 96, hence TINY_RADIUS)
-NEAR_WIDTH, NEAR_LANES, NEAR_RADIUS, TINY_RADIUS = 5, 8, 128, 144
+#: BANDS keys of ROWS minima (missed at 0.8: (1 - 0.8^4)^24 = 3e-6), differ in at most NEAR_RADIUS of 512
+#: bits (expected 78 at 0.8, deviation 8; TINY_RADIUS for sets under TINY shingles, whose bits vary more)
+#: and agree in the low bytes of at least LEAST_MINIMA of their 96 minima (expected 77, deviation 4); the mean
+#: of the similarities that both suggest (deviation 0.03) is at least LEAST_ESTIMATE
+NEAR_WIDTH, NEAR_LANES, NEAR_RADIUS, TINY_RADIUS, TINY = 5, 8, 112, 144, 16
 SIMILAR = (4, 5)
-BANDS, ROWS = 32, 4
+BANDS, ROWS, LEAST_MINIMA, LEAST_ESTIMATE = 24, 4, 60, 0.69
 MINIMA = np.random.default_rng(SEED + 2).integers(0, 1 << 64, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 #: radii of the searches that connect most members of a long run before its other pairs are looked at
 CONNECT = (64, 96)
+MARKS = BANDS * ROWS // 8
 
 
 def shingle_set(text: bytes, width: int = NEAR_WIDTH) -> np.ndarray:
@@ -275,17 +278,26 @@ def set_bits(shingles: np.ndarray, lanes: int = NEAR_LANES) -> bytes:
     return np.packbits(2 * bits.sum(axis=0, dtype=np.int64) > len(shingles)).tobytes()
 
 
-def band_keys(shingles: np.ndarray) -> np.ndarray:
-    """One key for each band of minima over the set."""
+def minima(shingles: np.ndarray) -> np.ndarray:
     low = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
     for at in range(0, len(shingles), 2048):
         np.minimum(low, (shingles[at : at + 2048, None] * MINIMA).min(axis=0), out=low)
+    return low
+
+
+def band_keys(low: np.ndarray) -> np.ndarray:
+    """One key for each band of minima over the set."""
     key = np.arange(1, BANDS + 1, dtype=np.uint64)
     for column in low.reshape(BANDS, ROWS).T:
         key = vec.mix(key ^ column)
     return key
 
 
+def marks(low: np.ndarray) -> bytes:
+    """A byte of each minimum."""
+    return (vec.mix(low) & np.uint64(255)).astype(np.uint8).tobytes()
+
+
 def similar(a: np.ndarray, b: np.ndarray) -> bool:
     """Whether the Jaccard similarity of two sorted sets is at least SIMILAR, in whole numbers."""
     both = len(np.intersect1d(a, b, assume_unique=True))
@@ -293,52 +305,73 @@ def similar(a: np.ndarray, b: np.ndarray) -> bool:
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """id, name (128-bit digest) and size of the shingle set, bits, band keys of every row."""
-    kind = docs.schema["doc_id"].dataType.simpleString()
+    """id, name (128-bit digest) and size of the shingle set, bits and marks, band keys of every row (id, text)."""
+    kind = docs.schema["id"].dataType.simpleString()
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in vec.slices(batches, "text"):
             sets = [shingle_set((t or "").encode()) for t in batch.column("text").to_pylist()]
+            low = [minima(s) for s in sets]
             yield pa.RecordBatch.from_pydict({
-                "id": batch.column("doc_id"), "name": pa.array([xxhash.xxh128_digest(s.tobytes()) for s in sets], pa.binary()), "n": pa.array([len(s) for s in sets], pa.int64()),
-                "fp": pa.array([set_bits(s) for s in sets], pa.binary()), "keys": pa.array([band_keys(s).view(np.int64) for s in sets], pa.list_(pa.int64())),
+                "id": batch.column("id"), "name": pa.array([xxhash.xxh128_digest(s.tobytes()) for s in sets], pa.binary()), "n": pa.array([len(s) for s in sets], pa.int32()),
+                "fp": pa.array([set_bits(s) + marks(m) for s, m in zip(sets, low, strict=True)], pa.binary()), "keys": pa.array([band_keys(m).view(np.int64) for m in low], pa.list_(pa.int64())),
             })
 
-    return docs.select("doc_id", "text").mapInArrow(rows, f"id {kind}, name binary, n long, fp binary, keys array<long>")
-
-
-def within(n: np.ndarray, fp: np.ndarray, table: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
-    """Which pairs may be similar: by size, pivots and bits."""
-    few, many = np.minimum(n[left], n[right]), np.maximum(n[left], n[right])
-    alive = np.flatnonzero(few * SIMILAR[1] >= many * SIMILAR[0])
-    alive = alive[near(fp, table, left[alive], right[alive], TINY_RADIUS)]
-    limit = np.where(few[alive] < 8, TINY_RADIUS, NEAR_RADIUS)
-    return alive[distance(fp, left[alive], right[alive]) <= limit]
-
-
-def first_pairs(key: np.ndarray, n: np.ndarray, fp: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    return docs.select("id", "text").mapInArrow(rows, f"id {kind}, name binary, n int, fp binary, keys array<long>")
+
+
+class Members:
+    """Sketches of the members of some runs: sizes, bits, marks, pivot distances."""
+
+    def __init__(self, n: np.ndarray, fp: list[bytes]):
+        self.n = n.astype(np.int64)
+        packed = np.frombuffer(b"".join(fp), np.uint64).reshape(len(n), -1)
+        self.bits, self.marks = packed[:, :NEAR_LANES], packed[:, NEAR_LANES:].copy().view(np.uint8)
+        self.table = pivot_table(self.bits)
+
+    def within(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Which pairs may be similar: by size, pivots, bits and marks."""
+        n = self.n
+        few, many = np.minimum(n[left], n[right]), np.maximum(n[left], n[right])
+        alive = np.flatnonzero(few * SIMILAR[1] >= many * SIMILAR[0])
+        alive = alive[near(self.bits, self.table, left[alive], right[alive], TINY_RADIUS)]
+        limit = np.where(few[alive] < TINY, TINY_RADIUS, NEAR_RADIUS)
+        alive = alive[distance(self.bits, left[alive], right[alive]) <= limit]
+        agree = (self.marks[left[alive]] == self.marks[right[alive]]).sum(axis=1)
+        alive, agree = alive[agree >= LEAST_MINIMA], agree[agree >= LEAST_MINIMA]
+        small = few[alive] < TINY
+        return alive[small | (self.estimate(left[alive], right[alive], agree) >= LEAST_ESTIMATE)]
+
+    def estimate(self, left: np.ndarray, right: np.ndarray, agree: np.ndarray) -> np.ndarray:
+        """Similarity by both sketches: the mean of what differing bits and what agreeing minima suggest."""
+        cosine = np.cos(np.pi * distance(self.bits, left, right) / (64 * NEAR_LANES))
+        both = cosine * np.sqrt(self.n[left] * self.n[right])
+        by_bits = both / (self.n[left] + self.n[right] - both)
+        by_marks = (agree / (BANDS * ROWS) - 1 / 256) / (1 - 1 / 256)
+        return (by_bits + by_marks) / 2
+
+
+def first_pairs(key: np.ndarray, members: Members) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """All candidates of short runs; of a long run pairs that connect its close members, and each member with itself."""
     change = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
     length = np.diff(np.concatenate([change, [len(key)]]))
     run = np.repeat(length, length)
-    table = pivot_table(fp)
     for shift in range(1, min(SHORT, len(key) - 1) + 1):
         at = np.flatnonzero((key[shift:] == key[:-shift]) & (run[:-shift] <= SHORT))
-        at = at[within(n, fp, table, at, at + shift)]
+        at = at[members.within(at, at + shift)]
         yield at, at + shift
     for begin, size in zip(change[length > SHORT].tolist(), length[length > SHORT].tolist(), strict=True):
         end = begin + size
         yield np.arange(begin, end), np.arange(begin, end)
         for radius in CONNECT:
-            a, b = connect_run(fp[begin:end], table[begin:end], radius)
+            a, b = connect_run(members.bits[begin:end], members.table[begin:end], radius)
             yield a + begin, b + begin
 
 
-def other_pairs(key: np.ndarray, n: np.ndarray, fp: np.ndarray, label: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def other_pairs(key: np.ndarray, members: Members, label: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """All candidates of long runs whose members are not connected yet."""
     change = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
     length = np.diff(np.concatenate([change, [len(key)]]))
-    table = pivot_table(fp)
     for begin, size in zip(change[length > SHORT].tolist(), length[length > SHORT].tolist(), strict=True):
         own = label[begin : begin + size]
         kinds, place, count = np.unique(own, return_inverse=True, return_counts=True)
@@ -349,23 +382,31 @@ def other_pairs(key: np.ndarray, n: np.ndarray, fp: np.ndarray, label: np.ndarra
         for at in (np.flatnonzero(~large) + begin).tolist():
             others = rest[label[rest] != label[at]]
             hub = np.full(len(others), at)
-            good = within(n, fp, table, hub, others)
+            good = members.within(hub, others)
             yield hub[good], others[good]
             rest = np.append(rest, at)
 
 
 def candidates(distinct: DataFrame, chosen) -> DataFrame:
-    """Pairs (a, b) of representatives that ``chosen`` names in runs of equal band keys."""
-    columns = ["n", "fp", *(c for c in ("label",) if c in distinct.columns)]
-    keyed = distinct.select("rep", *columns, F.explode("keys").alias("key")).repartition(partitions(distinct.sparkSession), "key").sortWithinPartitions("key")
+    """Pairs (a, b, apart) of representatives that ``chosen`` names in runs of equal band keys.
+
+    Keys alone are dealt first; sketches follow only to members of keys that several share."""
+    extra = [c for c in ("label",) if c in distinct.columns]
+    keyed = distinct.select("rep", F.explode("keys").alias("key"))
+    shared = keyed.groupBy("key").agg(F.count("*").alias("c")).where("c > 1").select("key")
+    met = keyed.join(shared.hint("shuffle_hash"), "key", "left_semi")
+    keyed = met.join(distinct.select("rep", "n", "fp", *extra), "rep")
+    keyed = keyed.repartition(partitions(distinct.sparkSession), "key").sortWithinPartitions("key")
 
     def close(ready: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = pa.Table.from_batches(ready)
-        fp = np.frombuffer(b"".join(table.column("fp").to_pylist()), np.uint64).reshape(-1, NEAR_LANES)
-        key, rep, n, *label = (table.column(c).to_numpy() for c in ("key", "rep", "n", *columns[2:]))
-        for a, b in chosen(key, n, fp, *label):
+        key, rep, n, *label = (table.column(c).to_numpy() for c in ("key", "rep", "n", *extra))
+        members = Members(n, table.column("fp").to_pylist())
+        for a, b in chosen(key, members, *label):
             if len(a):
-                yield pa.RecordBatch.from_arrays([pa.array(rep[a]), pa.array(rep[b])], names=["a", "b"])
+                turn = rep[a] > rep[b]
+                x, y = np.where(turn, rep[b], rep[a]), np.where(turn, rep[a], rep[b])
+                yield pa.RecordBatch.from_arrays([pa.array(x), pa.array(y), pa.array(distance(members.bits, a, b).astype(np.int32))], names=["a", "b", "apart"])
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.RecordBatch] = []
@@ -381,17 +422,31 @@ def candidates(distinct: DataFrame, chosen) -> DataFrame:
         if held:
             yield from close(held)
 
-    return keyed.mapInArrow(rows, "a long, b long").distinct()
+    return keyed.mapInArrow(rows, "a long, b long, apart int").distinct()
+
+
+def nearest(pairs: DataFrame) -> DataFrame:
+    """Of each member the pair with the closest other one."""
+    both = pairs.select(F.col("a").alias("x"), F.col("b").alias("y"), "apart").unionByName(pairs.select(F.col("b").alias("x"), F.col("a").alias("y"), "apart"))
+    best = both.groupBy("x").agg(F.min_by("y", F.struct("apart", "y")).alias("y"))
+    return best.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+
+
+def apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
+    """The pairs whose members are not connected yet."""
+    one, two = (labels.select(F.col("node").alias(c), F.col("component").alias(f"c_{c}")) for c in ("a", "b"))
+    joined = pairs.join(one, "a", "left").join(two, "b", "left")
+    return joined.where("coalesce(c_a, a) <> coalesce(c_b, b)").select(*pairs.columns)
 
 
 def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose shingle sets are similar; sets of hot hubs (column a) are broadcast."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+    """The pairs (a, b) whose shingle sets are similar; sets of hot hubs are broadcast. ``docs``: (id, text)."""
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in vec.slices(batches, "text"):
             packed = [shingle_set((t or "").encode()).tobytes() for t in batch.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(packed, pa.binary())], names=["id", "shingles"])
+            yield pa.RecordBatch.from_arrays([batch.column("id").cast(pa.int64()), pa.array(packed, pa.binary())], names=["id", "shingles"])
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -399,14 +454,19 @@ def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
             good = [similar(np.frombuffer(p, np.uint64), np.frombuffer(q, np.uint64)) for p, q in zip(x, y, strict=True)]
             yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    held = written(docs.select("doc_id", "text").join(wanted, "doc_id", "left_semi").mapInArrow(sets, "id long, shingles binary"), "shingles")
-    right = pairs.join(held.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
+    held = written(docs.join(wanted, "id", "left_semi").mapInArrow(sets, "id long, shingles binary"), "shingles")
+    # a pair is laid out from its busier member, so that the sets of few hubs go to many pairs
+    ends = pairs.select(F.explode(F.array("a", "b")).alias("hub")).groupBy("hub").count()
+    busy = ends.where(F.col("count") >= max(2 * BANDS * SHORT, int(pairs.count() * HOT_SHARE)))
+    hubs = [r["hub"] for r in busy.collect()]  # at most 2 / HOT_SHARE
+    of_hub = F.col("a").isin(hubs)
+    usual = pairs.select(F.when(F.col("b").isin(hubs) & ~of_hub, F.col("b")).otherwise(F.col("a")).alias("a"), F.when(F.col("b").isin(hubs) & ~of_hub, F.col("a")).otherwise(F.col("b")).alias("b"))
+    right = usual.join(held.select(F.col("id").alias("b"), F.col("shingles").alias("y")), "b")
     left = held.select(F.col("id").alias("a"), F.col("shingles").alias("x"))
-    hubs = pairs.groupBy("a").count().where(F.col("count") >= max(2 * BANDS * SHORT, int(pairs.count() * HOT_SHARE))).select("a")
-    near_hub = right.join(F.broadcast(left.join(F.broadcast(hubs), "a", "left_semi")), "a")
-    usual = right.join(F.broadcast(hubs), "a", "left_anti").join(left, "a")
+    near_hub = right.where(of_hub).join(F.broadcast(left.where(of_hub)), "a")
+    others = right.where(~of_hub).join(left, "a")
     columns = ["a", "b", "x", "y"]
-    out = written(near_hub.select(columns).unionByName(usual.select(columns)).mapInArrow(rows, "a long, b long"), "similar")
+    out = written(near_hub.select(columns).unionByName(others.select(columns)).mapInArrow(rows, "a long, b long"), "similar")
     forget(held)
     return out
 
@@ -415,20 +475,35 @@ def dedup(docs: DataFrame) -> DataFrame:
     """The rows of ``docs`` (all columns) that stay: the smallest id of each group of near copies.
 
     Groups are the connected components of all candidates whose sets of five-word shingles have a Jaccard
-    similarity of 0.8 or more, computed from the texts; equal sets count once. In long runs of one key
-    (a hot group of near copies) most members are connected by few pairs first, then the pairs of what is
-    still apart are all verified."""
+    similarity of 0.8 or more, computed from the texts; equal sets count once. Pairs are verified nearest
+    first: a pair whose members are connected already adds nothing and is left out. In long runs of one key
+    (a hot group of near copies) most members are connected by few pairs, then the pairs of what is still
+    apart are all verified."""
+    return rows_without(docs, "doc_id", "text", near_copies)
+
+
+def near_copies(docs: DataFrame) -> DataFrame:
+    """dropped_id of the rows (id, text; ids identify) that go."""
     table = written(sketches(docs), "sketches")
     distinct = written(table.groupBy("name").agg(F.min("id").alias("rep"), *(F.first(c).alias(c) for c in ("n", "fp", "keys"))).where("rep is not null"), "distinct")
     pairs = written(candidates(distinct, first_pairs), "pairs")
-    good = verified(pairs.where("a <> b"), docs)
+    real = pairs.where("a <> b")
+    good = verified(written(nearest(real), "nearest"), docs)
     labels = components(good)
+    rest = written(apart(real, labels), "rest")
+    if rest.limit(1).count():
+        good = good.unionByName(verified(rest, docs))
+        labels = components(good)
     long = distinct.join(pairs.where("a = b").select(F.col("a").alias("rep")), "rep", "left_semi")
-    apart = long.join(labels, long["rep"] == labels["node"], "left").withColumn("label", F.coalesce("component", "rep"))
-    more = written(candidates(apart.select("rep", "n", "fp", "keys", "label"), other_pairs), "pairs")
+    lone = long.join(labels, long["rep"] == labels["node"], "left").withColumn("label", F.coalesce("component", "rep"))
+    more = written(candidates(lone.select("rep", "n", "fp", "keys", "label"), other_pairs), "pairs")
     if more.limit(1).count():
-        labels = components(good.unionByName(verified(more, docs)))
-    equal = table.select(F.col("id").alias("dropped_id")).where("dropped_id is not null").join(distinct.select(F.col("rep").alias("dropped_id")), "dropped_id", "left_anti")
+        good = good.unionByName(verified(written(nearest(more), "nearest"), docs))
+        labels = components(good)
+        left = written(apart(more, labels), "rest")
+        if left.limit(1).count():
+            labels = components(good.unionByName(verified(left, docs)))
+    equal = table.select(F.col("id").alias("dropped_id")).join(distinct.select(F.col("rep").alias("dropped_id")), "dropped_id", "left_anti")
     dropped = written(equal.unionByName(labels.where("component <> node").select(F.col("node").alias("dropped_id"))).distinct(), "dropped")
-    forget(table, distinct, pairs, more, good)
-    return without(docs, dropped)
+    forget(table, distinct, pairs, more, rest)
+    return dropped

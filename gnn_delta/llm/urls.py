@@ -6,8 +6,10 @@ punctuation) and from a small seed vocabulary; a piece that known words make up
 instead, however often it occurs; naive Bayes sets the seed vocabulary of unwanted sites
 against the pieces of the whole table and the seed vocabulary of ordinary sites.
 
-Defined cases: a null URL or one without ``://`` has empty host and path, no rule and is allowed; ties of
-score are allowed; equally long rules: the first in the list wins.
+Defined cases: a null URL or one without ``://`` has empty host and path, no rule and is allowed; an empty
+path begins with no rule's path; ties of score are allowed; equally long rules: the first in the list wins;
+URLs of any length are read whole; repeated rows give repeated results; an empty table gives none; extra
+columns are not read.
 """
 
 from __future__ import annotations
@@ -35,6 +37,8 @@ RULES = [
 UNWANTED = "casino win bet bets free spam farm poker slots jackpot bonus cheap pills viagra porn xxx adult sex escort loan payday crack warez torrent hack lottery prize click ads".split()
 ORDINARY = "www blog m example com net org edu gov news shop wiki docs about help home index html page article product category search en de fr es".split()
 SEED_COUNT = 1000
+#: a piece is a word of its own from this share of all pieces on, which bounds their number at any size
+WORD_SHARE = 2e-6
 #: in larger tables a seed word counts as this share of all pieces
 SEED_SHARE = 1 / 68
 
@@ -93,7 +97,7 @@ def rule_columns(host: Column, path: Column, rules=RULES) -> tuple[Column, Colum
     name, verdict = F.lit(None).cast("string"), F.lit(None).cast("string")
     for order in sorted(range(len(rules)), key=lambda i: (len(rules[i][1]) + len(rules[i][2]), -i)):
         kind, on, prefix = rules[order]
-        fits = ((host == on) | host.endswith("." + on)) & path.startswith(prefix if prefix != "/" else "")
+        fits = ((host == on) | host.endswith("." + on)) & path.startswith(prefix)
         name = F.when(fits, on + prefix).otherwise(name)
         verdict = F.when(fits, kind).otherwise(verdict)
     return name, verdict
@@ -151,10 +155,11 @@ def joined_words(counts: dict[str, int], seeds: set[str]) -> dict[str, int]:
 
 
 def fit(pages: DataFrame) -> UrlModel:
-    """Counts over all URLs; every distinct piece reaches the driver."""
+    """Counts over all URLs; the pieces that reach the driver number at most 1 / WORD_SHARE."""
     host, path = split_url(F.col("url"))
     pieces = pages.select(F.explode(F.split(F.lower(F.concat_ws(" ", host, path)), r"[^\p{L}]+")).alias("w")).where(F.length("w").between(1, 40))
-    rows = pieces.groupBy("w").agg(F.count("*").alias("n")).collect()
+    counted = pieces.groupBy("w").agg(F.count("*").alias("n"))
+    rows = counted.where(F.col("n") >= (counted.agg(F.sum("n")).first()[0] or 0) * WORD_SHARE).collect()
     seeds = {*UNWANTED, *ORDINARY}
     counts = joined_words({r["w"]: r["n"] for r in rows}, seeds)
     table = dict(counts)

@@ -73,6 +73,12 @@ def test_word_spans(docs, corpus):
         assert got[i].kept_sha256 == hashlib.sha256(kept.encode()).hexdigest()
 
 
+def test_word_spans_of_hot_buckets(docs):
+    """Every bucket beyond the limit: edges are dealt anew one by one, with the same result."""
+    key = lambda r: (r.doc_id, r.n_words, r.n_removed, r.n_spans, r.kept_sha256)
+    assert sorted(map(key, debruijn.dedup(docs, held=1).collect())) == sorted(map(key, debruijn.dedup(docs).collect()))
+
+
 def test_byte_spans(docs, corpus):
     got = {r.doc_id: r for r in suffix_dedup.dedup(docs, with_text=True).collect()}
     seen: set[bytes] = set()
@@ -131,13 +137,39 @@ def test_exact_dedup(docs, corpus):
     assert {r.doc_id: r.keep_id for r in exact_dedup._mark_by_text(docs, "doc_id", "text", "smallest").collect()} == {i: min(ids) for ids in groups.values() for i in ids}
 
 
-def test_exact_index_lookup(spark, docs):
-    index = exact_dedup.DigestIndex.create(spark)
-    index.flush(docs)
-    index.flush(docs)
-    index.compact()
-    found = index.lookup([hashlib.sha256(b"a").digest(), bytes(32)]).collect()
-    assert [(r.id, r.n) for r in found] == [(3, 4)]
+def test_exact_index_by_levels(spark, docs, corpus):
+    index = exact_dedup.DigestIndex.create(spark, fanout=2)
+    for k in range(1, 6):
+        index.flush(docs)
+        index.compact()
+        found = index.lookup([hashlib.sha256(b"a").digest(), bytes(32)]).collect()
+        assert [(r.id, r.n) for r in found] == [(3, 2 * k)]
+    assert [len(x) for x in index.levels] == [1, 0, 1]
+    index.compact(whole=True)
+    assert sum(map(len, index.levels)) == 1
+    assert index.entries().count() == len({lower(t or "") for _, t, *_ in corpus})
+    index.drop()
+
+
+def test_filter_of_hits(spark):
+    rows = spark.range(5000).select(F.unhex(F.sha2(F.col("id").cast("string"), 256)).alias("digest"), "id")
+    hits = rows.where("id % 50 = 0").select("digest")
+    got = {r.id for r in exact_dedup.passing(rows, hits, 100).collect()}
+    assert {i for i in range(0, 5000, 50)} <= got and len(got) < 150
+
+
+def test_dedup_goes_by_row(spark):
+    """Rows that repeat an id with another text stay; rows equal in id and text leave one."""
+    rows = [(1, "other", 1), (1, "a b c", 2), (2, "A b c", 3), (3, "z", 4), (3, "z", 4), (None, "z", 5), (None, "lone", 6), (None, "A B C", 7)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, row long")
+    for f in (lambda d: exact_dedup.dedup(d, keep="smallest"), simhash.dedup):
+        got = f(docs)
+        assert got.columns == ["doc_id", "text", "row"]
+        assert sorted((r.doc_id or 0, r.text) for r in got.collect()) == [(0, "lone"), (1, "a b c"), (1, "other"), (3, "z")]
+    assert sorted((r.doc_id or 0, r.text) for r in exact_dedup.dedup(docs, keep="largest").collect()) == [(0, "lone"), (1, "other"), (2, "A b c"), (3, "z")]
+    marked = exact_dedup.mark(docs, keep="largest").collect()
+    assert len(marked) == 8 and sum(r.kept for r in marked) == 4
+    assert sorted((r.doc_id or 0, r.keep_id, r.group_size) for r in marked if r.group_size > 1) == [(0, 2, 3), (0, 3, 3), (1, 2, 3), (2, 2, 3), (3, 3, 3), (3, 3, 3)]
 
 
 def test_simhash(docs, corpus):
@@ -325,6 +357,23 @@ def test_factorisation_machine(spark, column):
     assert np.mean([got[i].predicted == labels[i][1] for i in held]) > 0.95
 
 
+@pytest.mark.parametrize("config", [classifiers.QUALITY, classifiers.TOXICITY])
+def test_interaction_without_marginal_evidence(spark, config):
+    """The label says whether exactly one of two words is there: neither word tells anything alone."""
+    rng = random.Random(8)
+    filler = ["".join(rng.choice("abcdefgh") for _ in range(5)) for _ in range(300)]
+    rows, labels = [], []
+    for i in range(3600):
+        a, b = rng.random() < 0.5, rng.random() < 0.5
+        w = [rng.choice(filler) for _ in range(40)]
+        w[3], w[9] = ("alpha" if a else w[3]), ("beta" if b else w[9])
+        rows.append((i, " ".join(w)))
+        labels.append((i, int(a != b), int(a != b)))
+    docs, table = spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    got = [r for r in classifiers.judge(docs, table, "toxic", 0.5, config).collect() if r.held_out]
+    assert np.mean([r.predicted == labels[r.doc_id][2] for r in got]) > 0.95
+
+
 def test_classifier_without_labels(spark, docs):
     nothing = spark.createDataFrame([], "doc_id long, quality int, toxic int")
     assert {round(r.score, 3) for r in classifiers.toxicity(docs, nothing).collect()} == {0.5}
@@ -340,6 +389,16 @@ def test_language(spark):
     assert [got[i].lang_pred for i in (1000, 1001, 1002, 1003, 1004)] == ["und", "und", "und", "aa", "und"]
 
 
+def test_many_languages(spark):
+    """More languages than one word has bits."""
+    rng = random.Random(6)
+    names = [f"l{k:03d}" for k in range(130)]
+    sounds = {l: ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(4)) for _ in range(12)] for l in names}
+    rows = [(i, " ".join(rng.choice(sounds[l]) for _ in range(30)), l) for i, l in enumerate(names * 6)]
+    got = {r.doc_id: r for r in langid.language(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()}
+    assert np.mean([got[i].lang_pred == l for i, _, l in rows]) > 0.97
+
+
 def test_urls(spark):
     rows = [
         (0, "http://A.example.ORG/es/1?x"), (1, "https://example.org/en/12"), (2, "https://example.org/en/2"), (3, "http://x.com/fr/a#b"), (4, "http://x.com/de/"), (5, None), (6, "no scheme"),
