@@ -209,7 +209,7 @@ def train(got, config: FMConfig) -> FMModel:
     width = len(chosen) + N_STATS * BINS
     rng = np.random.default_rng(config.seed)
     odds = float(np.log((y.sum() + 1) / (n - y.sum() + 1))) if n else 0.0
-    model = FMModel(slot, edges, odds, np.zeros(width), rng.normal(0, config.start, (width, config.factors)), config)
+    model = FMModel(slot, edges, odds, np.zeros(width), rng.normal(0, config.start if n else 0.0, (width, config.factors)), config)
     rows, cols = model.features(doc, term, stats)
     order = np.argsort(rows, kind="stable")
     rows, cols = rows[order], cols[order]
