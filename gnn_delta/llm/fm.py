@@ -180,8 +180,8 @@ def informative(doc: np.ndarray, term: np.ndarray, y: np.ndarray, config: FMConf
     x[row_at[rows[use]], place[cols[use]]] = 1
     labelled = x[y[some] > 0]
     own = labelled.sum(axis=0) / np.maximum(x.sum(axis=0), 1)
-    for a in range(0, len(often), 1024):
-        b = min(a + 1024, len(often))
+    for a in range(0, len(often), 256):
+        b = min(a + 256, len(often))
         both, found = x[:, a:b].T @ x, labelled[:, a:b].T @ labelled
         one, other = own[a:b, None], own[None, :]
         usual = np.clip(found / np.maximum(both, 1), np.minimum(one, other), np.maximum(one, other))
