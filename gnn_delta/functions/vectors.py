@@ -34,7 +34,7 @@ def to_wide(df: DataFrame, name: str, d: int, prefix: str) -> DataFrame:
 
 def to_long(df: DataFrame, prefix: str, d: int, digits: int | None = None, key: str = "vid") -> DataFrame:
     """(key, k, x): the comparable form of results."""
-    value = F.posexplode(F.array(*[F.col(c) for c in names(prefix, d)])).alias("k", "x")
+    value = F.expr(f"posexplode(array({', '.join(names(prefix, d))})) AS (k, x)")
     out = df.select(F.col(key).alias(key), value)
     # the shift moves exact halves away from the border, where the order of sums would decide
     x = F.col("x") if digits is None else F.round(F.col("x") + F.lit(3e-8), digits)

@@ -10,7 +10,8 @@ from ..plans.model import ModelSpec
 
 def next_hop(edges_new: DataFrame, d_edges: DataFrame, before: DataFrame, self_dependent: bool) -> DataFrame:
     """Sinks of changed edges, out-neighbours of the hop before and, if the layer reads it, the hop itself."""
-    out = d_edges.select(F.col("dst").alias("vid")).unionByName(edges_new.join(before.withColumnRenamed("vid", "src"), "src", "left_semi").select(F.col("dst").alias("vid")))
+    touched = edges_new.join(before.withColumnRenamed("vid", "src"), "src", "left_semi")
+    out = d_edges.select(F.col("dst").alias("vid")).unionByName(touched.select(F.col("dst").alias("vid")))
     if self_dependent:
         out = out.unionByName(before.select("vid"))
     return out.distinct()

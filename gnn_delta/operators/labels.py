@@ -14,12 +14,15 @@ def labels(last: DataFrame, d: int) -> DataFrame:
     return last.select("vid", argmax([F.col(x) for x in names("h", d)]).alias("label"))
 
 
+def changed_labels(old: DataFrame, new: DataFrame, d: int) -> DataFrame:
+    """(vid, old_label, new_label) where two tables of last-layer rows disagree, for the vertices of ``new``."""
+    before, after = labels(old, d).withColumnRenamed("label", "old_label"), labels(new, d).withColumnRenamed("label", "new_label")
+    return after.join(before, "vid").where("not (old_label <=> new_label)").select("vid", "old_label", "new_label")
+
+
 def label_changes(result: BatchResult, before: GraphState, d: int) -> DataFrame:
     """(vid, old_label, new_label) of vertices of the last hop whose label differs."""
-    who = result.affected[-1].select("vid")
-    old = labels(before.layers[-1], d).withColumnRenamed("label", "old_label").join(who, "vid", "left_semi")
-    new = labels(result.state.layers[-1], d).withColumnRenamed("label", "new_label").join(who, "vid", "left_semi")
-    return old.join(new, "vid").where("not (old_label <=> new_label)").select("vid", "old_label", "new_label")
+    return changed_labels(before.layers[-1], result.rows[-1], d)
 
 
 def lookup(last: DataFrame, vids: DataFrame, d: int) -> DataFrame:

@@ -7,52 +7,66 @@ un-normalised makes mean and degree-normalised sums maintainable when degrees ch
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.vectors import dense_columns, names, relu
+from ..functions.vectors import names
 from ..plans.model import LayerSpec
 
 #: matrices up to this many entries become literal arithmetic in generated code
 LITERAL_ENTRIES = 16 * 16
 
 
-def sent(spec: LayerSpec, h: Column, degree: Column) -> Column:
+def sent(spec: LayerSpec, h: str, degree: str) -> str:
     """What a vertex sends per unit of edge weight."""
-    return h / F.sqrt(F.greatest(degree, F.lit(1))) if spec.agg == "norm" else h
+    return f"{h} / sqrt(greatest({degree}, 1))" if spec.agg == "norm" else h
 
 
-def weight(spec: LayerSpec, w: Column) -> Column:
-    return w if spec.weighted else F.when(w.isNotNull(), F.lit(1.0)).otherwise(F.lit(None))
+def weight(spec: LayerSpec, w: str) -> str:
+    """Factor of a message; null stays null."""
+    return spec.custom.weight.format(w=w) if spec.custom else w if spec.weighted else f"CASE WHEN {w} IS NOT NULL THEN 1D END"
 
 
-def finished(spec: LayerSpec, s: list[Column], c: Column) -> list[Column]:
+def finished(spec: LayerSpec, s: list[str], c: str) -> list[str]:
     """The aggregate that enters the matrix, from the stored sum and degree."""
-    full = lambda x: F.when(c > 0, x).otherwise(F.lit(0.0))
+    full = lambda x: f"CASE WHEN {c} > 0 THEN {x} ELSE 0D END"
+    if spec.custom:
+        return [full(spec.custom.finish.format(s=x, c=c)) for x in s]
     if spec.agg == "mean":
-        return [full(x / c) for x in s]
+        return [full(f"{x} / {c}") for x in s]
     if spec.agg == "norm":
-        return [full(x / F.sqrt(c)) for x in s]
+        return [full(f"{x} / sqrt({c})") for x in s]
     if spec.agg == "sum_mean":
-        return [*s, *(full(x / c) for x in s)]
+        return [*s, *(full(f"{x} / {c}") for x in s)]
     return s
 
 
-def activated(spec: LayerSpec, xs: list[Column]) -> list[Column]:
-    return [relu(x) for x in xs] if spec.act == "relu" else xs
+def dense(xs: list[str], matrix, bias=None) -> list[str]:
+    """x*W (+ b) as literal arithmetic; zero weights vanish from the plan."""
+    out = []
+    for j in range(len(matrix[0])):
+        terms = [f"{x} * {float(row[j])!r}D" for x, row in zip(xs, matrix, strict=True) if row[j] != 0]
+        out.append(" + ".join([*([f"{float(bias[j])!r}D"] if bias is not None else []), *terms]) or "0D")
+    return out
 
 
-def output_columns(spec: LayerSpec, s: list[Column], c: Column, own: list[Column]) -> list[Column]:
-    """h of the layer as expressions of the stored aggregate, the degree and the vertex's own vector."""
-    x = finished(spec, s, c)
+def positive(xs: list[str]) -> list[str]:
+    return [f"greatest(0D, {x})" for x in xs]
+
+
+def output_columns(spec: LayerSpec, s: list[str], c: str, own: list[str]) -> list[str]:
+    """h of the layer as SQL expressions of the stored aggregate, the degree and the vertex's own vector.
+
+    Text, not Column objects: a matrix has many terms, and each object costs a call into the JVM."""
+    x = [f"({y})" for y in finished(spec, s, c)]
     if spec.conv == "gin":
-        inner = [a + (1 + spec.eps) * b for a, b in zip(x, own, strict=True)]
-        hidden = [relu(y) for y in dense_columns(inner, spec.w)]
-        return activated(spec, dense_columns(hidden, spec.w_self, spec.bias))
-    z = dense_columns(x, spec.w, spec.bias)
-    if spec.conv == "sage":
-        z = [a + b for a, b in zip(z, dense_columns(own, spec.w_self), strict=True)]
-    return activated(spec, z)
+        inner = [f"({a} + {1 + spec.eps!r}D * {b})" for a, b in zip(x, own, strict=True)]
+        z = dense(positive(dense(inner, spec.w)), spec.w_self, spec.bias)
+    else:
+        z = dense(x, spec.w, spec.bias)
+        if spec.conv == "sage":
+            z = [f"{a} + {b}" for a, b in zip(z, dense(own, spec.w_self), strict=True)]
+    return positive(z) if spec.act == "relu" else z
 
 
 def transform(df: DataFrame, spec: LayerSpec, keep: list[str], s: str = "s", own: str = "o", out: str = "h") -> DataFrame:
@@ -61,9 +75,8 @@ def transform(df: DataFrame, spec: LayerSpec, keep: list[str], s: str = "s", own
     Small matrices are literal arithmetic, large ones NumPy products over Arrow batches."""
     wide_s, wide_o, wide_h = names(s, spec.d_in), names(own, spec.d_in), names(out, spec.d_out)
     if spec.agg_width * spec.d_out <= LITERAL_ENTRIES:
-        columns = output_columns(spec, [F.col(x) for x in wide_s], F.col("c"), [F.col(x) for x in wide_o] if spec.self_dependent else [])
-        # inner arrays force each output to be computed once even where it is used twice
-        return df.select(*keep, *[x.alias(n) for x, n in zip(columns, wide_h, strict=True)])
+        columns = output_columns(spec, wide_s, "c", wide_o if spec.self_dependent else [])
+        return df.selectExpr(*keep, *[f"{x} AS {n}" for x, n in zip(columns, wide_h, strict=True)])
     return _by_matrix(df, spec, keep, wide_s, wide_o if spec.self_dependent else [], wide_h)
 
 
@@ -81,6 +94,8 @@ def _by_matrix(df: DataFrame, spec: LayerSpec, keep: list[str], wide_s: list[str
             column = lambda n: batch.column(n).to_numpy(zero_copy_only=False)  # noqa: E731, B023
             x = np.stack([column(n) for n in wide_s], axis=1)
             c = column("c").astype(float)[:, None]
+            if spec.custom:
+                raise NotImplementedError("aggregators of one's own have matrices up to LITERAL_ENTRIES")
             if spec.agg in ("mean", "sum_mean"):
                 mean = np.where(c > 0, x / np.maximum(c, 1), 0.0)
                 x = mean if spec.agg == "mean" else np.concatenate([x, mean], axis=1)
@@ -109,10 +124,11 @@ def gather(edges: DataFrame, h: DataFrame, spec: LayerSpec, keys: tuple[str, ...
     if spec.agg == "attention":
         raise NotImplementedError("attention needs both ends of an edge: see attend()")
     if spec.agg in ("max", "min"):
-        best = F.max if spec.agg == "max" else F.min
-        return group.agg(F.count("*").alias("c"), *[best(x).alias(s) for x, s in zip(wide_h, wide_s, strict=True)])
-    factor = weight(spec, F.col("w"))
-    return group.agg(F.count("*").alias("c"), *[F.sum(factor * sent(spec, F.col(x), F.col("degree"))).alias(s) for x, s in zip(wide_h, wide_s, strict=True)])
+        sums = [f"{spec.agg}({x}) AS {s}" for x, s in zip(wide_h, wide_s, strict=True)]
+    else:
+        factor = weight(spec, "w")
+        sums = [f"sum(({factor}) * {sent(spec, x, 'degree')}) AS {s}" for x, s in zip(wide_h, wide_s, strict=True)]
+    return group.agg(F.count("*").alias("c"), *map(F.expr, sums))
 
 
 def attend(edges: DataFrame, h: DataFrame, spec: LayerSpec) -> DataFrame:
@@ -138,7 +154,13 @@ def layer_forward(edges: DataFrame, before: DataFrame, spec: LayerSpec, targets:
     else:
         h = h.withColumn("degree", F.lit(0))
     agg = attend(edges, h, spec) if spec.agg == "attention" else gather(edges, h, spec)
-    full = targets.join(agg, "vid", "left").select("vid", F.coalesce("c", F.lit(0)).alias("c"), *[F.coalesce(s, F.lit(0.0)).alias(s) for s in names("s", d)])
+    return finish_rows(targets, agg, before, spec)
+
+
+def finish_rows(targets: DataFrame, agg: DataFrame, before: DataFrame, spec: LayerSpec) -> DataFrame:
+    """Layer rows of ``targets`` from their aggregates (vid, c, s0..); no aggregate: zero."""
+    d = spec.d_in
+    full = targets.join(agg, "vid", "left").selectExpr("vid", "coalesce(c, 0L) AS c", *[f"coalesce({s}, 0D) AS {s}" for s in names("s", d)])
     if spec.self_dependent:
-        full = full.join(before.select("vid", *[F.col(f"h{i}").alias(f"o{i}") for i in range(d)]), "vid")
+        full = full.join(before.selectExpr("vid", *[f"h{i} AS o{i}" for i in range(d)]), "vid")
     return transform(full, spec, ["vid", "c", *names("s", d)])

@@ -1,23 +1,29 @@
-"""Partitioned execution: placement of vertices, routing of updates, exchange of summed messages.
+"""Partitioned execution: placement of vertices, routing of updates, exchange of vectors.
 
-A column ``part`` says where a vertex lives; ``repartition`` by it is the move. Messages are summed inside
-their sender's part before they cross (one vector per receiver and part), the shuffle is the exchange, the
-stage boundary the barrier between hops.
+A column ``part`` says where a vertex lives. :func:`layout` stores every edge once with the parts of both its
+ends, in files bucketed by its source's part; a batch reads them there. Incremental: messages are summed
+beside their senders (one vector per receiver and part), the shuffle by the receiver's part is the exchange,
+the stage boundary the barrier between hops. Scoped recompute: parts ask for the vectors of remote sources,
+one per source and asking part, and aggregate at home.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import uuid
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.mixes import hash_part
+from ..functions.vectors import names
 from ..plans.model import ModelSpec
+from ..plans.scratch import settled_batch, shared_dir
 from ..plans.state import BatchResult, GraphState, overlay, pinned
 from .affected import affected_sets
 from .incremental import apply_inbox, deltas, messages
-from .netting import NetEffect, edges_after, features_after
+from .layers import finish_rows, gather
+from .netting import NetEffect, edges_after, features_after, side
 
 
 def place(vertices: DataFrame, edges: DataFrame, parts: int, method: str = "hash", rounds: int = 4) -> DataFrame:
@@ -113,17 +119,37 @@ def ghosts(edges: DataFrame, placed: DataFrame) -> DataFrame:
     return e.where("p <> q").select(F.col("dst").alias("vid"), F.col("p").cast("long").alias("part")).distinct()
 
 
-def partial_sums(sent: DataFrame, placed: DataFrame, d: int) -> DataFrame:
-    """Messages summed per receiver inside the sender's part: what a stub collects."""
-    located = sent.join(placed.select(F.col("vid").alias("src"), F.col("part").alias("from_part")), "src")
-    return located.groupBy("from_part", "dst").agg(F.sum("d_indeg").alias("d_indeg"), F.count("*").alias("n"), *[F.sum(f"m{i}").alias(f"m{i}") for i in range(d)])
+PARTS = ("p", "q")  # part of an edge's source and of its sink
 
 
-def exchange_inbox(partial: DataFrame, placed: DataFrame, d: int, parts: int) -> DataFrame:
-    """The inbox at the owners: partial sums go to the receiver's part and are summed there."""
-    owned = partial.join(placed.select(F.col("vid").alias("dst"), F.col("part").alias("to_part")), "dst")
-    moved = owned.repartition(parts, "to_part")
-    return moved.groupBy("to_part", F.col("dst").alias("vid")).agg(F.sum("d_indeg").alias("d_indeg"), F.sum("n").alias("n_msgs"), *[F.sum(f"m{i}").alias(f"m{i}") for i in range(d)]).drop("to_part")
+def layout(state: GraphState, placed: DataFrame, parts: int) -> GraphState:
+    """The state with edges (src, dst, w, p, q) laid out beside their sources, once."""
+    spark = placed.sparkSession
+    p, q = (placed.select(F.col("vid").alias(v), F.col("part").cast("int").alias(c)) for v, c in (("src", "p"), ("dst", "q")))
+    located = state.edges.join(p, "src").join(q, "dst").select("src", "dst", "w", *PARTS)
+    name = f"located_{uuid.uuid4().hex}"
+    located.repartition(parts, "p").write.bucketBy(parts, "p").sortBy("src").option("path", f"{shared_dir(spark)}/{name}").saveAsTable(name)
+    return GraphState(state.vertices, spark.table(name), state.layers, state.version)
+
+
+def located_effect(effect: NetEffect, placed: DataFrame) -> NetEffect:
+    """The batch's edges with the parts of both ends: the batch is small, the map is read once."""
+    near = placed.join(side(effect.d_edges.select(F.explode(F.array("src", "dst")).alias("vid")).distinct(), effect.small), "vid", "left_semi")
+    p, q = (near.select(F.col("vid").alias(v), F.col("part").cast("int").alias(c)) for v, c in (("src", "p"), ("dst", "q")))
+    return replace(effect, d_edges=settled_batch(effect.d_edges.join(p, "src").join(q, "dst"), effect.size))
+
+
+def partial_sums(sent: DataFrame, d: int) -> DataFrame:
+    """Messages summed per receiver inside the sender's part: what a stub collects. ``sent`` carries p and q."""
+    sums = [F.sum(f"m{i}").alias(f"m{i}") for i in range(d)]
+    return sent.groupBy("p", "dst", "q").agg(F.sum("d_indeg").alias("d_indeg"), F.count("*").alias("n"), *sums)
+
+
+def exchange_inbox(partial: DataFrame, d: int, parts: int) -> DataFrame:
+    """The inbox at the owners: partial sums go to the receiver's part and are summed there, without another shuffle."""
+    sums = [F.sum(f"m{i}").alias(f"m{i}") for i in range(d)]
+    home = partial.repartition(parts, "q").groupBy("q", F.col("dst").alias("vid"))
+    return home.agg(F.sum("d_indeg").alias("d_indeg"), F.sum("n").alias("n_msgs"), *sums).drop("q")
 
 
 @dataclass
@@ -134,20 +160,54 @@ class PartitionedResult:
 
 def apply_partitioned(state: GraphState, effect: NetEffect, model: ModelSpec, placed: DataFrame, parts: int, pin=pinned) -> PartitionedResult:
     """Incremental propagation with placed vertices: local sums, exchange, apply at the owner, hop by hop."""
-    edges_new = pin(edges_after(state.edges, effect.d_edges, effect.small))
+    if "p" not in state.edges.columns:
+        state = layout(state, placed, parts)
+    effect = located_effect(effect, placed)
     layers = [features_after(state.layers[0], effect.d_feats, model.layers[0].d_in, effect.small)]
-    changed, hops, partials = [effect.d_feats], [effect.d_feats.select("vid")], []
+    changed, hops, partials, made = [effect.d_feats], [effect.d_feats.select("vid")], [], []
     for hop, spec in enumerate(model.layers, 1):
         spec.require_inverse()
-        sent = messages(changed[-1], state, edges_new, effect.d_edges, hop, spec, effect.small)
-        partial = partial_sums(sent, placed, spec.d_in)
+        sent = messages(changed[-1], state, effect, hop, spec, PARTS)
+        partial = partial_sums(sent, spec.d_in)
         partials.append(partial)
-        inbox = exchange_inbox(partial, placed, spec.d_in, parts)
+        inbox = exchange_inbox(partial, spec.d_in, parts)
         rows = pin(apply_inbox(state.layers[hop], inbox, layers[-1], changed[-1].select("vid") if spec.self_dependent else None, spec))
+        made.append(rows)
         layers.append(overlay(state.layers[hop], rows, ["vid"]))
         changed.append(deltas(rows, spec.d_out))
         hops.append(rows.select("vid"))
-    return PartitionedResult(BatchResult(GraphState(state.vertices, edges_new, layers, state.version + 1), hops, changed, [], ["partitioned"] * model.depth), partials)
+    after = GraphState(state.vertices, edges_after(state.edges, effect.d_edges, effect.small, PARTS), layers, state.version + 1)
+    return PartitionedResult(BatchResult(after, hops, changed, [], ["partitioned"] * model.depth, made), partials)
+
+
+def pull_requests(pulled: DataFrame) -> DataFrame:
+    """(src, q): each source that a part needs, once per part, at home or remote."""
+    return pulled.select("src", "q").distinct()
+
+
+def apply_scoped_partitioned(state: GraphState, effect: NetEffect, model: ModelSpec, placed: DataFrame, parts: int, pin=pinned) -> PartitionedResult:
+    """Scoped recompute with placed vertices: every affected vertex's part pulls all its sources, changed or not."""
+    if "p" not in state.edges.columns:
+        state = layout(state, placed, parts)
+    effect = located_effect(effect, placed)
+    edges_new = edges_after(state.edges, effect.d_edges, effect.small, PARTS)
+    layers = [features_after(state.layers[0], effect.d_feats, model.layers[0].d_in, effect.small)]
+    hops = affected_sets(edges_new, effect.d_edges, effect.d_feats, model, pin)
+    answers, made = [], []
+    for hop, spec in enumerate(model.layers, 1):
+        if spec.agg in ("norm", "attention"):
+            raise NotImplementedError(f"partitioned recompute of {spec.agg}")
+        pulled = edges_new.join(hops[hop].withColumnRenamed("vid", "dst"), "dst", "left_semi")
+        vectors = layers[hop - 1].select(F.col("vid").alias("src"), *names("h", spec.d_in))
+        answer = pull_requests(pulled).join(vectors, "src").withColumnRenamed("src", "vid")
+        answers.append(answer)
+        moved = answer.repartition(parts, "q").withColumn("degree", F.lit(0))
+        agg = gather(pulled, moved, spec, ("q",)).drop("q")
+        rows = pin(finish_rows(hops[hop], agg, layers[hop - 1], spec))
+        made.append(rows)
+        layers.append(overlay(state.layers[hop], rows, ["vid"]))
+    after = GraphState(state.vertices, edges_new, layers, state.version + 1)
+    return PartitionedResult(BatchResult(after, hops, [], [], ["scoped_partitioned"] * model.depth, made), answers)
 
 
 def exchange_counts(edges_old: DataFrame, effect: NetEffect, model: ModelSpec, placed: DataFrame, strategy: str) -> DataFrame:
@@ -155,7 +215,7 @@ def exchange_counts(edges_old: DataFrame, effect: NetEffect, model: ModelSpec, p
 
     incremental: distinct (receiver, sending part) of remote messages. scoped: distinct (source, pulling
     part) over all in-edges of affected vertices, changed or not."""
-    edges_new = pinned(edges_after(edges_old, effect.d_edges, effect.small))
+    edges_new = edges_after(edges_old, effect.d_edges, effect.small)
     hops = affected_sets(edges_new, effect.d_edges, effect.d_feats, model, pinned)
     p = placed.select(F.col("vid").alias("src"), F.col("part").alias("p"))
     q = placed.select(F.col("vid").alias("dst"), F.col("part").alias("q"))
@@ -170,10 +230,3 @@ def exchange_counts(edges_old: DataFrame, effect: NetEffect, model: ModelSpec, p
         row = pairs.agg(F.count("*").alias("vectors")).select(F.lit(hop).cast("long").alias("hop"), "vectors", (F.col("vectors") * 8 * spec.d_in).alias("bytes"))
         out = row if out is None else out.unionByName(row)
     return out
-
-
-def layout(state: GraphState, placed: DataFrame, parts: int) -> GraphState:
-    """Edges beside their sources, layer rows beside their vertices: one big shuffle, once."""
-    at = placed.select("vid", "part")
-    edges = state.edges.join(at.withColumnRenamed("vid", "src"), "src").repartition(parts, "part").drop("part")
-    return GraphState(state.vertices, edges, [x.join(at, "vid").repartition(parts, "part").drop("part") for x in state.layers], state.version)

@@ -11,14 +11,15 @@ from ..plans.model import ModelSpec
 from .layers import transform, weight
 
 
-def sampled_edges(edges: DataFrame, fanout: int | None, seed: int) -> DataFrame:
-    """At most ``fanout`` in-edges of each vertex by hash rank, with ``k``, its whole in-degree."""
-    by_dst = Window.partitionBy("dst")
-    known = edges.withColumn("k", F.count("*").over(by_dst))
+def sampled_edges(edges: DataFrame, fanout: int | None, seed: int, dsts: DataFrame | None = None) -> DataFrame:
+    """At most ``fanout`` in-edges of each vertex (of ``dsts`` (vid) only, if given) by hash rank, with ``k``, its whole in-degree."""
+    if dsts is not None:
+        edges = edges.join(dsts.select(F.col("vid").alias("dst")).distinct(), "dst", "left_semi")
     if fanout is None:
-        return known
+        return edges
+    by_dst = Window.partitionBy("dst")
     rank = F.row_number().over(by_dst.orderBy(F.expr(edge_mix_sql("src", "dst", seed)), "src"))
-    return known.withColumn("r", rank).where(F.col("r") <= fanout).drop("r")
+    return edges.withColumn("k", F.count("*").over(by_dst)).withColumn("r", rank).where(F.col("r") <= fanout).drop("r")
 
 
 def infer_vertexwise(edges: DataFrame, features: DataFrame, targets: DataFrame, model: ModelSpec, fanouts: list[int | None] | None = None, seed: int = 0) -> DataFrame:
@@ -27,19 +28,25 @@ def infer_vertexwise(edges: DataFrame, features: DataFrame, targets: DataFrame,
     ``fanouts[l]`` bounds the in-neighbours read at layer l+1 (None: all). A sampled sum is scaled by
     in-degree over sample size, a sampled mean is the mean of the sample."""
     fanouts = fanouts or [None] * model.depth
-    read = [sampled_edges(edges, f, seed) for f in fanouts]
+    read = []
     need = [targets.select(F.col("vid").alias("target"), "vid")]  # needed at layer L, then L-1, ...
-    for spec, inputs in zip(reversed(model.layers), reversed(read), strict=True):
+    for spec, fanout in zip(reversed(model.layers), reversed(fanouts), strict=True):
+        inputs = sampled_edges(edges, fanout, seed, need[-1])
+        read.append(inputs)
         source = inputs.join(need[-1].withColumnRenamed("vid", "dst"), "dst").select("target", F.col("src").alias("vid"))
         need.append((source.unionByName(need[-1]) if spec.self_dependent else source).distinct())
     need.reverse()
+    read.reverse()
     h = need[0].join(features, "vid")
     for layer, spec in enumerate(model.layers):
         d = spec.d_in
         reach = read[layer].join(need[layer + 1].withColumnRenamed("vid", "dst"), "dst")
         near = reach.join(h.withColumnRenamed("vid", "src"), ["target", "src"])
-        factor = weight(spec, F.col("w"))
-        agg = near.groupBy("target", F.col("dst").alias("vid")).agg(F.count("*").alias("c"), F.first("k").alias("k"), *[F.sum(factor * F.col(x)).alias(s) for x, s in zip(names("h", d), names("s", d), strict=True)])
+        factor = weight(spec, "w")
+        agg = near.groupBy("target", F.col("dst").alias("vid")).agg(
+            F.count("*").alias("c"), *([F.first("k").alias("k")] if "k" in reach.columns else []),
+            *[F.expr(f"sum(({factor}) * {x}) AS {s}") for x, s in zip(names("h", d), names("s", d), strict=True)],
+        )
         if fanouts[layer] is not None and spec.agg in ("sum", "wsum"):
             agg = agg.select("target", "vid", "c", *[(F.col(s) * (F.col("k") / F.col("c"))).alias(s) for s in names("s", d)])
         full = need[layer + 1].join(agg, ["target", "vid"], "left").select("target", "vid", F.coalesce("c", F.lit(0)).alias("c"), *[F.coalesce(s, F.lit(0.0)).alias(s) for s in names("s", d)])

@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field, replace
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 
 from ..operators.full import infer_full
-from ..operators.netting import NetEffect, net_effect
+from ..operators.netting import NetEffect, net_effect, settled_effect
 from ..sources.graphs import D, GRAPHS, formula_features, second_features, table
 from ..sources.updates import Stream, make_stream
 from .model import ModelSpec
@@ -49,7 +49,7 @@ class Case:
         """Net effect of some updates on the snapshot: the same for all models."""
         if where not in self.effects:
             made = net_effect(self.updates(where), GraphState(self.stream.vertices, self.stream.snapshot, [self.features()]), D)
-            self.effects[where] = replace(made, d_edges=settled(made.d_edges), d_feats=settled(made.d_feats))
+            self.effects[where] = settled_effect(made)
         return self.effects[where]
 
 

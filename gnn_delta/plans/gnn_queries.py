@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,7 +16,7 @@ from ..operators import partition as pt
 from ..operators.full import infer_full
 from ..operators.hybrid import apply_hybrid
 from ..operators.labels import edge_scores, label_changes, labels, lookup
-from ..operators.netting import edges_after, net_effect, removal_updates
+from ..operators.netting import edges_after, net_effect, removal_updates, settled_effect
 from ..operators.recompute import apply_scoped
 from ..operators.vertexwise import infer_vertexwise, sampled_edges
 from ..operators.vertices import insert
@@ -257,7 +256,7 @@ AFFECTED = {
 
 def _hops(c: Case, model: ModelSpec, where: str) -> list[DataFrame]:
     e = c.effect(model, where)
-    return aff.affected_sets(pinned(edges_after(c.stream.snapshot, e.d_edges, e.small)), e.d_edges, e.d_feats, model, pinned)
+    return aff.affected_sets(edges_after(c.stream.snapshot, e.d_edges, e.small), e.d_edges, e.d_feats, model, pinned)
 
 
 def _affected(name: str, kind: str, depth: int, where: str) -> None:
@@ -317,7 +316,7 @@ def run_batches(c: Case, model: ModelSpec, size: int, count: int, apply=inc.appl
     state = c.state(model)
     for b in range(count):
         effect = net_effect(c.updates(f"seq > {b * size} AND seq <= {(b + 1) * size}"), state, D)
-        effect = replace(effect, d_edges=pinned(effect.d_edges), d_feats=pinned(effect.d_feats))
+        effect = settled_effect(effect)
         state = apply(state, effect, model).state.pinned()
     return state
 
@@ -427,7 +426,7 @@ def messages_by_kind(s, d):
     result = inc.apply_incremental(c.state(model), effect, model)
     out = None
     for hop, spec in enumerate(model.layers, 1):
-        sent = inc.messages(result.changed[hop - 1], c.state(model), result.state.edges, effect.d_edges, hop, spec, effect.small)
+        sent = inc.messages(result.changed[hop - 1], c.state(model), effect, hop, spec)
         rows = sent.groupBy("kind").agg(F.count("*").alias("n")).select(F.lit(hop).cast("long").alias("hop"), "kind", "n")
         out = rows if out is None else out.unionByName(rows)
     return out
@@ -573,7 +572,7 @@ def _ops(strategy: str) -> None:
     def run(s, d):
         c = case(s, d)
         e = c.effect(model, BATCH)
-        new = pinned(edges_after(c.stream.snapshot, e.d_edges, e.small))
+        new = edges_after(c.stream.snapshot, e.d_edges, e.small)
         return ms.agg_ops(c.stream.snapshot, new, e, aff.affected_sets(new, e.d_edges, e.d_feats, model, pinned), strategy)
 
     query(f"agg_ops_{strategy}", o.with_sql(ctes, " UNION ALL ".join(f"SELECT CAST({i} AS BIGINT) AS hop, ({sql(i)}) AS ops" for i in (1, 2))))(run)

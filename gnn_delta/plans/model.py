@@ -12,6 +12,30 @@ class NonInvertibleAggregator(ValueError):
     """The aggregate has no inverse, so deltas cannot maintain it; use the recompute strategies."""
 
 
+@dataclass(frozen=True)
+class LinearAggregator:
+    """A linear aggregate of one's own as SQL texts: ``weight`` of {w} scales what an edge carries, sums of these
+    are stored, added to and subtracted from, and ``finish`` of the sum {s} and the in-degree {c} enters the matrix."""
+
+    weight: str = "1D"
+    finish: str = "{s}"
+
+
+#: aggregators that users add: name -> LinearAggregator
+CUSTOM: dict[str, LinearAggregator] = {}
+
+
+def register_aggregator(name: str, aggregator: LinearAggregator) -> None:
+    """Make ``LayerSpec(agg=name)`` usable in every strategy."""
+    if name in AGGREGATORS:
+        raise ValueError(f"{name} is built in")
+    CUSTOM[name] = aggregator
+
+
+#: weights squared, smoothed by the in-degree: an aggregate beside the built-in ones
+register_aggregator("smoothed", LinearAggregator("{w} * {w}", "{s} / ({c} + 1)"))
+
+
 @dataclass(frozen=True)
 class LayerSpec:
     """One layer: aggregate in-neighbours, combine with the own vector, activate.
@@ -42,8 +66,12 @@ class LayerSpec:
         """Width of what goes into the matrix: two aggregates side by side double it."""
         return 2 * self.d_in if self.agg == "sum_mean" else self.d_in
 
+    @property
+    def custom(self) -> LinearAggregator | None:
+        return CUSTOM.get(self.agg)
+
     def require_inverse(self) -> None:
-        if self.agg not in INVERTIBLE:
+        if self.agg not in INVERTIBLE and not self.custom:
             raise NonInvertibleAggregator(self.agg)
 
 
@@ -82,7 +110,7 @@ def second_weight(i: int, j: int, last: bool) -> float:
 #: workload name -> (conv, aggregator)
 KINDS = {
     "gc_sum": ("gc", "sum"), "sage_sum": ("sage", "sum"), "gc_mean": ("gc", "mean"), "gin_sum": ("gin", "sum"), "gc_wsum": ("gc", "wsum"),
-    "sage_mean": ("sage", "mean"), "gc_norm": ("gc", "norm"), "gc_sum_mean": ("gc", "sum_mean"), "gc_max": ("gc", "max"), "gc_min": ("gc", "min"), "gc_attention": ("gc", "attention"),
+    "sage_mean": ("sage", "mean"), "gc_norm": ("gc", "norm"), "gc_sum_mean": ("gc", "sum_mean"), "gc_max": ("gc", "max"), "gc_min": ("gc", "min"), "gc_attention": ("gc", "attention"), "gc_smoothed": ("gc", "smoothed"),
 }
 WORKLOADS = ("gc_sum", "sage_sum", "gc_mean", "gin_sum", "gc_wsum")
 

@@ -31,7 +31,7 @@ def layer_ctes(spec: LayerSpec, edges: str, before: str, name: str) -> list[tupl
     d = spec.d_in
     deg = f"{name}_deg"
     ctes = []
-    factor = "e.w * " if spec.agg == "wsum" else ""
+    factor = "e.w * " if spec.agg == "wsum" else spec.custom.weight.format(w="e.w") + " * " if spec.custom else ""
     sent = "b.h{i}"
     join = f"FROM {edges} e JOIN {before} b ON b.vid = e.src"
     if spec.agg == "norm":
@@ -48,6 +48,8 @@ def layer_ctes(spec: LayerSpec, edges: str, before: str, name: str) -> list[tupl
     full = lambda x: f"CASE WHEN {c} > 0 THEN {x} ELSE 0.0 END"
     mean = [full(f"{x} / {c}") for x in s]
     x = {"mean": mean, "norm": [full(f"{y} / sqrt({c})") for y in s], "sum_mean": s + mean}.get(spec.agg, s)
+    if spec.custom:
+        x = [full(spec.custom.finish.format(s=y, c=c)) for y in s]
     own = [f"o.h{i}" for i in range(d)]
     relu = lambda q: f"CASE WHEN ({q}) > 0 THEN ({q}) ELSE 0.0 END"
     source = f"FROM v LEFT JOIN {name}_a a ON a.vid = v.vid" + (f" JOIN {before} o ON o.vid = v.vid" if spec.self_dependent else "")

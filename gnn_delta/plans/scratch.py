@@ -14,12 +14,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's ``spark.checkpoint.dir``; only where none is set (local tests) a temporary folder."""
+    """The session's ``spark.checkpoint.dir``; a temporary folder only where none is set on a local master (tests)."""
     set_by_user = spark.conf.get("spark.checkpoint.dir", None)
     if set_by_user:
         return set_by_user.rstrip("/")
     current = spark.sparkContext.getCheckpointDir()
     if not current:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
         current = spark.sparkContext.getCheckpointDir()
     return str(current).rstrip("/")
@@ -35,6 +37,17 @@ def settled(df: DataFrame, what: str = "step") -> DataFrame:
     return table
 
 
+#: tables of at most so many rows travel through the driver instead of a file (a batch of updates, not a graph)
+LOCAL_ROWS = 20_000
+
+
+def settled_batch(df: DataFrame, rows: int | None) -> DataFrame:
+    """Like :func:`settled`; a table known to have at most ``rows`` <= LOCAL_ROWS rows becomes a local relation."""
+    if rows is None or rows > LOCAL_ROWS:
+        return settled(df)
+    return df.sparkSession.createDataFrame(df.toArrow(), df.schema)
+
+
 def forget(*tables: DataFrame) -> None:
     """Delete tables made by :func:`settled` that nothing reads any more."""
     for table in tables:

@@ -1,23 +1,29 @@
 """Graph state: vertices, edges, and per layer the stored aggregates and outputs; on disk by versions.
 
-On disk (:class:`StateStore`) a table is a base plus append-only overlays, one per committed batch, all
-partitioned by bucket of the key; the newest version of a key counts. A batch reads and writes only the
-buckets it touches. The manifest is written last, so a batch appears as a whole or not at all, and a batch
-id that is committed again replaces itself. Compaction folds overlays into a new base.
+On disk (:class:`StateStore`) a table is a base plus one append-only overlay per committed batch, all
+partitioned by bucket of the key; the newest version of a key counts. A batch writes only the rows it
+changes and reads only the buckets it touches. Every folder has a name of its own. A manifest is a numbered
+file that appears by rename and is never changed; the newest one counts, so a batch appears as a whole or
+not at all, and a crash leaves the manifest before. The last batch may be committed again: it replaces
+itself, and the state before it stays readable, also after compaction. Compaction folds all overlays but
+the last into the buckets that they touch.
 """
 
 from __future__ import annotations
 
 import json
+import uuid
+from collections.abc import Iterable
 from dataclasses import dataclass, field, replace
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .scratch import settled
 
 pinned = settled
 
+
 @dataclass(frozen=True)
 class GraphState:
     """edges (src, dst, w); layers[0] (vid, h0..) features, layers[l] (vid, c, s0.., h0..)."""
@@ -27,11 +33,26 @@ class GraphState:
     layers: list[DataFrame]
     version: int = 0
 
+    #: whether tables can be read by part, so that settling the keys first pays
+    prunes = False
+
     def pinned(self) -> GraphState:
         """The same state as tables of its own, so that later plans start from it."""
         layers = [settled(x, "layer") for x in self.layers]
         return replace(self, vertices=self.vertices, edges=settled(self.edges, "edges"), layers=layers)
 
+    def edges_from(self, senders: DataFrame) -> DataFrame:
+        """A table of edges that holds all out-edges of ``senders`` (vid)."""
+        return self.edges
+
+    def layer_of(self, i: int, vids: DataFrame) -> DataFrame:
+        """A table of layer rows that holds those of ``vids``."""
+        return self.layers[i]
+
+    def known(self, vids: DataFrame) -> DataFrame:
+        """(vid) of a table that holds those of ``vids`` that exist."""
+        return self.vertices.select("vid")
+
 
 @dataclass
 class BatchResult:
@@ -40,6 +61,7 @@ class BatchResult:
     changed: list[DataFrame]  # per hop: (vid, old.., new..) where the strategy knows it
     inboxes: list[DataFrame] = field(default_factory=list)
     strategy: list[str] = field(default_factory=list)  # per hop
+    rows: list[DataFrame] = field(default_factory=list)  # per hop from 1: the layer rows that were made anew
 
 
 def overlay(old: DataFrame, new: DataFrame, key: list[str]) -> DataFrame:
@@ -47,9 +69,18 @@ def overlay(old: DataFrame, new: DataFrame, key: list[str]) -> DataFrame:
     return old.join(new.select(*key), key, "left_anti").unionByName(new.select(*old.columns))
 
 
+#: an edge or layer bucket should hold about so many rows
+ROWS_PER_BUCKET = 4_000_000
+KEYS = {"edges": ["src", "dst"], "seqs": ["src", "dst"]}
+
+
 class StateStore:
-    def __init__(self, spark: SparkSession, path: str, buckets: int = 16):
-        self.spark, self.path, self.buckets = spark, path.rstrip("/"), buckets
+    """Tables edges (by src), layer0.. and vertices (by vid), seqs (by src): the last seq applied to each key."""
+
+    def __init__(self, spark: SparkSession, path: str, buckets: int | None = None):
+        self.spark, self.path, self._buckets = spark, path.rstrip("/"), buckets
+
+    # --- files
 
     def _fs(self):
         target = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
@@ -58,79 +89,185 @@ class StateStore:
     def _hpath(self, name: str):
         return self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
 
+    def _manifests(self) -> list[str]:
+        fs, folder = self._fs(), self._hpath("manifests")
+        if not fs.exists(folder):
+            return []
+        return sorted(n for n in (f.getPath().getName() for f in fs.listStatus(folder)) if n.endswith(".json"))
+
     def manifest(self) -> dict:
-        fs, path = self._fs(), self._hpath("manifest.json")
-        if not fs.exists(path):
-            return {"base": -1, "versions": [], "tables": {}}
-        return json.loads("".join(r[0] for r in self.spark.read.text(f"{self.path}/manifest.json").collect()))
+        """The newest manifest: buckets, tables, base (version and folders with their buckets), batches."""
+        names = self._manifests()
+        if not names:
+            if self._fs().exists(self._hpath("edges")):
+                raise FileNotFoundError(f"tables without a manifest in {self.path}")
+            return {"number": 0, "buckets": self._buckets, "tables": {}, "base_version": -1, "bases": {}, "batches": []}
+        stream = self._fs().open(self._hpath(f"manifests/{names[-1]}"))
+        try:
+            return json.loads(bytes(stream.readAllBytes()))
+        finally:
+            stream.close()
 
     def _publish(self, manifest: dict) -> None:
-        fs, path, fresh = self._fs(), self._hpath("manifest.json"), self._hpath("manifest.next")
+        fs = self._fs()
+        manifest = {**manifest, "number": manifest["number"] + 1}
+        fresh, final = self._hpath(f"manifests/{uuid.uuid4().hex}.next"), self._hpath(f"manifests/{manifest['number']:012d}.json")
         out = fs.create(fresh, True)
         out.write(bytearray(json.dumps(manifest).encode()))
         out.close()
-        fs.delete(path, False)
-        fs.rename(fresh, path)
+        if fs.exists(final) or not fs.rename(fresh, final):
+            raise RuntimeError(f"another writer has published {final}")
+        for name in self._manifests()[:-3]:
+            fs.delete(self._hpath(f"manifests/{name}"), False)
+
+    def _delete(self, folders: Iterable[str]) -> None:
+        for folder in folders:
+            self._fs().delete(self._hpath(folder), True)
+
+    # --- writing
 
-    def bucket(self, key: str):
+    @property
+    def buckets(self) -> int:
+        if self._buckets is None:
+            self._buckets = self.manifest()["buckets"]
+        return self._buckets
+
+    def bucket(self, key: str | Column) -> Column:
         return F.pmod(F.xxhash64(key), F.lit(self.buckets)).cast("int")
 
-    def _write(self, df: DataFrame, table: str, key: str, version: int, fresh: bool) -> None:
-        kind = "base" if fresh else "overlay"
-        rows = df.withColumn("bucket", self.bucket(key)).withColumn("version", F.lit(version))
-        rows = rows.repartition(self.buckets, "bucket").sortWithinPartitions("bucket", key)
-        rows.write.mode("overwrite").partitionBy("bucket").parquet(f"{self.path}/{table}/{kind}-{version}")
+    def _write(self, df: DataFrame, table: str, key: str, name: str) -> str:
+        folder = f"{table}/{name}-{uuid.uuid4().hex}"
+        rows = df.withColumn("bucket", self.bucket(key))
+        rows = rows.repartition("bucket").sortWithinPartitions("bucket", key)
+        rows.write.partitionBy("bucket").parquet(f"{self.path}/{folder}")
+        return folder
 
     def bootstrap(self, state: GraphState) -> None:
-        tables = {"edges": ("src", state.edges), **{f"layer{i}": ("vid", x) for i, x in enumerate(state.layers)}, "vertices": ("vid", state.vertices)}
-        for name, (key, df) in tables.items():
-            self._write(df, name, key, 0, True)
-        self._publish({"base": 0, "versions": [], "tables": {n: [k, df.columns, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in df.schema)] for n, (k, df) in tables.items()}})
-
-    def commit(self, version: int, edges: DataFrame, layers: dict[int, DataFrame]) -> None:
-        """Append a batch. ``edges``: (src, dst, w; null w for a deleted edge); layers: changed rows."""
-        self._write(edges, "edges", "src", version, False)
-        for i, rows in layers.items():
-            self._write(rows, f"layer{i}", "vid", version, False)
+        """Write the first version; ``buckets`` follows the number of edges unless it was given."""
+        if self._manifests():
+            raise FileExistsError(f"{self.path} holds a state already")
+        if self._buckets is None:
+            self._buckets = max(16, state.edges.count() // ROWS_PER_BUCKET)
+        seqs = self.spark.createDataFrame([], "src long, dst long, last_seq long")
+        tables = {"edges": ("src", state.edges), **{f"layer{i}": ("vid", x) for i, x in enumerate(state.layers)}, "vertices": ("vid", state.vertices), "seqs": ("src", seqs)}
+        every = list(range(self._buckets))
+        bases = {name: [[self._write(df, name, key, "base"), every]] for name, (key, df) in tables.items()}
+        ddl = {n: [k, df.columns, ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in df.schema)] for n, (k, df) in tables.items()}
+        self._publish({"number": 0, "buckets": self._buckets, "tables": ddl, "base_version": 0, "bases": bases, "batches": []})
+
+    def commit(self, version: int, changes: dict[str, DataFrame]) -> None:
+        """Append a batch: by table the rows that are new or differ (null w: a deleted edge).
+
+        The last batch may be committed again; an earlier one may not."""
         manifest = self.manifest()
-        manifest["versions"] = sorted({*manifest["versions"], version})
-        self._publish(manifest)
+        if version < self.last(manifest):
+            raise ValueError(f"batch {version} is older than {self.last(manifest)}")
+        folders = {name: self._write(df, name, manifest["tables"][name][0], f"batch{version}") for name, df in changes.items()}
+        replaced = [f for v, fs in manifest["batches"] if v == version for f in fs.values()]
+        self._publish({**manifest, "batches": [*(b for b in manifest["batches"] if b[0] != version), [version, folders]]})
+        self._delete(replaced)
+
+    @staticmethod
+    def last(manifest: dict) -> int:
+        return max([manifest["base_version"], *(v for v, _ in manifest["batches"])])
+
+    # --- reading
+
+    def _read(self, ddl: str, folder: str, columns: list[str]) -> DataFrame:
+        return self.spark.read.schema(f"{ddl}, bucket INT").parquet(f"{self.path}/{folder}").select(*columns, "bucket")
+
+    def _parts(self, manifest: dict, name: str, as_of: int | None, touched: list[int] | None) -> tuple[DataFrame, DataFrame | None]:
+        """Base rows, and the newest row of each key that some overlay holds (both with ``bucket``)."""
+        key, columns, ddl = manifest["tables"][name]
+        if as_of is not None and as_of < manifest["base_version"]:
+            raise ValueError(f"version {as_of} was folded into {manifest['base_version']}")
+        keys = KEYS.get(name, [key])
+        base = None
+        for folder, buckets in manifest["bases"][name]:
+            part = self._read(ddl, folder, columns)
+            wanted = buckets if touched is None else [b for b in buckets if b in set(touched)]
+            if len(wanted) < self.buckets:
+                part = part.where(F.col("bucket").isin(wanted))
+            base = part if base is None else base.unionByName(part)
+        over = None
+        for version, folders in manifest["batches"]:
+            if name in folders and (as_of is None or version <= as_of):
+                part = self._read(ddl, folders[name], columns)
+                if touched is not None:
+                    part = part.where(F.col("bucket").isin(touched))
+                part = part.withColumn("version", F.lit(version))
+                over = part if over is None else over.unionByName(part)
+        if over is not None:
+            rest = [c for c in [*columns, "bucket"] if c not in keys]
+            newest = over.groupBy(*keys).agg(F.max_by(F.struct(*rest), "version").alias("r"))
+            over = newest.select(*keys, *[F.col("r")[c].alias(c) for c in rest])
+        return base, over
 
     def table(self, name: str, touched: list[int] | None = None, as_of: int | None = None) -> DataFrame:
         """Newest rows of a table; ``touched`` prunes to some buckets, ``as_of`` reads an earlier version."""
         manifest = self.manifest()
-        key, columns, ddl = manifest["tables"][name]
-        read = lambda part: self.spark.read.schema(f"{ddl}, version INT, bucket INT").parquet(f"{self.path}/{name}/{part}")
-        full_key = ["src", "dst"] if name == "edges" else [key]
-        out = read(f"base-{manifest['base']}")
-        for v in manifest["versions"]:
-            if as_of is None or v <= as_of:
-                if self._fs().exists(self._hpath(f"{name}/overlay-{v}")):
-                    out = out.unionByName(read(f"overlay-{v}"))
-        if touched is not None:
-            out = out.where(F.col("bucket").isin(touched))
-        newest = F.row_number().over(Window.partitionBy(*full_key).orderBy(F.desc("version")))
-        if manifest["versions"]:
-            out = out.withColumn("_n", newest).where("_n = 1")
+        key, columns, _ = manifest["tables"][name]
+        base, over = self._parts(manifest, name, as_of, touched)
+        out = base
+        if over is not None:
+            out = base.join(over.select(*KEYS.get(name, [key])), KEYS.get(name, [key]), "left_anti").unionByName(over.select(*base.columns))
         if name == "edges":
             out = out.where("w is not null")
         return out.select(*columns)
 
-    def state(self, as_of: int | None = None) -> GraphState:
+    def touched(self, vids: DataFrame) -> list[int]:
+        """The buckets of some keys (vid): at most the number of buckets."""
+        return sorted(r["b"] for r in vids.select(self.bucket("vid").alias("b")).distinct().collect())
+
+    def state(self, as_of: int | None = None) -> StoredState:
         manifest = self.manifest()
         depth = sum(1 for n in manifest["tables"] if n.startswith("layer"))
-        return GraphState(self.table("vertices"), self.table("edges", as_of=as_of), [self.table(f"layer{i}", as_of=as_of) for i in range(depth)], max([manifest["base"], *manifest["versions"]]))
+        version = self.last(manifest) if as_of is None else as_of
+        return StoredState(self.table("vertices", as_of=as_of), self.table("edges", as_of=as_of), [self.table(f"layer{i}", as_of=as_of) for i in range(depth)], version, self, as_of)
+
+    # --- compaction
 
     def compact(self) -> None:
-        """Fold all overlays into a new base and drop them."""
+        """Fold all batches but the last into the buckets that they touch."""
         manifest = self.manifest()
-        if not manifest["versions"]:
+        if len(manifest["batches"]) < 2:
             return
-        version = manifest["versions"][-1]
+        folded, kept = manifest["batches"][:-1], manifest["batches"][-1:]
+        upto = folded[-1][0]
+        bases, old = {}, [f for _, folders in folded for f in folders.values()]
         for name, (key, *_) in manifest["tables"].items():
-            self._write(self.table(name), name, key, version, True)
-        old = {"base": manifest["base"], "versions": manifest["versions"]}
-        self._publish({**manifest, "base": version, "versions": []})
-        for name in manifest["tables"]:
-            for part in (f"base-{old['base']}", *(f"overlay-{v}" for v in old["versions"])):
-                self._fs().delete(self._hpath(f"{name}/{part}"), True)
+            paths = [folders[name] for _, folders in folded if name in folders]
+            hit = set()
+            for path in paths:
+                hit |= {int(x.getPath().getName().split("=")[1]) for x in self._fs().listStatus(self._hpath(path)) if "=" in x.getPath().getName()}
+            if not hit:
+                bases[name] = manifest["bases"][name]
+                continue
+            fresh = self._write(self.table(name, sorted(hit), upto), name, key, "base")
+            rest = [[folder, [b for b in buckets if b not in hit]] for folder, buckets in manifest["bases"][name]]
+            old += [folder for folder, buckets in rest if not buckets]
+            bases[name] = [*(x for x in rest if x[1]), [fresh, sorted(hit)]]
+        self._publish({**manifest, "base_version": upto, "bases": bases, "batches": kept})
+        self._delete(old)
+
+
+@dataclass(frozen=True)
+class StoredState(GraphState):
+    """A state whose tables are read by the buckets that a batch touches."""
+
+    store: StateStore | None = None
+    as_of: int | None = None
+
+    prunes = True
+
+    def edges_from(self, senders: DataFrame) -> DataFrame:
+        return self.store.table("edges", self.store.touched(senders), self.as_of)
+
+    def layer_of(self, i: int, vids: DataFrame) -> DataFrame:
+        return self.store.table(f"layer{i}", self.store.touched(vids), self.as_of)
+
+    def known(self, vids: DataFrame) -> DataFrame:
+        return self.store.table("vertices", self.store.touched(vids), self.as_of).select("vid")
+
+    def seqs_of(self, vids: DataFrame) -> DataFrame:
+        return self.store.table("seqs", self.store.touched(vids), self.as_of)

@@ -151,7 +151,7 @@ def test_worked_example_of_hops(spark):
     hops, state, effect = hops_of(spark, edges, [(1, "edge_add", LETTERS["C"], LETTERS["A"], 1.0, None)], model)
     assert hops == ["", "A", "ABD", "ABCDE"]
     result = apply_incremental(state, effect, model)
-    sent = messages(result.changed[1], state, result.state.edges, effect.d_edges, 2, model.layers[1])
+    sent = messages(result.changed[1], state, effect, 2, model.layers[1])
     to_d = sent.where(f"dst = {LETTERS['D']} and src = {LETTERS['A']}").first()
     old, new = (matrix(x.layers[1].where("vid = 0"))[0] for x in (state, result.state))
     assert [to_d[f"m{i}"] for i in range(D)] == (new - old).tolist()
@@ -169,7 +169,7 @@ def test_messages_combine_in_any_order(spark, random_graph):
     model = make_model("gc_sum", 1, D)
     s = infer_full(vertices, edges, feats, model, settled)
     effect = net_effect(batch(spark, pairs), s, D)
-    sent = messages(effect.d_feats, s, edges_after(edges, effect.d_edges), effect.d_edges, 1, model.layers[0])
+    sent = messages(effect.d_feats, s, effect, 1, model.layers[0])
     a, b = (merge_inbox(x, D).orderBy("vid").collect() for x in (sent, sent.repartition(7)))
     assert a == b
 
