@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.mixes import edge_mix_sql, part_sql
-from ..functions.vectors import names, to_long
+from ..functions.vectors import names, tidy, to_long
 from ..operators import affected as aff
 from ..operators import incremental as inc
 from ..operators import measures as ms
@@ -16,7 +16,8 @@ from ..operators import partition as pt
 from ..operators.full import infer_full
 from ..operators.hybrid import apply_hybrid
 from ..operators.labels import edge_scores, label_changes, labels, lookup
-from ..operators.netting import edges_after, net_effect, removal_updates, settled_effect
+from ..operators.extremes import apply_extreme
+from ..operators.netting import edges_after, features_after, net_effect, removal_updates, settled_effect
 from ..operators.recompute import apply_scoped
 from ..operators.vertexwise import infer_vertexwise, sampled_edges
 from ..operators.vertices import insert
@@ -154,7 +155,7 @@ def full_bias(s, d):
     return to_long(case(s, d).state(make_model("sage_sum", 2, bias=True)).layers[-1], "h", D)
 
 
-@query("full_attention_2l")
+@query("full_attention_2l", o.with_sql([*base_ctes("order_part"), *o.full_ctes(make_model("gc_attention", 2), "snap")], o.long_select("h_2", D, 4)))
 def full_attention(s, d):
     return to_long(case(s, d).state(make_model("gc_attention", 2)).layers[-1], "h", D, 4)
 
@@ -174,18 +175,34 @@ def labels_second(s, d):
 
 # --- vertex-wise and sampled -------------------------------------------------------------------------
 
-TARGETS = "vid % 400 < 2"
+def stale(s: SparkSession, d: str, model: ModelSpec, graph: str = "order_part") -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Edges and features after the batch, and the vertices whose last layer it can change: what vertex-wise inference answers."""
+    c = case(s, d, graph)
+    e = c.effect(model, BATCH)
+    edges = edges_after(c.stream.snapshot, e.d_edges, e.small)
+    targets = aff.affected_sets(edges, e.d_edges, e.d_feats, model, pinned)[-1]
+    return edges, features_after(c.features(), e.d_feats, D, e.small), targets
+
+
+def stale_ctes(model: ModelSpec, fanout: int | None = None) -> list[tuple[str, str]]:
+    ctes = [*base_ctes("order_part"), *o.final_ctes(BATCH), *hop_ctes(model), ("n_0", o.features_after_sql(D))]
+    if fanout is None:
+        return ctes + o.full_ctes(model, "e_new", "n_0", "n")
+    return [*ctes, ("se", sampled_cte(fanout, 1, "e_new")), *o.full_ctes(model, "se", "n_0", "n")]
+
+
+def stale_sql(model: ModelSpec, select: str, fanout: int | None = None) -> str:
+    return o.with_sql(stale_ctes(model, fanout), f"SELECT * FROM ({select}) WHERE vid IN (SELECT vid FROM a_{model.depth})")
 
 
 def _vertexwise(kind: str) -> None:
     model = make_model(kind, 2)
-    sql = o.with_sql([*base_ctes("order_part"), *o.full_ctes(model, "snap")], f"SELECT * FROM ({o.long_select('h_2', D, digits(model))}) WHERE {TARGETS}")
 
     def run(s, d):
-        c = case(s, d)
-        return to_long(infer_vertexwise(c.stream.snapshot, c.features(), c.stream.vertices.where(TARGETS), model), "h", D, digits(model))
+        edges, features, targets = stale(s, d, model)
+        return to_long(infer_vertexwise(edges, features, targets, model), "h", D, digits(model))
 
-    query(f"vertexwise_{kind}_2l", sql)(run)
+    query(f"vertexwise_{kind}_2l", stale_sql(model, o.long_select("n_2", D, digits(model))))(run)
 
 
 _vertexwise("gc_sum")
@@ -199,13 +216,12 @@ def sampled_cte(fanout: int, seed: int, edges: str = "snap") -> str:
 
 def _sampled(fanout: int) -> None:
     model = make_model("gc_mean", 2)
-    sql = o.with_sql([*base_ctes("order_part"), ("se", sampled_cte(fanout, 1)), *o.full_ctes(model, "se", "h_0", "s")], f"SELECT * FROM ({o.long_select('s_2', D, 6)}) WHERE {TARGETS}")
 
     def run(s, d):
-        c = case(s, d)
-        return to_long(infer_vertexwise(c.stream.snapshot, c.features(), c.stream.vertices.where(TARGETS), model, [fanout] * 2, 1), "h", D, 6)
+        edges, features, targets = stale(s, d, model)
+        return to_long(infer_vertexwise(edges, features, targets, model, [fanout] * 2, 1), "h", D, 6)
 
-    query(f"sampled_f{fanout}_2l", sql)(run)
+    query(f"sampled_f{fanout}_2l", stale_sql(model, o.long_select("n_2", D, 6), fanout))(run)
 
 
 _sampled(2)
@@ -222,25 +238,25 @@ FANOUTS = (1, 2, 4, 8, 64)
 
 def _agreement_sql() -> str:
     model = make_model("gc_mean", 2)
-    ctes = [*base_ctes("order_part"), *o.full_ctes(model, "snap")]
+    ctes = stale_ctes(model)
     parts = []
-    rounded = lambda src: f"SELECT vid, {', '.join(f'round(h{i}, 6) AS h{i}' for i in range(D))} FROM {src}"
-    ctes += [("hr", rounded("h_2")), ("le", o.label_sql("hr", D))]
+    rounded = lambda src: f"SELECT vid, {', '.join(f'round(h{i} + 3e-8, 6) AS h{i}' for i in range(D))} FROM {src}"
+    ctes += [("hr", rounded("n_2")), ("le", o.label_sql("hr", D))]
     for f in FANOUTS:
-        ctes += [(f"se{f}", sampled_cte(f, 1)), *o.full_ctes(model, f"se{f}", "h_0", f"s{f}"), (f"sr{f}", rounded(f"s{f}_2")), (f"ls{f}", o.label_sql(f"sr{f}", D))]
-        parts.append(f"SELECT CAST({f} AS BIGINT) AS fanout, count(*) AS n, CAST(sum(CASE WHEN a.label = b.label THEN 1 ELSE 0 END) AS BIGINT) AS agree FROM le a JOIN ls{f} b USING (vid) WHERE {TARGETS}")
+        ctes += [(f"se{f}", sampled_cte(f, 1, "e_new")), *o.full_ctes(model, f"se{f}", "n_0", f"s{f}"), (f"sr{f}", rounded(f"s{f}_2")), (f"ls{f}", o.label_sql(f"sr{f}", D))]
+        parts.append(f"SELECT CAST({f} AS BIGINT) AS fanout, count(*) AS n, CAST(sum(CASE WHEN a.label = b.label THEN 1 ELSE 0 END) AS BIGINT) AS agree FROM le a JOIN ls{f} b USING (vid) JOIN a_2 USING (vid)")
     return o.with_sql(ctes, " UNION ALL ".join(parts))
 
 
 @query("sampled_agreement", _agreement_sql())
 def sampled_agreement(s, d):
-    c, model = case(s, d), make_model("gc_mean", 2)
-    targets = c.stream.vertices.where(TARGETS)
-    rounded = lambda df: df.select("vid", *[F.round(h, 6).alias(h) for h in names("h", D)])
-    exact = rounded(c.state(model).layers[-1])
+    model = make_model("gc_mean", 2)
+    edges, features, targets = stale(s, d, model)
+    rounded = lambda df: df.selectExpr("vid", *[f"round({h} + 3e-8D, 6) AS {h}" for h in names("h", D)])
+    exact = pinned(rounded(infer_vertexwise(edges, features, targets, model)))
     out = None
     for f in FANOUTS:
-        got = rounded(infer_vertexwise(c.stream.snapshot, c.features(), targets, model, [f] * 2, 1))
+        got = rounded(infer_vertexwise(edges, features, targets, model, [f] * 2, 1))
         row = ms.agreement(got, exact, D).select(F.lit(f).cast("long").alias("fanout"), "n", "agree")
         out = row if out is None else out.unionByName(row)
     return out
@@ -305,6 +321,10 @@ for _kind in ("gc_norm", "sage_mean", "gc_sum_mean"):
     _strategy(f"incr_{_kind}_2l", _kind, 2, lambda st, e, m: inc.apply_incremental(st, e, m))
 for _short, _k in (("add", "edge_add"), ("del", "edge_del"), ("feat", "feat_set")):
     _strategy(f"incr_{_short}_only", "gc_sum", 2, lambda st, e, m: inc.apply_incremental(st, e, m), f"kind = '{_k}' AND seq <= 300")
+for _kind in ("gc_max", "gc_min"):
+    _strategy(f"incr_{_kind}_2l", _kind, 2, lambda st, e, m: apply_extreme(st, e, m))
+_strategy("incr_gc_smoothed_2l", "gc_smoothed", 2, lambda st, e, m: inc.apply_incremental(st, e, m))
+_strategy("scoped_gc_smoothed_2l", "gc_smoothed", 2, apply_scoped)
 _strategy("incr_prune_zero", "gc_sum", 2, lambda st, e, m: inc.apply_incremental(st, e, m, prune_zero=True))
 _strategy("incr_hybrid", "gc_sum", 2, lambda st, e, m: apply_hybrid(st, e, m), graph="next_part")
 _strategy("incr_next_part", "gc_sum", 2, lambda st, e, m: inc.apply_incremental(st, e, m), graph="next_part")
@@ -447,28 +467,31 @@ query("label_changes", o.with_sql(_changes_ctes(), "SELECT * FROM ch"))(_changes
 query("label_change_counts", o.with_sql(_changes_ctes(), "SELECT old_label, new_label, count(*) AS n FROM ch GROUP BY 1, 2"))(lambda s, d: _changes(s, d).groupBy("old_label", "new_label").agg(F.count("*").alias("n")))
 
 
-@query("lookup_labels", o.with_sql([*base_ctes("order_part"), *o.full_ctes(make_model("gc_sum", 2), "snap"), ("l", o.label_sql("h_2", D))], "SELECT * FROM l WHERE vid % 800 = 1"))
+@query("lookup_labels", stale_sql(make_model("gc_sum", 2), o.label_sql("n_2", D)))
 def lookup_labels(s, d):
-    c = case(s, d)
-    return lookup(c.state(make_model("gc_sum", 2)).layers[-1], c.stream.vertices.where("vid % 800 = 1"), D)
+    """Request-based: the labels of all vertices that the batch may have changed, from the stored outputs."""
+    c, model = case(s, d), make_model("gc_sum", 2)
+    result = inc.apply_incremental(c.state(model), c.effect(model, BATCH), model)
+    return lookup(result.state.layers[-1], result.affected[-1], D)
 
 
-@query("lookup_lazy", o.with_sql([*new_ctes("order_part", make_model("gc_sum", 2), BATCH), ("l", o.label_sql("n_2", D))], f"SELECT * FROM l WHERE {TARGETS}"))
+@query("lookup_lazy", stale_sql(make_model("gc_sum", 2), o.label_sql("n_2", D)))
 def lookup_lazy(s, d):
     """Pull-based: stale vertices are inferred vertex-wise when asked for."""
-    c, model = case(s, d), make_model("gc_sum", 2)
-    e = c.effect(model, BATCH)
-    from ..operators.netting import features_after
+    model = make_model("gc_sum", 2)
+    edges, features, targets = stale(s, d, model)
+    return labels(infer_vertexwise(edges, features, targets, model), D)
 
-    return labels(infer_vertexwise(edges_after(c.stream.snapshot, e.d_edges), features_after(c.features(), e.d_feats, D), c.stream.vertices.where(TARGETS), model), D)
 
+EDGE_SCORES = " + ".join(f"p.h{i} * q.h{i}" for i in range(D))
 
-@query("edge_scores", o.with_sql([*base_ctes("order_part"), *o.full_ctes(make_model("gc_sum", 2), "snap")], "SELECT s.src AS a, s.dst AS b, CASE WHEN t = 0 THEN 0.0 ELSE t END AS score FROM (SELECT s.src, s.dst, " + " + ".join(f"p.h{i} * q.h{i}" for i in range(D)) + " AS t FROM snap s JOIN h_2 p ON p.vid = s.src JOIN h_2 q ON q.vid = s.dst WHERE s.src % 64 = 0) s"))
+
+@query("edge_scores", o.with_sql(
+    [*base_ctes("order_part"), *o.full_ctes(make_model("gc_sum", 2), "snap"), ("sc", f"SELECT s.src AS a, s.dst AS b, {EDGE_SCORES} AS t FROM snap s JOIN h_2 p ON p.vid = s.src JOIN h_2 q ON q.vid = s.dst")],
+    "SELECT a, b, CASE WHEN t = 0 THEN 0.0 ELSE t END AS score FROM sc"))
 def edge_scores_query(s, d):
     c = case(s, d)
-    pairs = c.stream.snapshot.where("src % 64 = 0").select(F.col("src").alias("a"), F.col("dst").alias("b"))
-    from ..functions.vectors import tidy
-
+    pairs = c.stream.snapshot.select(F.col("src").alias("a"), F.col("dst").alias("b"))
     return edge_scores(c.state(make_model("gc_sum", 2)).layers[-1], pairs, D).withColumn("score", tidy(F.col("score")))
 
 
@@ -538,6 +561,22 @@ def incr_partitioned_commerce(s, d):
     return to_long(got.result.state.layers[-1], "h", D)
 
 
+def _scoped_partitioned(name: str, kind: str, graph: str, hold_out: float, parts: int) -> None:
+    model = make_model(kind, 2)
+
+    def run(s, d):
+        c = case(s, d, graph, hold_out)
+        got = pt.apply_scoped_partitioned(c.state(model), c.effect(model, BATCH), model, _placed(c, parts=parts), parts)
+        return to_long(got.result.state.layers[-1], "h", D, digits(model))
+
+    query(name, final_sql(graph, model, BATCH, hold_out=hold_out))(run)
+
+
+for _kind in ("gc_sum", "sage_sum", "gc_mean"):
+    _scoped_partitioned(f"scoped_partitioned_{_kind}", _kind, "order_part", 0.1, PARTS)
+_scoped_partitioned("scoped_partitioned_commerce", "gc_sum", "commerce", 0.5, 8)
+
+
 def _exchange(strategy: str) -> None:
     model = make_model("gc_sum", 2)
     ctes = [*base_ctes("order_part"), _P, *o.final_ctes(BATCH), *hop_ctes(model)]
@@ -582,10 +621,13 @@ for _st in ("scoped", "incremental", "full"):
     _ops(_st)
 
 
-@query("agg_ops_vertexwise", o.with_sql([*base_ctes("order_part"), ("n1", f"SELECT e.dst AS target, e.src AS vid FROM snap e WHERE e.dst % 400 < 2"), ("n2", "SELECT n1.target, e.src FROM (SELECT DISTINCT target, vid FROM n1) n1 JOIN snap e ON e.dst = n1.vid")], "SELECT CAST((SELECT count(*) FROM n1) + (SELECT count(*) FROM n2) AS BIGINT) AS ops"))
+@query("agg_ops_vertexwise", o.with_sql(
+    [*base_ctes("order_part"), *o.final_ctes(BATCH), *hop_ctes(make_model("gc_sum", 2)), ("n1", "SELECT e.dst AS target, e.src AS vid FROM e_new e JOIN a_2 a ON a.vid = e.dst"),
+     ("n2", "SELECT n1.target, e.src FROM (SELECT DISTINCT target, vid FROM n1) n1 JOIN e_new e ON e.dst = n1.vid")],
+    "SELECT CAST((SELECT count(*) FROM n1) + (SELECT count(*) FROM n2) AS BIGINT) AS ops"))
 def agg_ops_vertexwise(s, d):
-    c = case(s, d)
-    return ms.agg_ops_vertexwise(c.stream.snapshot, c.stream.vertices.where(TARGETS), make_model("gc_sum", 2))
+    edges, _, targets = stale(s, d, make_model("gc_sum", 2))
+    return ms.agg_ops_vertexwise(edges, targets, make_model("gc_sum", 2))
 
 
 @query("state_bytes", _with_stream(f"SELECT 'edges' AS component, (SELECT count(*) FROM snap) * 24 AS bytes UNION ALL SELECT x, (SELECT count(*) FROM v) * {8 * D} FROM (SELECT unnest(['h0', 'h1', 'agg1', 'h2', 'agg2']) AS x)"))

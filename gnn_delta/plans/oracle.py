@@ -42,7 +42,12 @@ def layer_ctes(spec: LayerSpec, edges: str, before: str, name: str) -> list[tupl
         sums = ", ".join(f"{spec.agg}(b.h{i}) AS s{i}" for i in range(d))
     else:
         sums = ", ".join(f"sum({factor}{sent.format(i=i)}) AS s{i}" for i in range(d))
-    ctes.append((f"{name}_a", f"SELECT e.dst AS vid, count(*) AS c, {sums} {join} GROUP BY e.dst"))
+    if spec.agg == "attention":
+        dot = " + ".join(f"b.h{i} * z.h{i}" for i in range(d))
+        ctes.append((f"{name}_e", f"SELECT e.dst, exp(tanh(({dot}) / 8)) AS k, {', '.join(f'b.h{i}' for i in range(d))} {join} JOIN {before} z ON z.vid = e.dst"))
+        ctes.append((f"{name}_a", f"SELECT dst AS vid, count(*) AS c, {', '.join(f'sum(k * h{i}) / sum(k) AS s{i}' for i in range(d))} FROM {name}_e GROUP BY dst"))
+    else:
+        ctes.append((f"{name}_a", f"SELECT e.dst AS vid, count(*) AS c, {sums} {join} GROUP BY e.dst"))
     s = [f"coalesce(a.s{i}, 0)" for i in range(d)]
     c = "coalesce(a.c, 0)"
     full = lambda x: f"CASE WHEN {c} > 0 THEN {x} ELSE 0.0 END"

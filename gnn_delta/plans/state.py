@@ -33,8 +33,10 @@ class GraphState:
     layers: list[DataFrame]
     version: int = 0
 
-    #: whether tables can be read by part, so that settling the keys first pays
-    prunes = False
+    @property
+    def prunes(self) -> bool:
+        """Whether tables can be read by part, so that settling the keys first pays."""
+        return False
 
     def pinned(self) -> GraphState:
         """The same state as tables of its own, so that later plans start from it."""
@@ -71,6 +73,8 @@ def overlay(old: DataFrame, new: DataFrame, key: list[str]) -> DataFrame:
 
 #: an edge or layer bucket should hold about so many rows
 ROWS_PER_BUCKET = 4_000_000
+#: from so many buckets on, a batch first finds out which ones it touches
+PRUNE_FROM = 16
 KEYS = {"edges": ["src", "dst"], "seqs": ["src", "dst"]}
 
 
@@ -203,9 +207,9 @@ class StateStore:
             over = newest.select(*keys, *[F.col("r")[c].alias(c) for c in rest])
         return base, over
 
-    def table(self, name: str, touched: list[int] | None = None, as_of: int | None = None) -> DataFrame:
+    def table(self, name: str, touched: list[int] | None = None, as_of: int | None = None, manifest: dict | None = None) -> DataFrame:
         """Newest rows of a table; ``touched`` prunes to some buckets, ``as_of`` reads an earlier version."""
-        manifest = self.manifest()
+        manifest = manifest or self.manifest()
         key, columns, _ = manifest["tables"][name]
         base, over = self._parts(manifest, name, as_of, touched)
         out = base
@@ -215,15 +219,18 @@ class StateStore:
             out = out.where("w is not null")
         return out.select(*columns)
 
-    def touched(self, vids: DataFrame) -> list[int]:
-        """The buckets of some keys (vid): at most the number of buckets."""
+    def touched(self, vids: DataFrame) -> list[int] | None:
+        """The buckets of some keys (vid): at most the number of buckets. Few buckets are not worth a job."""
+        if self.buckets < PRUNE_FROM:
+            return None
         return sorted(r["b"] for r in vids.select(self.bucket("vid").alias("b")).distinct().collect())
 
     def state(self, as_of: int | None = None) -> StoredState:
         manifest = self.manifest()
+        read = lambda name: self.table(name, None, as_of, manifest)
         depth = sum(1 for n in manifest["tables"] if n.startswith("layer"))
         version = self.last(manifest) if as_of is None else as_of
-        return StoredState(self.table("vertices", as_of=as_of), self.table("edges", as_of=as_of), [self.table(f"layer{i}", as_of=as_of) for i in range(depth)], version, self, as_of)
+        return StoredState(read("vertices"), read("edges"), [read(f"layer{i}") for i in range(depth)], version, self, as_of, manifest)
 
     # --- compaction
 
@@ -257,17 +264,23 @@ class StoredState(GraphState):
 
     store: StateStore | None = None
     as_of: int | None = None
+    manifest: dict | None = None
+
+    @property
+    def prunes(self) -> bool:
+        return self.store.buckets >= PRUNE_FROM
 
-    prunes = True
+    def _of(self, name: str, vids: DataFrame) -> DataFrame:
+        return self.store.table(name, self.store.touched(vids), self.as_of, self.manifest)
 
     def edges_from(self, senders: DataFrame) -> DataFrame:
-        return self.store.table("edges", self.store.touched(senders), self.as_of)
+        return self._of("edges", senders)
 
     def layer_of(self, i: int, vids: DataFrame) -> DataFrame:
-        return self.store.table(f"layer{i}", self.store.touched(vids), self.as_of)
+        return self._of(f"layer{i}", vids)
 
     def known(self, vids: DataFrame) -> DataFrame:
-        return self.store.table("vertices", self.store.touched(vids), self.as_of).select("vid")
+        return self._of("vertices", vids).select("vid")
 
     def seqs_of(self, vids: DataFrame) -> DataFrame:
-        return self.store.table("seqs", self.store.touched(vids), self.as_of)
+        return self._of("seqs", vids)
