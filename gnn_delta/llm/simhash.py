@@ -368,41 +368,75 @@ def first_pairs(key: np.ndarray, members: Members) -> Iterator[tuple[np.ndarray,
             yield a + begin, b + begin
 
 
-def other_pairs(key: np.ndarray, members: Members, label: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """All candidates of long runs whose members are not connected yet."""
-    change = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
-    length = np.diff(np.concatenate([change, [len(key)]]))
-    for begin, size in zip(change[length > SHORT].tolist(), length[length > SHORT].tolist(), strict=True):
-        own = label[begin : begin + size]
-        kinds, place, count = np.unique(own, return_inverse=True, return_counts=True)
-        if len(kinds) == 1:
-            continue
-        large = place == count.argmax()
-        rest = np.flatnonzero(large) + begin
-        for at in (np.flatnonzero(~large) + begin).tolist():
-            others = rest[label[rest] != label[at]]
-            hub = np.full(len(others), at)
-            good = members.within(hub, others)
-            yield hub[good], others[good]
-            rest = np.append(rest, at)
+def similar_across(one: list[tuple], two: list[tuple]) -> Iterator[tuple[int, int]]:
+    """Pairs of reps of similar members (rep, n, fp, shingles, label) of two lists, of different labels."""
+    if not one or not two:
+        return
+    members = Members(np.array([m[1] for m in one + two]), [m[2] for m in one + two])
+    step = max(1, 400_000 // len(one))
+    for at in range(0, len(two), step):
+        right = np.arange(at, min(at + step, len(two))) + len(one)
+        left, right = np.repeat(np.arange(len(one)), len(right)), np.tile(right, len(one))
+        for k in members.within(left, right).tolist():
+            x, y = one[left[k]], two[right[k] - len(one)]
+            if x[4] != y[4] and similar(np.frombuffer(x[3], np.uint64), np.frombuffer(y[3], np.uint64)):
+                yield x[0], y[0]
+
+
+def links_of_hot_runs(members: DataFrame, docs: DataFrame) -> DataFrame:
+    """(a, b): similar members of long runs that are not connected yet (rep, n, fp, keys, label).
+
+    Of each run the members outside its largest component come first and are held; the rest streams past them,
+    so neither pairs nor the whole run are laid out, and only links leave the task."""
+    keyed = members.select("rep", "label", F.explode("keys").alias("key"))
+    count = keyed.groupBy("key", "label").agg(F.count("*").alias("c"))
+    torn = count.groupBy("key").agg(F.max_by("label", F.struct("c", "label")).alias("large"), F.count("*").alias("kinds")).where("kinds > 1").select("key", "large")
+    met = written(keyed.join(torn, "key").selectExpr("rep", "key", "label", "label = large AS major"), "torn")
+    sets = shingle_sets(docs, met.select(F.col("rep").alias("id")).distinct())
+    rows = met.join(members.select("rep", "n", "fp").join(sets.withColumnRenamed("id", "rep"), "rep"), "rep")
+    rows = rows.repartition(partitions(docs.sparkSession), "key").sortWithinPartitions("key", "major")
+
+    def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        current, held = None, []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            columns = {c: batch.column(c).to_pylist() for c in ("rep", "n", "fp", "shingles", "label")}
+            everyone = list(zip(*columns.values(), strict=True))
+            key, major = batch.column("key").to_numpy(), batch.column("major").to_numpy(zero_copy_only=False).astype(bool)
+            found = []
+            cut = np.flatnonzero((key[1:] != key[:-1]) | (major[1:] != major[:-1])) + 1
+            for a, b in zip([0, *cut.tolist()], [*cut.tolist(), len(key)], strict=True):
+                if key[a] != current:
+                    current, held = key[a], []
+                part = everyone[a:b]
+                found += similar_across(held, part)
+                if not major[a]:
+                    found += similar_across(part, part)
+                    held = held + part
+            x, y = (np.array([f[i] for f in found], np.int64) for i in (0, 1))
+            yield pa.RecordBatch.from_arrays([pa.array(x), pa.array(y)], names=["a", "b"])
+
+    out = written(rows.mapInArrow(links, "a long, b long").distinct(), "hot")
+    forget(met)
+    return out
 
 
-def candidates(distinct: DataFrame, chosen) -> DataFrame:
-    """Pairs (a, b, apart) of representatives that ``chosen`` names in runs of equal band keys.
+def candidates(distinct: DataFrame) -> DataFrame:
+    """Pairs (a, b, apart) of representatives that :func:`first_pairs` names in runs of equal band keys.
 
     Keys alone are dealt first; sketches follow only to members of keys that several share."""
-    extra = [c for c in ("label",) if c in distinct.columns]
     keyed = distinct.select("rep", F.explode("keys").alias("key"))
     shared = keyed.groupBy("key").agg(F.count("*").alias("c")).where("c > 1").select("key")
     met = keyed.join(shared.hint("shuffle_hash"), "key", "left_semi")
-    keyed = met.join(distinct.select("rep", "n", "fp", *extra), "rep")
+    keyed = met.join(distinct.select("rep", "n", "fp"), "rep")
     keyed = keyed.repartition(partitions(distinct.sparkSession), "key").sortWithinPartitions("key")
 
     def close(ready: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = pa.Table.from_batches(ready)
-        key, rep, n, *label = (table.column(c).to_numpy() for c in ("key", "rep", "n", *extra))
+        key, rep, n = (table.column(c).to_numpy() for c in ("key", "rep", "n"))
         members = Members(n, table.column("fp").to_pylist())
-        for a, b in chosen(key, members, *label):
+        for a, b in first_pairs(key, members):
             if len(a):
                 turn = rep[a] > rep[b]
                 x, y = np.where(turn, rep[b], rep[a]), np.where(turn, rep[a], rep[b])
@@ -439,22 +473,28 @@ def apart(pairs: DataFrame, labels: DataFrame) -> DataFrame:
     return joined.where("coalesce(c_a, a) <> coalesce(c_b, b)").select(*pairs.columns)
 
 
-def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose shingle sets are similar; sets of hot hubs are broadcast. ``docs``: (id, text)."""
-    wanted = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+def shingle_sets(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """(id, shingles) of the wanted rows (id) of ``docs`` (id, text)."""
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in vec.slices(batches, "text"):
             packed = [shingle_set((t or "").encode()).tobytes() for t in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column("id").cast(pa.int64()), pa.array(packed, pa.binary())], names=["id", "shingles"])
 
+    return docs.join(wanted, "id", "left_semi").mapInArrow(sets, "id long, shingles binary")
+
+
+def verified(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose shingle sets are similar; sets of hot hubs are broadcast. ``docs``: (id, text)."""
+    wanted = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             x, y = (batch.column(c).to_pylist() for c in ("x", "y"))
             good = [similar(np.frombuffer(p, np.uint64), np.frombuffer(q, np.uint64)) for p, q in zip(x, y, strict=True)]
             yield batch.select(["a", "b"]).filter(pa.array(good, pa.bool_()))
 
-    held = written(docs.join(wanted, "id", "left_semi").mapInArrow(sets, "id long, shingles binary"), "shingles")
+    held = written(shingle_sets(docs, wanted), "shingles")
     # a pair is laid out from its busier member, so that the sets of few hubs go to many pairs
     ends = pairs.select(F.explode(F.array("a", "b")).alias("hub")).groupBy("hub").count()
     busy = ends.where(F.col("count") >= max(2 * BANDS * SHORT, int(pairs.count() * HOT_SHARE)))
@@ -486,7 +526,7 @@ def near_copies(docs: DataFrame) -> DataFrame:
     """dropped_id of the rows (id, text; ids identify) that go."""
     table = written(sketches(docs), "sketches")
     distinct = written(table.groupBy("name").agg(F.min("id").alias("rep"), *(F.first(c).alias(c) for c in ("n", "fp", "keys"))).where("rep is not null"), "distinct")
-    pairs = written(candidates(distinct, first_pairs), "pairs")
+    pairs = written(candidates(distinct), "pairs")
     real = pairs.where("a <> b")
     good = verified(written(nearest(real), "nearest"), docs)
     labels = components(good)
@@ -496,13 +536,9 @@ def near_copies(docs: DataFrame) -> DataFrame:
         labels = components(good)
     long = distinct.join(pairs.where("a = b").select(F.col("a").alias("rep")), "rep", "left_semi")
     lone = long.join(labels, long["rep"] == labels["node"], "left").withColumn("label", F.coalesce("component", "rep"))
-    more = written(candidates(lone.select("rep", "n", "fp", "keys", "label"), other_pairs), "pairs")
+    more = links_of_hot_runs(lone.select("rep", "n", "fp", "keys", "label"), docs)
     if more.limit(1).count():
-        good = good.unionByName(verified(written(nearest(more), "nearest"), docs))
-        labels = components(good)
-        left = written(apart(more, labels), "rest")
-        if left.limit(1).count():
-            labels = components(good.unionByName(verified(left, docs)))
+        labels = components(good.unionByName(more))
     equal = table.select(F.col("id").alias("dropped_id")).join(distinct.select(F.col("rep").alias("dropped_id")), "dropped_id", "left_anti")
     dropped = written(equal.unionByName(labels.where("component <> node").select(F.col("node").alias("dropped_id"))).distinct(), "dropped")
     forget(table, distinct, pairs, more, rest)
