@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import gnn_queries, relational, stream_queries  # noqa: F401  (they add to the same tables)
+from . import experiment_queries, gnn_queries, relational, stream_queries  # noqa: F401  (they add to the same tables)
 from .gnn_queries import flagship  # noqa: F401
 
 

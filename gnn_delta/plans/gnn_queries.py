@@ -253,10 +253,11 @@ def sampled_agreement(s, d):
     model = make_model("gc_mean", 2)
     edges, features, targets = stale(s, d, model)
     rounded = lambda df: df.selectExpr("vid", *[f"round({h} + 3e-8D, 6) AS {h}" for h in names("h", D)])
+    edges, features = pinned(edges), pinned(features)  # read by every fan-out
     exact = pinned(rounded(infer_vertexwise(edges, features, targets, model)))
     out = None
     for f in FANOUTS:
-        got = rounded(infer_vertexwise(edges, features, targets, model, [f] * 2, 1))
+        got = pinned(rounded(infer_vertexwise(edges, features, targets, model, [f] * 2, 1)))
         row = ms.agreement(got, exact, D).select(F.lit(f).cast("long").alias("fanout"), "n", "agree")
         out = row if out is None else out.unionByName(row)
     return out
