@@ -10,6 +10,10 @@
    values tell which windows are equal; the first place by (doc_id, start) stays.
 4. Bytes at the source of every joined span are compared before anything is removed.
 
+What a large share of all documents carries is never held in one task: a bucket beyond :data:`repeats.HELD` bytes
+is dealt anew, anchors by anchor and context, contexts window by window under 128-bit names; so is one anchor's
+group of contexts beyond ``GROUP`` bytes, whose suffix sort would not fit.
+
 Defined cases: null counts as empty; texts shorter than a window lose nothing; a null id counts as smaller
 than all others, and rows that repeat an id are ordered by their texts; extra columns are not read; what is kept are bytes (a cut may
 fall inside a character).
@@ -26,14 +30,18 @@ from pyspark.sql import functions as F
 
 from . import vec
 from .common import forget, written
-from .debruijn import path_rows
-from .repeats import beside, bucket_count, by_bucket, by_row, dealt, gathered, ids_of, runs, sliding_least, verified
+from .debruijn import of_kind, path_rows
+from .repeats import HELD, beside, bucket_count, by_bucket, by_row, dealt, gathered, ids_of, met_by_name, runs, sliding_least, verified
 from .suffix import FIRST, SEPARATOR, suffix_array
 
 WINDOW = 100
 ANCHOR = 24
 #: text bytes that one suffix sort takes, if its anchors' groups allow
 SHARD = 1 << 20
+#: contexts of one anchor beyond so many bytes are not sorted in one task (a sort takes some 75 bytes for each)
+GROUP = 8 << 20
+#: contexts whose windows are named at a time
+NAMED = 4096
 SEEN = ["<u8", "<u8", "<i8", "<i8", "<i4", "<i4"]  # anchor, context, document, place, bytes before, bytes from it
 PIECES = "kind int, doc long, start long, n long, src_doc long, src_start long"
 
@@ -102,6 +110,27 @@ def meet(window: int):
     return work
 
 
+def single_anchors(blob: bytes) -> Iterator[pa.RecordBatch]:
+    """The anchors of a blob one by one (kind 2): lengths before and from the anchor packed in n, then anchor and context."""
+    head, context, doc, place, before, after = gathered([blob], SEEN)
+    packed = before.astype(np.int64) << 32 | after
+    columns = (np.full(len(head), 2, np.int32), doc, place, packed, head.view(np.int64), context.view(np.int64))
+    yield pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names=["kind", "doc", "start", "n", "src_doc", "src_start"])
+
+
+def met_by_context(rows: DataFrame, window: int) -> tuple[DataFrame, DataFrame]:
+    """What :func:`meet` finds, for anchors dealt one by one: spans of repeated contexts, and contexts to compare.
+
+    The first place of a context is found by partial aggregation; the joins split hot keys (adaptive skew join)."""
+    seen = rows.selectExpr("src_doc AS head", "src_start AS context", "doc", "start AS place", "shiftright(n, 32) AS before", "n & 4294967295 AS after")
+    first = seen.groupBy("head", "context").agg(F.min(F.struct("doc", "place", "before", "after")).alias("f"), F.count("*").alias("c"))
+    later = seen.join(first.where("c > 1"), ["head", "context"]).where("not (doc = f.doc and place = f.place)")
+    spans = later.selectExpr("doc", "place - before AS start", f"before + after - {window - 1} AS n", "f.doc AS src_doc", "f.place - f.before AS src_start")
+    torn = first.groupBy("head").agg(F.count("*").alias("kinds")).where("kinds > 1").select("head")
+    differ = first.join(torn, "head").selectExpr("f.doc AS doc", "f.place - f.before AS start", "f.before + f.after AS n", "head")
+    return spans, differ
+
+
 def contexts(docs: DataFrame, lists: DataFrame, buckets: int) -> DataFrame:
     """(bucket, blob): bytes of the contexts listed per document, dealt by anchor."""
 
@@ -131,28 +160,74 @@ def contexts(docs: DataFrame, lists: DataFrame, buckets: int) -> DataFrame:
     return beside(docs, lists, "places", "inner").mapInArrow(rows, "bucket int, blob binary")
 
 
-def compare(window: int, shard: int = SHARD):
-    """Spans among the contexts of one bucket, by suffix arrays of whole anchor groups."""
+EDGES = "kind int, doc long, start long, n long, src_doc long, src_start long"
+LISTED = ["<i8"] * 4  # anchor, document, start, bytes
+
+
+def bodies(blobs: list[bytes]) -> np.ndarray:
+    """Bytes of the contexts, behind the count and the listed columns of each blob."""
+    return np.concatenate([np.frombuffer(b, np.uint8, offset=8 + 8 * len(LISTED) * int(np.frombuffer(b, np.int64, 1)[0])) for b in blobs])
+
+
+def compare(window: int, seed: int, shard: int = SHARD, group_limit: int = GROUP):
+    """Spans among the contexts of one bucket (kind 0), by suffix arrays of whole anchor groups; windows of larger groups (kind 1)."""
 
     def work(blobs: list[bytes]) -> Iterator[pa.RecordBatch]:
-        head, doc, start, n = gathered(blobs, ["<i8"] * 4)
-        body = np.concatenate([np.frombuffer(b, np.uint8, offset=8 + 32 * int(np.frombuffer(b, np.int64, 1)[0])) for b in blobs])
+        head, doc, start, n = gathered(blobs, LISTED)
+        body = bodies(blobs)
         at = np.cumsum(n) - n
         order = np.argsort(head, kind="stable")
-        group, first = [], 0
+        held: list[np.ndarray] = []
         size = 0
-        edges = runs(head[order])
-        for k, (a, b) in enumerate(edges):
-            size += int(n[order[a:b]].sum())
-            if size >= shard or k == len(edges) - 1:
-                group.append(order[first:b])
-                first, size = b, 0
-        for members in group:
-            yield repeats_in(body, at[members], n[members], doc[members], start[members], window)
+        for a, b in runs(head[order]):
+            members = order[a:b]
+            own = int(n[members].sum())
+            if own > group_limit:
+                yield from named_windows(body, at[members], n[members], doc[members], start[members], window, seed)
+                continue
+            if held and size + own > group_limit:
+                yield sorted_spans(body, at, n, doc, start, held, window)
+                held, size = [], 0
+            held.append(members)
+            size += own
+            if size >= shard:
+                yield sorted_spans(body, at, n, doc, start, held, window)
+                held, size = [], 0
+        if held:
+            yield sorted_spans(body, at, n, doc, start, held, window)
 
     return work
 
 
+def sorted_spans(body: np.ndarray, at: np.ndarray, n: np.ndarray, doc: np.ndarray, start: np.ndarray, held: list[np.ndarray], window: int) -> pa.RecordBatch:
+    members = np.concatenate(held)
+    return of_kind(0, repeats_in(body, at[members], n[members], doc[members], start[members], window))
+
+
+def single_windows(window: int, seed: int):
+    """The windows of a blob of contexts one by one (kind 1)."""
+
+    def spread(blob: bytes) -> Iterator[pa.RecordBatch]:
+        _, doc, start, n = gathered([blob], LISTED)
+        yield from named_windows(bodies([blob]), np.cumsum(n) - n, n, doc, start, window, seed)
+
+    return spread
+
+
+def named_windows(body: np.ndarray, at: np.ndarray, n: np.ndarray, doc: np.ndarray, start: np.ndarray, window: int, seed: int) -> Iterator[pa.RecordBatch]:
+    """Every window of the contexts with a 128-bit name in the source columns (kind 1), some contexts at a time."""
+    for k in range(0, len(n), NAMED):
+        size, begin = n[k : k + NAMED], at[k : k + NAMED]
+        own = np.cumsum(size) - size
+        inner = np.arange(int(size.sum())) - np.repeat(own, size)
+        data = body[np.repeat(begin, size) + inner]
+        first = np.flatnonzero(inner + window <= np.repeat(size, size))
+        who, offset = np.repeat(np.arange(len(size)), size)[first] + k, inner[first]
+        high, low = (vec.ranges(vec.prefix(data, 2 * seed + part), first, first + window).view(np.int64) for part in (101, 102))
+        columns = (doc[who], start[who] + offset, np.ones(len(first), np.int64), high, low)
+        yield of_kind(1, pa.RecordBatch.from_arrays([pa.array(x) for x in columns], names=["doc", "start", "n", "src_doc", "src_start"]))
+
+
 def repeats_in(body: np.ndarray, at: np.ndarray, n: np.ndarray, doc: np.ndarray, start: np.ndarray, window: int) -> pa.RecordBatch:
     ends = np.cumsum(n + 1)
     begin = ends - (n + 1)
@@ -177,25 +252,26 @@ def repeats_in(body: np.ndarray, at: np.ndarray, n: np.ndarray, doc: np.ndarray,
     return path_rows(w_doc[later], w_start[later], w_doc[source][later], w_start[source][later])
 
 
-def dedup(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR, with_text: bool = False) -> DataFrame:
+def dedup(docs: DataFrame, window: int = WINDOW, anchor: int = ANCHOR, with_text: bool = False, held: int = HELD, group: int = GROUP) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and what is kept) of every row."""
-    return by_row(docs, lambda rows: _dedup(rows, window, anchor, with_text))
+    return by_row(docs, lambda rows: _dedup(rows, window, anchor, with_text, held, group))
 
 
-def _dedup(docs: DataFrame, window: int, anchor: int, with_text: bool) -> DataFrame:
+def _dedup(docs: DataFrame, window: int, anchor: int, with_text: bool, held: int, group: int) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and the kept bytes) of every row."""
     buckets = bucket_count(docs)
     made: list[DataFrame] = []
 
     def spans(seed: int) -> DataFrame:
-        forget(*made)
-        found = written(by_bucket(anchors(docs, window, anchor, buckets, seed), buckets, meet(window), PIECES), "anchors")
-        lists = found.where("kind = 1").groupBy("doc").agg(F.collect_list(F.struct("start", "n", F.col("src_doc").alias("head"))).alias("places"))
-        lists = written(lists, "places")
-        made[:] = [found, lists]
+        found = written(by_bucket(anchors(docs, window, anchor, buckets, seed), buckets, meet(window), PIECES, single_anchors, held), "anchors")
         columns = ["doc", "start", "n", "src_doc", "src_start"]
-        edges = by_bucket(contexts(docs, lists, buckets), buckets, compare(window), "doc long, start long, n long, src_doc long, src_start long")
-        return found.where("kind = 0").select(*columns).unionByName(edges)
+        whole, differ = met_by_context(found.where("kind = 2"), window)
+        differ = found.where("kind = 1").select("doc", "start", "n", F.col("src_doc").alias("head")).unionByName(differ)
+        lists = written(differ.groupBy("doc").agg(F.collect_list(F.struct("start", "n", "head")).alias("places")), "places")
+        edges = written(by_bucket(contexts(docs, lists, buckets), buckets, compare(window, seed, group_limit=group), EDGES, single_windows(window, seed), held), "edges")
+        made.extend([found, lists, edges])
+        single = edges.where("kind = 1").select("doc", "start", F.col("src_doc").alias("hi"), F.col("src_start").alias("lo"))
+        return found.where("kind = 0").select(*columns).unionByName(whole).unionByName(edges.where("kind = 0").select(*columns)).unionByName(met_by_name(single))
 
     out = verified(docs, spans, window, False, with_text)
     forget(*made)

@@ -94,6 +94,13 @@ def test_byte_spans(docs, corpus):
         assert (got[i].n_bytes, got[i].n_removed, bytes(got[i].kept), got[i].n_spans) == (len(raw), sum(gone), kept, len(re.findall(b"\1+", bytes(gone)))), i
 
 
+@pytest.mark.parametrize("limits", [{"held": 1}, {"group": 1}])
+def test_byte_spans_of_hot_anchors(docs, limits):
+    """Every bucket, or every anchor's group of contexts, beyond the limit: dealt anew by name, with the same result."""
+    key = lambda r: (r.doc_id, r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256)
+    assert sorted(map(key, suffix_dedup.dedup(docs, **limits).collect())) == sorted(map(key, suffix_dedup.dedup(docs).collect()))
+
+
 def test_spans_of_a_shared_document_with_tied_rows(spark):
     """Two sources for the same windows must stay two paths."""
     from gnn_delta.llm.repeats import compacted
