@@ -29,3 +29,14 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
             return after.select("node", "component")
         labels = after.select("node", "component")
         labels._written_at = after._written_at
+
+
+def extended(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """``labels`` (node, component) after further links (a, b), which may name further nodes.
+
+    Links are contracted to the components of their ends first: many links between two components count once."""
+    one, two = (labels.select(F.col("node").alias(c), F.col("component").alias(f"c_{c}")) for c in ("a", "b"))
+    ends = links.join(one, "a", "left").join(two, "b", "left").select(F.coalesce("c_a", "a").alias("x"), F.coalesce("c_b", "b").alias("y")).where("x <> y")
+    moved = components(ends.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct())
+    old = labels.join(moved.select(F.col("node").alias("component"), F.col("component").alias("further")), "component", "left").select("node", F.coalesce("further", "component").alias("component"))
+    return written(old.unionByName(moved.join(labels.select("node"), "node", "left_anti")), "labels")

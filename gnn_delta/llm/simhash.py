@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from . import vec
 from .common import forget, partitions, rows_without, written
-from .components import components
+from .components import components, extended
 from .exact_dedup import HOT_SHARE
 
 SEED = 42
@@ -368,26 +368,52 @@ def first_pairs(key: np.ndarray, members: Members) -> Iterator[tuple[np.ndarray,
             yield a + begin, b + begin
 
 
-def similar_across(one: list[tuple], two: list[tuple]) -> Iterator[tuple[int, int]]:
-    """Pairs of reps of similar members (rep, n, fp, shingles, label) of two lists, of different labels."""
+class Joined:
+    """Which labels the links found so far connect (least label of each set)."""
+
+    def __init__(self):
+        self.least: dict[int, int] = {}
+
+    def find(self, x: int) -> int:
+        root = x
+        while (up := self.least.get(root, root)) != root:
+            root = up
+        while x != root:
+            self.least[x], x = root, self.least.get(x, x)
+        return root
+
+    def join(self, x: int, y: int) -> None:
+        x, y = self.find(x), self.find(y)
+        self.least[max(x, y)] = min(x, y)
+
+    def links(self) -> list[tuple[int, int]]:
+        """One link for each label that is not the least of its set."""
+        return [(self.find(x), x) for x in list(self.least) if self.find(x) != x]
+
+
+def join_across(one: list[tuple], two: list[tuple], joined: Joined) -> None:
+    """Join the labels of similar members (rep, n, fp, shingles, label) of two lists; joined labels are not compared again."""
     if not one or not two:
         return
     members = Members(np.array([m[1] for m in one + two]), [m[2] for m in one + two])
     step = max(1, 400_000 // len(one))
     for at in range(0, len(two), step):
+        label = np.array([joined.find(m[4]) for m in one + two])
         right = np.arange(at, min(at + step, len(two))) + len(one)
         left, right = np.repeat(np.arange(len(one)), len(right)), np.tile(right, len(one))
+        torn = label[left] != label[right]
+        left, right = left[torn], right[torn]
         for k in members.within(left, right).tolist():
             x, y = one[left[k]], two[right[k] - len(one)]
-            if x[4] != y[4] and similar(np.frombuffer(x[3], np.uint64), np.frombuffer(y[3], np.uint64)):
-                yield x[0], y[0]
+            if joined.find(x[4]) != joined.find(y[4]) and similar(np.frombuffer(x[3], np.uint64), np.frombuffer(y[3], np.uint64)):
+                joined.join(x[4], y[4])
 
 
 def links_of_hot_runs(members: DataFrame, docs: DataFrame) -> DataFrame:
-    """(a, b): similar members of long runs that are not connected yet (rep, n, fp, keys, label).
+    """(a, b): labels to join, as members of long runs (rep, n, fp, keys, label) are similar.
 
     Of each run the members outside its largest component come first and are held; the rest streams past them,
-    so neither pairs nor the whole run are laid out, and only links leave the task."""
+    so neither pairs nor the whole run are laid out. A run gives less links than it has labels."""
     keyed = members.select("rep", "label", F.explode("keys").alias("key"))
     count = keyed.groupBy("key", "label").agg(F.count("*").alias("c"))
     torn = count.groupBy("key").agg(F.max_by("label", F.struct("c", "label")).alias("large"), F.count("*").alias("kinds")).where("kinds > 1").select("key", "large")
@@ -397,25 +423,33 @@ def links_of_hot_runs(members: DataFrame, docs: DataFrame) -> DataFrame:
     rows = rows.repartition(partitions(docs.sparkSession), "key").sortWithinPartitions("key", "major")
 
     def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        current, held = None, []
+        current, held, joined = None, [], Joined()
+
+        def links_found() -> pa.RecordBatch:
+            x, y = (np.array([pair[i] for pair in joined.links()], np.int64) for i in (0, 1))
+            return pa.RecordBatch.from_arrays([pa.array(x), pa.array(y)], names=["a", "b"])
+
         for batch in batches:
             if not batch.num_rows:
                 continue
             columns = {c: batch.column(c).to_pylist() for c in ("rep", "n", "fp", "shingles", "label")}
             everyone = list(zip(*columns.values(), strict=True))
             key, major = batch.column("key").to_numpy(), batch.column("major").to_numpy(zero_copy_only=False).astype(bool)
-            found = []
             cut = np.flatnonzero((key[1:] != key[:-1]) | (major[1:] != major[:-1])) + 1
             for a, b in zip([0, *cut.tolist()], [*cut.tolist(), len(key)], strict=True):
                 if key[a] != current:
-                    current, held = key[a], []
+                    if current is not None:
+                        yield links_found()
+                    current, held, joined = key[a], [], Joined()
                 part = everyone[a:b]
-                found += similar_across(held, part)
+                join_across(held, part, joined)
                 if not major[a]:
-                    found += similar_across(part, part)
+                    join_across(part, part, joined)
                     held = held + part
-            x, y = (np.array([f[i] for f in found], np.int64) for i in (0, 1))
-            yield pa.RecordBatch.from_arrays([pa.array(x), pa.array(y)], names=["a", "b"])
+                else:
+                    held = [m for m in held if joined.find(m[4]) != joined.find(part[0][4])]
+        if current is not None:
+            yield links_found()
 
     out = written(rows.mapInArrow(links, "a long, b long").distinct(), "hot")
     forget(met)
@@ -532,13 +566,12 @@ def near_copies(docs: DataFrame) -> DataFrame:
     labels = components(good)
     rest = written(apart(real, labels), "rest")
     if rest.limit(1).count():
-        good = good.unionByName(verified(rest, docs))
-        labels = components(good)
+        labels = extended(labels, verified(rest, docs))
     long = distinct.join(pairs.where("a = b").select(F.col("a").alias("rep")), "rep", "left_semi")
     lone = long.join(labels, long["rep"] == labels["node"], "left").withColumn("label", F.coalesce("component", "rep"))
     more = links_of_hot_runs(lone.select("rep", "n", "fp", "keys", "label"), docs)
     if more.limit(1).count():
-        labels = components(good.unionByName(more))
+        labels = extended(labels, more)
     equal = table.select(F.col("id").alias("dropped_id")).join(distinct.select(F.col("rep").alias("dropped_id")), "dropped_id", "left_anti")
     dropped = written(equal.unionByName(labels.where("component <> node").select(F.col("node").alias("dropped_id"))).distinct(), "dropped")
     forget(table, distinct, pairs, more, rest)

@@ -458,3 +458,18 @@ def test_null_ids(spark):
     assert bpe.round_trip(docs, queries.tokenizer_path()).count() == langid.language(docs.selectExpr("*", "'xx' AS lang")).count() == 5
     got = sorted((r.doc_id or 0, r.n_words, r.n_removed) for r in debruijn.dedup(docs).collect())
     assert [g[:2] for g in got] == [(0, 0), (0, 90), (1, 1), (1, 90), (1, 90)] and [g[2] for g in got][2:] == [0, 90, 90]
+
+
+def test_hot_runs_give_a_forest_of_labels(spark):
+    """Similar members of few labels: one link joins two labels, however many pairs of members are similar."""
+    words = [f"w{i}" for i in range(200)]
+    rows = [(i, " ".join([*words[: 2 * i], f"x{i}", *words[2 * i + 1 :]])) for i in range(70)]
+    docs = spark.createDataFrame(rows, "id long, text string")
+    members = simhash.sketches(docs).withColumnRenamed("id", "rep").selectExpr("rep", "n", "fp", "keys", "CASE WHEN rep < 40 THEN 0L WHEN rep < 68 THEN 40L ELSE rep END AS label")
+    got = {(r.a, r.b) for r in simhash.links_of_hot_runs(members, docs).collect()}
+    labels = {0, 40, 68, 69}
+    assert {x for pair in got for x in pair} == labels and len(got) <= 6
+    links = spark.createDataFrame([(41, 3), (42, 2), (45, 1), (90, 91)], "a long, b long")
+    before = spark.createDataFrame([(i, 0 if i < 40 else 40) for i in range(60)], "node long, component long")
+    after = {r.node: r.component for r in components.extended(before, links).collect()}
+    assert after == {**{i: 0 for i in range(60)}, 90: 90, 91: 90}
