@@ -19,7 +19,6 @@ from . import oracle as o
 from .cases import Case, case
 from .gnn_queries import base_ctes, hop_ctes, query
 from .model import ModelSpec, make_model
-from .scratch import settled
 from .state import pinned
 
 
@@ -114,11 +113,11 @@ def _vectors_sql(p: int) -> str:
 def exp_scaling_vectors(s, d):
     """Vectors that cross between parts, by number of parts and strategy."""
     c, rows = case(s, d), []
-    effect = c.effect(GC2, "seq <= 100")
+    effect, hops = c.effect(GC2, "seq <= 100"), _hops(c, GC2, "seq <= 100")
     for p in PARTS:
-        placed = settled(pt.place(c.stream.vertices, c.stream.snapshot, p))
+        placed = pt.place(c.stream.vertices, c.stream.snapshot, p)
         for st in ("incremental", "scoped"):
-            v = pt.exchange_counts(c.stream.snapshot, effect, GC2, placed, st).agg(F.sum("vectors").alias("vectors"))
+            v = pt.exchange_counts(c.stream.snapshot, effect, GC2, placed, st, hops).agg(F.sum("vectors").alias("vectors"))
             rows.append(v.select(F.lit(p).cast("long").alias("parts"), F.lit(st).alias("strategy"), "vectors"))
     return _union(rows)
 
