@@ -489,6 +489,21 @@ def test_features_by_formula_are_not_looked_up(spark, random_graph):
             assert sorted(map(tuple, a.collect())) == sorted(map(tuple, b.collect()))
 
 
+def test_batches_in_a_row_pin_no_edges(spark, random_graph):
+    """Layers become tables of their own, edges stay the stored ones; affected sets that the caller has are not found again."""
+    vertices, edges, features, pairs = random_graph
+    model = make_model("gc_sum", 2, D)
+    state = infer_full(vertices, edges, features, model, settled)
+    kept = state.pinned(edges=False)
+    assert kept.edges is state.edges and kept.layers[1]._written_at != state.layers[1]._written_at
+    effect = settled_effect(net_effect(batch(spark, pairs), state, D))
+    hops = aff.affected_sets(edges_after(edges, effect.d_edges), effect.d_edges, effect.d_feats, model, settled)
+    placed = pt.place(vertices, edges, 3)
+    for st in ("incremental", "scoped"):
+        found, given = (pt.exchange_counts(edges, effect, model, placed, st, h) for h in (None, hops))
+        assert sorted(map(tuple, found.collect())) == sorted(map(tuple, given.collect()))
+
+
 def test_hash_placement_is_not_looked_up(spark, random_graph):
     vertices, edges, _, _ = random_graph
     placed = pt.place(vertices, edges, 3)
