@@ -34,6 +34,15 @@ def _hops(c: Case, model: ModelSpec, where: str) -> list[DataFrame]:
     return aff.affected_sets(edges_after(c.stream.snapshot, e.d_edges, e.small), e.d_edges, e.d_feats, model, pinned)
 
 
+def _reached(c: Case, model: ModelSpec, batches: dict, within: str) -> DataFrame:
+    """(batch, affected): how many vertices each batch reaches, none included."""
+    d_edges, d_feats = c.effects_of(batches, within)
+    tree = aff.affected_by(c.stream.snapshot, d_edges, d_feats, model, ["batch"])
+    counts = {r["batch"]: r["affected"] for r in tree.groupBy("batch").agg(F.count("*").alias("affected")).collect()}
+    kind = "string" if isinstance(next(iter(batches)), str) else "long"
+    return c.spark.createDataFrame([(b, counts.get(b, 0)) for b in batches], f"batch {kind}, affected long")
+
+
 def _tree_sql(graph: str, model: ModelSpec, where: str, select: str) -> str:
     """``select`` over ``tree`` (vid), the vertices of all hops."""
     tree = " UNION ".join(f"SELECT vid FROM a_{i}" for i in range(model.depth + 1))
@@ -47,12 +56,7 @@ KINDS = ("edge_add", "edge_del", "feat_set")
 @query("exp_kinds", " UNION ALL ".join(f"SELECT * FROM ({_tree_sql('order_part', GC2, f'kind = {k!r} AND seq <= 300', f'SELECT {k!r} AS kind, count(*) AS affected FROM tree')})" for k in KINDS))
 def exp_kinds(s, d):
     """How many vertices each kind of update reaches: feature changes reach more than edge changes."""
-    c = case(s, d)
-    rows = []
-    for k in KINDS:
-        tree = aff.by_hop(_hops(c, GC2, f"kind = '{k}' AND seq <= 300")).select("vid").distinct()
-        rows.append(tree.agg(F.count("*").alias("affected")).select(F.lit(k).alias("kind"), "affected"))
-    return _union(rows)
+    return _reached(case(s, d), GC2, {k: f"kind = '{k}'" for k in KINDS}, "seq <= 300").withColumnRenamed("batch", "kind")
 
 
 GROWTH = [(g, b) for g in ("order_part", "next_part") for b in (1, 10, 100)]
@@ -62,11 +66,11 @@ GROWTH = [(g, b) for g in ("order_part", "next_part") for b in (1, 10, 100)]
 def exp_growth(s, d):
     """Share of affected vertices by batch size, on a sparse and a dense graph, for a three-layer model with own vectors."""
     rows = []
-    for g, b in GROWTH:
-        c = case(s, d, g)
+    for g in dict.fromkeys(g for g, _ in GROWTH):
+        c, sizes = case(s, d, g), [b for h, b in GROWTH if h == g]
         n = c.stream.vertices.count()
-        tree = aff.by_hop(_hops(c, SAGE3, f"seq <= {b}")).select("vid").distinct().agg(F.count("*").alias("affected"))
-        rows.append(tree.select(F.lit(g).alias("graph"), F.lit(b).cast("long").alias("batch_size"), "affected", F.round(F.col("affected") / n, 9).alias("share")))
+        reached = _reached(c, SAGE3, {b: f"seq <= {b}" for b in sizes}, f"seq <= {max(sizes)}")
+        rows.append(reached.select(F.lit(g).alias("graph"), F.col("batch").cast("long").alias("batch_size"), "affected", F.round(F.col("affected") / n, 9).alias("share")))
     return _union(rows)
 
 

@@ -582,3 +582,25 @@ def test_rounding_without_decimal_texts(spark):
     assert str([r["r"] for r in odd]) == "[nan, inf, -inf]"
     plan = to_long(spark.createDataFrame([(1, 0.5)], "vid long, h0 double"), "h", 1, 6)._jdf.queryExecution().optimizedPlan().toString()
     assert "FLOOR" in plan
+
+
+@pytest.mark.parametrize("kind", ["gc_sum", "sage_sum", "gc_norm"])
+def test_affected_by_reads_the_edges_once_for_all(spark, random_graph, monkeypatch, kind):
+    """Several batches at once reach what each reaches alone over the edges after it, also where senders are not broadcast."""
+    vertices, edges, features, pairs = random_graph
+    model, ups = make_model(kind, 3, D), batch(spark, pairs)
+    state = infer_full(vertices, edges, features, model, settled)
+    alone, d_edges, d_feats = set(), None, None
+    for b in (1, 3, 6):
+        e = settled_effect(net_effect(ups.where(f"seq <= {b}"), state, D))
+        hops = aff.affected_sets(edges_after(edges, e.d_edges), e.d_edges, e.d_feats, model, settled)
+        alone |= {(b, r["vid"]) for h in hops for r in h.collect()}
+        de, df = e.d_edges.withColumn("batch", F.lit(b)), e.d_feats.withColumn("batch", F.lit(b))
+        d_edges, d_feats = (de, df) if d_edges is None else (d_edges.unionByName(de), d_feats.unionByName(df))
+    for bound in (500_000, 0):
+        monkeypatch.setattr(aff, "BROADCAST_UPDATES", bound)
+        plans = []
+        pin = lambda df: plans.append(df) or settled(df)  # noqa: B023, E731
+        got = aff.affected_by(edges, d_edges, d_feats, model, ["batch"], pin)
+        assert sorted(map(tuple, got.select("batch", "vid").collect())) == sorted(alone)
+        assert len(plans) == model.depth + 1  # hops, not hops of each batch
